@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagesketch.llm import exact_dedup, license_scan, mixing, packing, quality, url_filter
+from pagesketch.llm import exact_dedup, license_scan, mixing, packing, quality, superminhash, url_filter
 from pagesketch.llm.common import table
 
 
@@ -23,6 +23,10 @@ def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan(table(spark, sf_dir, "documents"), path)
 
 
+def op3_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return superminhash.near_groups(table(spark, sf_dir, "documents"), width=4, percent=80)
+
+
 def with_trust(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """docs with the column trusted: labelled good and never toxic."""
     marks = labels.groupBy(F.col("doc_id").alias("label_id")).agg((F.min("quality") == 1).alias("good"), (F.max(F.coalesce("toxic", F.lit(0))) == 1).alias("bad"))
@@ -55,6 +59,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_license_scan,
+        op3_superminhash,
         op4_quality_rules,
         op5_mixing,
         op6_packing,
