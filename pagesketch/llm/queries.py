@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagesketch.llm import exact_dedup, license_scan, mixing, packing, quality, superminhash, url_filter
+from pagesketch.llm import exact_dedup, language_id, license_scan, mixing, packing, ppm, quality, superminhash, url_filter
 from pagesketch.llm.common import table
 
 
@@ -23,20 +23,16 @@ def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan(table(spark, sf_dir, "documents"), path)
 
 
-def op3_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return superminhash.near_groups(table(spark, sf_dir, "documents"), width=4, percent=80)
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.identify(table(spark, sf_dir, "documents"))
 
 
-def with_trust(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """docs with the column trusted: labelled good and never toxic."""
-    marks = labels.groupBy(F.col("doc_id").alias("label_id")).agg((F.min("quality") == 1).alias("good"), (F.max(F.coalesce("toxic", F.lit(0))) == 1).alias("bad"))
-    marks = marks.select("label_id", (F.col("good") & ~F.col("bad")).alias("trusted"))
-    return docs.drop("trusted", "label_id").join(marks, docs["doc_id"] == marks["label_id"], "left").drop("label_id")
+def op3_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return superminhash.near_groups(table(spark, sf_dir, "documents"), width=4, percent=80)
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return quality.judge(with_trust(docs, table(spark, sf_dir, "labels")), F.col("trusted"))
+    return quality.Judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).verdicts()
 
 
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,15 +51,21 @@ def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"))
 
 
+def op10_ppm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm.held_out_scores(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
         op1_license_scan,
+        op2_language_id,
         op3_superminhash,
         op4_quality_rules,
         op5_mixing,
         op6_packing,
         op8_exact_dedup,
         op9_url_filters,
+        op10_ppm,
     )
 }
