@@ -9,14 +9,12 @@ from pyspark.sql import functions as F
 
 from pagesketch.llm import exact_dedup, mixing, packing, quality, superminhash
 from pagesketch.llm.common import cut, durable_dir, table
-from pagesketch.llm.queries import tokenizer_path, with_trust
+from pagesketch.llm.queries import tokenizer_path
 
 
 def stage_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep."""
-    verdicts = quality.judge(with_trust(docs, table(spark, sf_dir, "labels")), F.col("trusted"))
-    stay = verdicts.where("kept").select(F.col("doc_id").alias("stay_id"))
-    return docs.join(stay.distinct(), docs["doc_id"].eqNullSafe(F.col("stay_id")), "left_semi")
+    return quality.Judge(docs, table(spark, sf_dir, "labels")).kept_rows()
 
 
 def stage_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

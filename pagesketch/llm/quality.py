@@ -3,7 +3,8 @@
 A multinomial over hashed word unigrams and bigrams is counted over trusted
 documents, another over the whole raw corpus. A document's score is the mean, over
 its n-grams, of the logarithm of trusted over raw probability. The threshold is a
-fixed quantile of the trusted documents' scores, found from an exact histogram.
+fixed quantile of the scores of trusted documents that the model did not learn from,
+found from an exact histogram.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pagesketch.llm.common import GOLDEN, Texts, chunks, cut, mix, over_chunks
@@ -25,6 +26,8 @@ IS_SYMBOL[list(SYMBOLS)] = True
 
 #: Hash buckets of the multinomials, a parameter of the model and not of the data.
 BUCKETS = 1 << 16
+#: Most labelled rows of which the trusted multinomial is learned; the raw one counts every row.
+TRUSTED_ROWS = 20_000
 #: Share of trusted documents that the threshold may reject.
 TRUSTED_LOSS = 0.0005
 #: Scores are compared on a grid, so that every run gives the same verdicts.
@@ -88,10 +91,25 @@ def grams(texts: Texts, buckets: int) -> tuple[np.ndarray, np.ndarray]:
     return keys.astype(np.int64), np.concatenate([text_of, text_of[pair]])
 
 
-def ngram_counts(rows: DataFrame, buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
-    """Counts of the hashed n-grams of trusted rows and of all rows.
+def trusted_ids(labels: DataFrame, most: int = TRUSTED_ROWS) -> np.ndarray:
+    """Ids of labelled rows that are good and never toxic: all, or those with the smallest hashes if there are more than most."""
+    marks = labels.groupBy("doc_id").agg((F.min("quality") == 1).alias("good"), (F.max(F.coalesce("toxic", F.lit(0))) == 1).alias("bad"))
+    good = marks.where("doc_id is not null and good and not bad").select("doc_id")
+    rows = good.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).toPandas()
+    return np.sort(rows["doc_id"].to_numpy(np.int64))
 
-    Each task sends one vector of a fixed length, added up by bucket before it reaches the driver.
+
+def _trusted(part: pa.RecordBatch, ids: np.ndarray, half: int) -> np.ndarray:
+    """Marks rows of one half of the trusted ids: 0 is learned from, 1 sets the threshold."""
+    column = part.column("doc_id")
+    own = column.fill_null(0).to_numpy()
+    return np.isin(own, ids) & column.is_valid().to_numpy(zero_copy_only=False) & (mix(own.view(np.uint64)) % np.uint64(2) == np.uint64(half))
+
+
+def ngram_counts(rows: DataFrame, trusted, buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
+    """Counts of the hashed n-grams of the rows that half the ids in the broadcast array trusted name, and of all rows.
+
+    Each task sends one vector of at most a fixed length, added up by bucket before it reaches the driver.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -99,13 +117,12 @@ def ngram_counts(rows: DataFrame, buckets: int = BUCKETS) -> tuple[np.ndarray, n
         for batch in batches:
             for part in chunks(batch, "text"):
                 keys, text_of = grams(Texts(part.column("text")), buckets)
-                trusted = part.column("trusted").fill_null(False).to_numpy(zero_copy_only=False)
                 sums[1] += np.bincount(keys, minlength=buckets)
-                sums[0] += np.bincount(keys[trusted[text_of]], minlength=buckets) if len(keys) else 0
+                sums[0] += np.bincount(keys[_trusted(part, trusted.value, 0)[text_of]], minlength=buckets)
         found = np.flatnonzero(sums[1])
         yield pa.RecordBatch.from_arrays([pa.array(found), pa.array(sums[0][found]), pa.array(sums[1][found])], ["bucket", "trusted", "raw"])
 
-    parts = rows.select("text", "trusted").mapInArrow(run, "bucket bigint, trusted bigint, raw bigint")
+    parts = rows.mapInArrow(run, "bucket bigint, trusted bigint, raw bigint")
     table = parts.groupBy("bucket").agg(F.sum("trusted").alias("trusted"), F.sum("raw").alias("raw")).toPandas()
     out = np.zeros((2, buckets))
     out[0][table["bucket"]] = table["trusted"]
@@ -125,45 +142,65 @@ def ratios(trusted: np.ndarray, raw: np.ndarray, weight: float = 64.0) -> np.nda
     return np.log((trusted * rate + weight * prior * len(raw)) / (raw + weight * prior * len(raw)))
 
 
-def judge(
-    docs: DataFrame,
-    trusted: Column,
-    id_col: str = "doc_id",
-    text_col: str = "text",
-    buckets: int = BUCKETS,
-    trusted_loss: float = TRUSTED_LOSS,
-    keep: list[str] | None = None,
-) -> DataFrame:
-    """Measures, ratio score and verdict for every row.
-
-    trusted is a boolean expression over docs. Columns: doc_id, n_words,
-    word_chars, n_symbols, n_dup_lines, n_repeat_words, llr, base_failed, kept. A null or
-    empty text has no word, so that it fails the base rules; its llr is 0. A null
-    in trusted is false. Without trusted rows every ratio is 0 and the base rules decide.
-    keep names columns of docs that are carried along in front (for filters).
+class Judge:
+    """The ratio model of a corpus: measures and verdicts for its rows.
+
+    Null and empty texts have no word, so that they fail the base rules; their ratio is 0. Without trusted rows
+    every ratio is 0 and the base rules decide. Repeated rows are judged each. Other columns are ignored by verdicts and
+    carried along by kept_rows.
     """
-    keep = keep or []
-    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"), F.coalesce(trusted, F.lit(False)).alias("trusted"))
-    counts = ngram_counts(rows, buckets)
-    table = docs.sparkSession.sparkContext.broadcast(ratios(*counts).astype(np.float64))
-
-    def run(part: pa.RecordBatch) -> pa.RecordBatch:
-        texts = Texts(part.column("text"))
-        base = base_measures(texts)
-        keys, text_of = grams(texts, buckets)
-        sums = np.bincount(text_of, table.value[keys], len(texts))
-        sizes = np.maximum(np.bincount(text_of, minlength=len(texts)), 1)
-        llr = np.round(sums / sizes * GRID).astype(np.int64)
-        failed = (base["n_words"] < 50) | (100 * base["n_repeat_words"] > 50 * base["n_words"])
-        cells = {"doc_id": part.column("doc_id"), "trusted": part.column("trusted")} | {k: pa.array(v) for k, v in base.items()}
-        cells |= {"llr_grid": pa.array(llr), "base_failed": pa.array(failed)}
-        return pa.RecordBatch.from_arrays(list(cells.values()), list(cells))
-
-    scored = rows.mapInArrow(over_chunks(run), "doc_id bigint, trusted boolean, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, llr_grid bigint, base_failed boolean")
-    scored = cut(scored)
-    limit = threshold(scored.where("trusted and not base_failed"), trusted_loss)
-    out = scored.withColumn("kept", ~F.col("base_failed") & (F.col("llr_grid") >= F.lit(limit)))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", (F.col("llr_grid") / GRID).alias("llr"), "base_failed", "kept")
+
+    def __init__(self, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", buckets: int = BUCKETS, trusted_rows: int = TRUSTED_ROWS, trusted_loss: float = TRUSTED_LOSS):
+        self.docs, self.id_col, self.text_col, self.loss = docs, id_col, text_col, trusted_loss
+        context = docs.sparkSession.sparkContext
+        self.trusted = context.broadcast(trusted_ids(labels, trusted_rows))
+        self.table = context.broadcast(ratios(*ngram_counts(self._rows(), self.trusted, buckets)))
+
+    def _rows(self) -> DataFrame:
+        return self.docs.select(F.col(self.id_col).cast("bigint").alias("doc_id"), F.col(self.text_col).alias("text"))
+
+    def _scored(self) -> DataFrame:
+        table, trusted = self.table, self.trusted
+
+        def run(part: pa.RecordBatch) -> pa.RecordBatch:
+            texts = Texts(part.column("text"))
+            base, llr = base_measures(texts), grid_ratio(texts, table.value)
+            cells = {"doc_id": part.column("doc_id"), "trusted": pa.array(_trusted(part, trusted.value, 1))} | {k: pa.array(v) for k, v in base.items()}
+            cells |= {"llr_grid": pa.array(llr), "base_failed": pa.array(base_failed(base))}
+            return pa.RecordBatch.from_arrays(list(cells.values()), list(cells))
+
+        kinds = "doc_id bigint, trusted boolean, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, llr_grid bigint, base_failed boolean"
+        return self._rows().mapInArrow(over_chunks(run), kinds)
+
+    def verdicts(self) -> DataFrame:
+        """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, llr, base_failed and kept of every row."""
+        scored = cut(self._scored())
+        limit = threshold(scored.where("trusted and not base_failed"), self.loss)
+        out = scored.withColumn("kept", ~F.col("base_failed") & (F.col("llr_grid") >= F.lit(limit)))
+        return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", (F.col("llr_grid") / GRID).alias("llr"), "base_failed", "kept")
+
+    def kept_rows(self) -> DataFrame:
+        """The rows of docs that are kept, with all their columns; the texts are never shuffled."""
+        limit = threshold(self._scored().where("trusted and not base_failed").select("llr_grid"), self.loss)
+        table, text_col = self.table, self.text_col
+
+        def run(part: pa.RecordBatch) -> pa.RecordBatch:
+            texts = Texts(part.column(text_col))
+            return part.filter(pa.array(~base_failed(base_measures(texts)) & (grid_ratio(texts, table.value) >= limit)))
+
+        return self.docs.mapInArrow(over_chunks(run, text_col), self.docs.schema)
+
+
+def base_failed(base: dict[str, np.ndarray]) -> np.ndarray:
+    return (base["n_words"] < 50) | (100 * base["n_repeat_words"] > 50 * base["n_words"])
+
+
+def grid_ratio(texts: Texts, table: np.ndarray) -> np.ndarray:
+    """Mean ratio of each text's n-grams, as a whole number of grid steps."""
+    keys, text_of = grams(texts, len(table))
+    sums = np.bincount(text_of, table[keys], len(texts))
+    sizes = np.maximum(np.bincount(text_of, minlength=len(texts)), 1)
+    return np.round(sums / sizes * GRID).astype(np.int64)
 
 
 def threshold(scored: DataFrame, loss: float) -> int:
