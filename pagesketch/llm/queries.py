@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pagesketch.llm import exact_dedup, language_id, license_scan, mixing, packing, ppm, quality, superminhash, url_filter
+from pagesketch.llm import cotraining, exact_dedup, language_id, license_scan, mixing, packing, ppm, quality, superminhash, url_filter
 from pagesketch.llm.common import table
 
 
@@ -43,6 +43,10 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op7_cotraining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cotraining.score_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
@@ -64,6 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op4_quality_rules,
         op5_mixing,
         op6_packing,
+        op7_cotraining,
         op8_exact_dedup,
         op9_url_filters,
         op10_ppm,
