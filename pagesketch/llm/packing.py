@@ -10,15 +10,17 @@ from __future__ import annotations
 
 import itertools
 import os
+import unicodedata
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import cut
+from pagesketch.llm.common import Texts, cut, over_chunks
 
 WINDOW = 2048
 END_ID = 1
@@ -26,8 +28,28 @@ END_ID = 1
 CACHED_WORDS = 400_000
 
 
+#: Marks before which a run of letters surely ends.
+MARKS = np.zeros(256, bool)
+MARKS[list(b".,!?;:")] = True
+LETTERS = np.zeros(256, bool)
+LETTERS[97:123] = True
+
+
+def pieces(texts: Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start and end byte of white-space separated words, also cut between an ASCII letter and a mark, and their number before each text.
+
+    The tokenizer lower-cases, and never joins what it finds on both sides of such a place.
+    """
+    starts, ends, _ = texts.words()
+    data = texts.data
+    at = np.flatnonzero(MARKS[data[1:]] & LETTERS[data[:-1]]) + 1
+    at = at[~np.isin(at, starts)]
+    starts, ends = np.sort(np.concatenate([starts, at])), np.sort(np.concatenate([ends, at]))
+    return starts, ends, np.searchsorted(starts, texts.offsets)
+
+
 class WordTokenizer:
-    """Tokenizes by white-space separated words, which the tokenizer never joins."""
+    """Tokenizes each distinct word of a chunk once and keeps the ids of as many words as its limit says."""
 
     def __init__(self, path: str, cached_words: int = CACHED_WORDS):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -36,34 +58,82 @@ class WordTokenizer:
         self.model = Tokenizer.from_file(path)
         self.cache: dict[bytes, bytes] = {}
         self.limit = cached_words
-
-    def encode(self, texts: list[bytes]) -> list[bytes]:
-        """Little-endian uint16 ids of each text."""
-        split = [t.split() for t in texts]
-        new = list({w for words in split for w in words if w not in self.cache})
-        ids = self.model.encode_batch_fast([w.decode() for w in new], add_special_tokens=False)
-        fresh = {w: np.array(x.ids, "<u2").tobytes() for w, x in zip(new, ids, strict=True)}
-        room = self.limit - len(self.cache)
-        if room > 0:
-            self.cache.update(itertools.islice(fresh.items(), room))
-        known = self.cache.get
-        return [b"".join([known(w) or fresh[w] if w in fresh else known(w) for w in words]) for words in split]
+        self.ends = np.zeros(self.model.get_vocab_size(), bool)
+        self.ends[[i for w, i in self.model.get_vocab().items() if w.endswith("</w>")]] = True
+
+    def _one_by_one(self, words: list[str]) -> list[bytes]:
+        return [np.array(x.ids, "<u2").tobytes() for x in self.model.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _learn(self, words: list[bytes], step: int = 256) -> None:
+        """Put the ids of new words into the cache.
+
+        Words of letters alone are one unit with one end each, so that many are tokenized as one text and cut after the ends; where the number of ends is
+        another than that of words, and for all other words, each is a text.
+        """
+        plain, other = [], []
+        for w in words:
+            text = w.decode("utf-8")
+            (plain if text.isalpha() and text == text.lower() and unicodedata.is_normalized("NFC", text) else other).append(text)
+        blocks = [plain[lo : lo + step] for lo in range(0, len(plain), step)]
+        for block, found in zip(blocks, self.model.encode_batch_fast([" ".join(x) for x in blocks], add_special_tokens=False), strict=True):
+            ids = np.array(found.ids, "<u2")
+            cuts = (np.flatnonzero(self.ends[ids]) + 1) * 2
+            if len(cuts) == len(block) and (not len(cuts) or cuts[-1] == 2 * len(ids)):
+                raw, lo = ids.tobytes(), 0
+                for text, hi in zip(block, cuts.tolist(), strict=True):
+                    self.cache[text.encode()] = raw[lo:hi]
+                    lo = hi
+            else:
+                other += block
+        for lo in range(0, len(other), 2000):
+            part = other[lo : lo + 2000]
+            self.cache.update(zip((x.encode() for x in part), self._one_by_one(part), strict=True))
+
+    def encode(self, texts: Texts) -> list[bytes]:
+        """Little-endian uint16 ids of each text; one that may have the name of a special token is tokenized as a whole."""
+        raw = texts.data.tobytes()
+        special = [i for i, (lo, hi) in enumerate(itertools.pairwise(texts.offsets.tolist())) if raw.find(b"<|", lo, hi) >= 0] if b"<|" in raw else []
+        whole = self._one_by_one([raw[texts.offsets[i] : texts.offsets[i + 1]].decode() for i in special])
+        texts = texts.lowered()
+        starts, ends, bounds = pieces(texts)
+        codes, distinct = pd.factorize(texts.hashes(starts, ends))
+        first = np.empty(len(distinct), np.int64)
+        first[codes[::-1]] = np.arange(len(codes))[::-1]
+        body, cache = texts.data.tobytes(), self.cache
+        words = [body[lo:hi] for lo, hi in zip(starts[first].tolist(), ends[first].tolist(), strict=True)]
+        new = [w for w in words if w not in cache]
+        self._learn(new)
+        known = [cache[w] for w in words]
+        for w in new[: max(0, len(cache) - self.limit)]:
+            del cache[w]
+        flat = np.frombuffer(b"".join(known), "<u2")
+        sizes = np.fromiter(map(len, known), np.int64, len(known)) // 2
+        own = sizes[codes]
+        after = np.concatenate([[0], np.cumsum(own)])
+        place = np.repeat((np.cumsum(sizes) - sizes)[codes] - after[:-1], own) + np.arange(after[-1])
+        ids = flat[place].tobytes()
+        cuts = (after[bounds] * 2).tolist()
+        out = [ids[lo:hi] for lo, hi in itertools.pairwise(cuts)]
+        for i, found in zip(special, whole, strict=True):
+            out[i] = found
+        return out
+
+
+#: Tokenizers of this Python worker, which serves many tasks.
+_MODELS: dict[str, WordTokenizer] = {}
 
 
 def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", end_id: int = END_ID) -> DataFrame:
     """(doc_id, ids): the ids of every document with the end id, as packed uint16."""
     end = np.array([end_id], "<u2").tobytes()
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = WordTokenizer(tokenizer_path)
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 500):
-                part = batch.slice(lo, 500)
-                ids = model.encode([x or b"" for x in part.column("text").to_pylist()])
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([x + end for x in ids], pa.binary())], ["doc_id", "ids"])
+    def run(part: pa.RecordBatch) -> pa.RecordBatch:
+        model = _MODELS.get(tokenizer_path) or _MODELS.setdefault(tokenizer_path, WordTokenizer(tokenizer_path))
+        ids = model.encode(Texts(part.column("text")))
+        return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([x + end for x in ids], pa.binary())], ["doc_id", "ids"])
 
-    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
-    return rows.mapInArrow(run, "doc_id bigint, ids binary")
+    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(over_chunks(run), "doc_id bigint, ids binary")
 
 
 def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
