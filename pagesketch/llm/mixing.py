@@ -8,10 +8,12 @@ the prefix of its token stream: one seeded permutation of its documents after an
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import cut, join_with_hot_keys
+from pagesketch.llm.common import Texts, cut, join_with_hot_keys, over_chunks
 
 LEVELS = ("domain", "lang", "source")
 #: Default share of the corpus tokens, in thousandths, and most epochs of a leaf.
@@ -21,7 +23,11 @@ SEED = "mix-1"
 #: Default weights of the production tree; all others have weight 10.
 WEIGHTS = {"domain": {"reference": 30, "web": 50, "forum": 20}, "lang": {"en": 40, "de": 20, "fr": 20, "es": 20}}
 OTHER_WEIGHT = 10
-WORD = r"[^\x20\x09-\x0D]+"
+
+
+def _count_words(part: pa.RecordBatch) -> pa.RecordBatch:
+    _, _, bounds = Texts(part.column("text")).words()
+    return pa.RecordBatch.from_arrays([*part.columns[:3], pa.array(np.diff(bounds).astype(np.int64))], ["doc_id", "lang", "source", "n_tokens"])
 
 
 def domain_of(source: Column) -> Column:
@@ -91,14 +97,14 @@ def mix(
     rows that repeat a doc_id come as often as they are there. The
     last document of the prefix is taken in part: taken_tokens adds up to the leaf's budget.
     """
-    tokens = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("bigint")
     rows = docs.select(
-        F.col(id_col).alias("doc_id"),
+        F.col(id_col).cast("bigint").alias("doc_id"),
         F.coalesce(F.col(lang_col), F.lit("?")).alias("lang"),
         F.coalesce(F.col(source_col), F.lit("?")).alias("source"),
-        tokens.alias("n_tokens"),
-    ).where("n_tokens > 0")
-    rows = cut(rows.select("doc_id", domain_of(F.col("source")).alias("domain"), "lang", "source", "n_tokens"))
+        F.col(text_col).alias("text"),
+    )
+    rows = rows.mapInArrow(over_chunks(_count_words), "doc_id bigint, lang string, source string, n_tokens bigint").where("n_tokens > 0")
+    rows = rows.select("doc_id", domain_of(F.col("source")).alias("domain"), "lang", "source", "n_tokens")
     leaves = rows.groupBy(*LEVELS).agg(F.count("*").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
     leaves = cut(leaf_budgets(leaves, permille, max_epochs).withColumnRenamed("n_tokens", "leaf_tokens"))
     total = leaves.agg(F.coalesce(F.sum("n_docs"), F.lit(0))).first()[0]
