@@ -30,7 +30,7 @@ def stage_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def stage_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents chosen for the target weights; one epoch, so that no document repeats."""
     chosen = mixing.mix(docs, max_epochs=1).select(F.col("doc_id").alias("chosen_id")).distinct()
-    return docs.join(chosen, docs["doc_id"].eqNullSafe(F.col("chosen_id")), "left_semi")
+    return docs.join(chosen, docs["doc_id"] == F.col("chosen_id"), "left_semi")
 
 
 def stage_pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -16,13 +16,21 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that one vectorised step looks at together.
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
+#: Most bytes that Spark hands to Python at once, so that long texts do not pile up.
+ARROW_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Bound the Arrow batches of this session by bytes; a setting that any session may change."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(ARROW_BYTES))
+
+
 def durable_dir(spark: SparkSession) -> None:
     """Make sure that checkpoint() has a folder: the cluster's own where it names one."""
     sc = spark.sparkContext
@@ -33,6 +41,7 @@ def durable_dir(spark: SparkSession) -> None:
 def cut(df: DataFrame) -> DataFrame:
     """Compute df once and keep it in the shared checkpoint folder."""
     durable_dir(df.sparkSession)
+    small_batches(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
@@ -63,6 +72,13 @@ def join_with_hot_keys(left: DataFrame, right: DataFrame, key: list[str], weight
     return out.select(*left.columns, *(F.coalesce(f"hot_{c}", f"cold_{c}").alias(c) for c in values))
 
 
+def rows_that_stay(docs: DataFrame, stay: DataFrame, id_col: str) -> DataFrame:
+    """The rows of docs whose id is in the column stay_id, one of each id, and all rows without an id. One shuffle of the rows."""
+    named = docs.where(F.col(id_col).isNotNull())
+    found = named.join(stay.select("stay_id").distinct(), named[id_col] == F.col("stay_id"), "left_semi")
+    return found.dropDuplicates([id_col]).unionByName(docs.where(F.col(id_col).isNull()))
+
+
 # --- bytes of a batch of texts -------------------------------------------------
 
 SPACE = np.zeros(256, bool)

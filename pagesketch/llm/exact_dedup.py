@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import cut, join_with_hot_keys, one_space
+from pagesketch.llm.common import cut, join_with_hot_keys, one_space, rows_that_stay
 
 #: Bytes of keys that the tries of one task hold before subtrees are spilled.
 SPILL_BYTES = 32 << 20
@@ -197,7 +197,6 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that stay, with all their columns; of repeated rows one stays."""
+    """The rows of docs that stay, with all their columns; of repeated rows one stays. Rows without an id all stay."""
     groups = exact_groups(docs, id_col, text_col)
-    stay = groups.where("kept").select(F.col("doc_id").alias("stay_id")).distinct()
-    return docs.join(stay, docs[id_col].eqNullSafe(stay["stay_id"]), "left_semi").dropDuplicates([id_col])
+    return rows_that_stay(docs, groups.where("kept").select(F.col("doc_id").alias("stay_id")), id_col)

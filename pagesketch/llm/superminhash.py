@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import GOLDEN, Texts, cut, mix, over_chunks
+from pagesketch.llm.common import GOLDEN, Texts, cut, mix, over_chunks, rows_that_stay
 from pagesketch.llm.components import UnionFind, components
 
 BANDS, ROWS = 42, 6
@@ -315,6 +315,6 @@ def common_counts(sets: list[np.ndarray], step: int = 4096) -> np.ndarray:
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs of which one per group stays, with all their columns."""
-    stay = near_groups(docs, width, percent, id_col=id_col, text_col=text_col).where("kept").select(F.col("doc_id").alias("stay_id")).distinct()
-    return docs.join(stay, docs[id_col].eqNullSafe(stay["stay_id"]), "left_semi").dropDuplicates([id_col])
+    """The rows of docs of which one per group stays, with all their columns. Rows without an id all stay."""
+    groups = near_groups(docs, width, percent, id_col=id_col, text_col=text_col)
+    return rows_that_stay(docs, groups.where("kept").select(F.col("doc_id").alias("stay_id")), id_col)
