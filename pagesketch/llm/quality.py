@@ -136,6 +136,8 @@ def ratios(trusted: np.ndarray, raw: np.ndarray, weight: float = 64.0) -> np.nda
     Both are drawn towards the raw distribution with the weight of so many
     occurrences, so that buckets that the corpus hardly has say nothing.
     """
+    if not trusted.any():
+        return np.zeros(len(raw))
     prior = (raw + 1) / (raw.sum() + len(raw))
     n, m = trusted.sum(), raw.sum()
     rate = m / max(n, 1.0)
