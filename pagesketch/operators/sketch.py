@@ -67,8 +67,12 @@ def flat_probes(queries: DataFrame, cfg: SketchConfig) -> DataFrame:
     return queries.select("item_key", F.posexplode(F.array(*H.flat_columns(F.col("item_key"), cfg))).alias("row", "col"))
 
 
-def flat_estimate(cells: DataFrame, queries: DataFrame, cfg: SketchConfig, early_exit: bool = False) -> DataFrame:
-    """(item_key, est) of distinct queried keys; with early_exit also probes_used, rows read up to the first zero."""
+def flat_estimate(cells: DataFrame, queries: DataFrame, cfg: SketchConfig, early_exit: bool = False, strategy: str = "auto") -> DataFrame:
+    """(item_key, est) of distinct queried keys; with early_exit also probes_used, rows read up to the first zero.
+
+    strategy is 'auto' or a join hint, as for paged_estimate.
+    """
+    cells = cells if strategy == "auto" else cells.hint(strategy)
     probes = flat_probes(queries.select("item_key").distinct(), cfg).join(cells, ["row", "col"], "left")
     probes = probes.withColumn("cnt", F.coalesce("cnt", F.lit(0)))
     measures = [F.min("cnt").cast("bigint").alias("est")]
