@@ -126,10 +126,10 @@ def _named_top(text: str, source: str, n: int) -> str:
 
 
 def named_top(rows: DataFrame, n: int) -> DataFrame:
-    """The n items of a column t with the largest estimates, by name."""
-    c = Case(stream_of(rows, H.fingerprint(F.col("t"))))
-    names = rows.select("t").distinct().withColumn("item_key", H.fingerprint(F.col("t")))
-    return names.join(part_estimates(c), "item_key").select(F.col("t").alias("item"), "est").orderBy(F.desc("est"), "item").limit(n)
+    """The n items of a column t with the largest estimates, by name. Items are counted by name once; sketch and names share that shuffle."""
+    counts = rows.where("t is not null").groupBy("t").agg(F.count("*").alias("c")).select("t", "c", H.fingerprint(F.col("t")).alias("item_key"))
+    c = Case(stream_of(counts, "item_key", "c"))
+    return counts.select("t", "item_key").join(part_estimates(c), "item_key").select(F.col("t").alias("item"), "est").orderBy(F.desc("est"), "item").limit(n)
 
 
 @register("top_hosts", _named_top("hosts", f"SELECT {HOST} AS t FROM pages", 10))
