@@ -14,15 +14,17 @@ from __future__ import annotations
 
 import math
 from collections import defaultdict
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import GOLDEN, Texts, crc_of_id, cut, mix
+from pagesketch.llm.common import GOLDEN, Texts, chunks, crc_of_id, cut, mix
 
 ORDER = 5
 #: Part of a count that each symbol of a context gives to the escape.
@@ -86,22 +88,9 @@ class PpmTrie:
 # --- distinct keys of a batch ---------------------------------------------------
 
 
-@dataclass
-class BatchKeys:
-    """Distinct symbol keys and word keys of a batch, sorted within buckets, and where its texts have them."""
-
-    grams: np.ndarray
-    gram_at: np.ndarray
-    gram_text: np.ndarray
-    words: np.ndarray
-    word_at: np.ndarray
-    word_text: np.ndarray
-
-
 def gram_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Key (context bytes over symbol) of each coded symbol and the text it is in; an int64 has up to 6 context bytes and 9 bits."""
-    pad = b" " * ORDER
-    bodies = [stream(t) for t in texts]
+    """For texts that stream() made: key (context bytes over symbol) of each coded symbol and the text it is in; an int64 has up to 6 context bytes and 9 bits."""
+    pad, bodies = b" " * ORDER, texts
     data = np.frombuffer(b"".join(pad + b + b"\0" for b in bodies), np.uint8).astype(np.int64)
     sizes = np.array([len(b) + 1 for b in bodies], np.int64)
     first = np.cumsum(sizes + ORDER) - sizes
@@ -115,52 +104,136 @@ def gram_keys(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return keys, owner
 
 
-def _bucketed(distinct: np.ndarray, codes: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys in the order of (bucket, key), and the codes that point to them."""
-    order = np.lexsort((distinct, bucket_of(distinct, buckets)))
-    place = np.empty(len(order), np.int64)
-    place[order] = np.arange(len(order))
-    return distinct[order], place[codes]
-
-
 def bucket_of(keys: np.ndarray, buckets: int) -> np.ndarray:
     return (mix(keys.astype(np.int64).view(np.uint64) + GOLDEN) % np.uint64(buckets)).astype(np.int64)
 
 
-def batch_keys(column: pa.ChunkedArray, buckets: int) -> BatchKeys:
-    column = column.combine_chunks()
-    column = pa.chunked_array(column).combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    raw = [x or b"" for x in column.to_pylist()]
-    keys, owner = gram_keys(raw)
-    codes, distinct = pd.factorize(keys)
-    grams, gram_at = _bucketed(distinct, codes, buckets)
-    texts = Texts(column).lowered()
+GRAMS, WORDS = 0, 1
+#: Bytes of text whose keys are in memory together.
+SLICE_BYTES = 1 << 20
+
+
+def _keys(kind: int, rows: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+    """Keys of all symbols or words of the texts, and the text each is in."""
+    if kind == GRAMS:
+        return gram_keys(rows.column("text").to_pylist())
+    texts = Texts(rows.column("text"))
     starts, ends, bounds = texts.words()
-    codes, distinct = pd.factorize(texts.hashes(starts, ends).view(np.int64))
-    words, word_at = _bucketed(np.asarray(distinct, np.int64), codes, buckets)
-    return BatchKeys(grams, gram_at, owner, words, word_at, np.repeat(np.arange(len(raw)), np.diff(bounds)))
+    return texts.hashes(starts, ends).view(np.int64), np.repeat(np.arange(len(texts)), np.diff(bounds))
+
+
+@dataclass
+class BatchKeys:
+    """Distinct keys of a batch, ascending, their order by bucket, and where its texts have them, slice by slice."""
+
+    kind: int
+    rows: pa.RecordBatch
+    buckets: int
+
+    def __post_init__(self) -> None:
+        self.slices, found, first = [], [], 0
+        for part in chunks(self.rows, "text", SLICE_BYTES):
+            keys, owner = _keys(self.kind, part)
+            codes, own = pd.factorize(keys)
+            self.slices.append((codes.astype(np.int32), np.asarray(own, np.int64), (owner + first).astype(np.int32)))
+            found.append(self.slices[-1][1])
+            first += part.num_rows
+        self.distinct = np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64)
+        bucket = bucket_of(self.distinct, self.buckets)
+        self.order = np.argsort(bucket, kind="stable")
+        self.bounds = np.searchsorted(bucket[self.order], np.arange(self.buckets + 1))
+
+    def counts(self, chosen: np.ndarray) -> np.ndarray:
+        """Occurrences of the distinct keys in the chosen texts."""
+        out = np.zeros(len(self.distinct), np.int64)
+        for codes, own, owner in self.slices:
+            out[np.searchsorted(self.distinct, own)] += np.bincount(codes[chosen[owner]], minlength=len(own))
+        return out
+
+    def sums(self, values: np.ndarray) -> np.ndarray:
+        """Per text, the sum of the values of its keys; values belong to the distinct keys."""
+        out = np.zeros(self.rows.num_rows)
+        for codes, own, owner in self.slices:
+            out += np.bincount(owner, values[np.searchsorted(self.distinct, own)][codes], len(out))
+        return out
+
+    def requests(self, batch: int, chosen: np.ndarray) -> list[tuple]:
+        keys, counts = self.distinct[self.order], self.counts(chosen)[self.order]
+        spans = [(b, self.bounds[b], self.bounds[b + 1]) for b in range(self.buckets)]
+        return [(batch, self.kind, b, pack_sorted(keys[lo:hi]), pack_counts(counts[lo:hi])) for b, lo, hi in spans if lo < hi]
+
+    def replies(self, parts: list[np.ndarray]) -> np.ndarray:
+        """Values that came bucket by bucket, in the order of the distinct keys."""
+        out = np.empty(len(self.distinct))
+        out[self.order] = np.concatenate(parts) if parts else []
+        return out
 
 
 def pack_counts(counts: np.ndarray) -> bytes:
-    """Small counts as one byte each; those of 255 and more follow in 8 bytes."""
-    return np.minimum(counts, 255).astype(np.uint8).tobytes() + counts[counts >= 255].astype(np.int64).tobytes()
+    """Small counts as one byte each; those of 255 and more follow in 8 bytes; compressed."""
+    return _squeeze(np.minimum(counts, 255).astype(np.uint8).tobytes() + counts[counts >= 255].astype(np.int64).tobytes())
 
 
-def unpack_counts(raw: bytes, n: int) -> np.ndarray:
+def unpack_counts(packed: bytes, n: int) -> np.ndarray:
+    raw = _expand(packed)
     out = np.frombuffer(raw, np.uint8, n).astype(np.int64)
     out[out == 255] = np.frombuffer(raw, np.int64, offset=n)
     return out
 
 
 def pack_sorted(keys: np.ndarray) -> bytes:
-    """Ascending keys as 4-byte differences where they all fit, else as they are; the first byte says which."""
-    gaps = np.diff(keys, prepend=0)
-    fits = len(keys) and 0 <= gaps.min() and gaps.max() < 1 << 32
-    return b"\1" + gaps.astype(np.uint32).tobytes() if fits else b"\0" + keys.tobytes()
+    """Ascending keys as differences, their bytes by significance, compressed."""
+    gaps = np.diff(keys, prepend=0).astype("<i8")
+    return _squeeze(gaps.view(np.uint8).reshape(-1, 8).T.tobytes())
+
+
+def unpack_sorted(packed: bytes) -> np.ndarray:
+    planes = np.frombuffer(_expand(packed), np.uint8).reshape(8, -1)
+    return np.cumsum(np.ascontiguousarray(planes.T).view("<i8").ravel())
 
 
-def unpack_sorted(raw: bytes) -> np.ndarray:
-    return np.cumsum(np.frombuffer(raw, np.uint32, offset=1).astype(np.int64)) if raw[:1] == b"\1" else np.frombuffer(raw, np.int64, offset=1)
+def _squeeze(raw: bytes) -> bytes:
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def _expand(packed: bytes) -> bytes:
+    return pa.decompress(packed[8:], decompressed_size=int.from_bytes(packed[:8], "little"), codec="zstd", asbytes=True)
+
+
+def packed_batches(source: DataFrame, batch_bytes: int) -> DataFrame:
+    """(batch, body): rows in batches of about so many bytes of text, the texts as streams, in compressed Arrow form.
+
+    A batch is cut where its rows are read, so that no text is shuffled for it.
+    """
+
+    def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        first, number = TaskContext.get().partitionId() << 32, 0
+        held: list[pa.RecordBatch] = []
+        size = 0
+
+        def out() -> pa.RecordBatch:
+            body = pa.BufferOutputStream()
+            whole = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            with pa.ipc.new_stream(body, whole.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as sink:
+                sink.write_batch(whole)
+            return pa.RecordBatch.from_arrays([pa.array([first + number]), pa.array([body.getvalue().to_pybytes()], pa.binary())], ["batch", "body"])
+
+        for part in parts:
+            for rows in chunks(part, "text"):
+                texts = pa.array([stream(x or b"") for x in rows.column("text").to_pylist()], pa.binary())
+                held.append(pa.RecordBatch.from_arrays([*rows.columns[:3], texts], ["doc_id", "held_out", "train", "text"]))
+                size += texts.nbytes
+                if size >= batch_bytes:
+                    yield out()
+                    held, size, number = [], 0, number + 1
+        if held:
+            yield out()
+
+    return source.select("doc_id", "held_out", "train", "text").mapInArrow(run, "batch bigint, body binary")
+
+
+def unpacked(body: bytes) -> pa.RecordBatch:
+    return pa.ipc.open_stream(pa.py_buffer(body)).read_next_batch()
 
 
 def _table(kinds: dict[str, pa.DataType], rows: list[tuple]) -> pa.Table:
@@ -169,29 +242,22 @@ def _table(kinds: dict[str, pa.DataType], rows: list[tuple]) -> pa.Table:
 
 # --- counting -------------------------------------------------------------------
 
-GRAMS, WORDS = 0, 1
 REQUESTS = {"batch": pa.int64(), "kind": pa.int64(), "bucket": pa.int64(), "keys": pa.binary(), "counts": pa.binary()}
 REQUESTS_SQL = "batch bigint, kind bigint, bucket bigint, keys binary, counts binary"
 
 
-def requests(docs: DataFrame, buckets: int) -> DataFrame:
+def requests(batches: DataFrame, buckets: int) -> DataFrame:
     """For each batch and bucket, the distinct keys of the batch's texts and their counts in training texts."""
 
-    def run(group: pa.Table) -> pa.Table:
-        batch = group.column("batch")[0].as_py()
-        keys = batch_keys(group.column("text"), buckets)
-        train = group.column("train").to_numpy()
-        rows = []
-        for kind, distinct, at, owner in ((GRAMS, keys.grams, keys.gram_at, keys.gram_text), (WORDS, keys.words, keys.word_at, keys.word_text)):
-            counts = np.bincount(at[train[owner]], minlength=len(distinct))
-            bounds = np.searchsorted(bucket_of(distinct, buckets), np.arange(buckets + 1))
-            for b in range(buckets):
-                lo, hi = bounds[b], bounds[b + 1]
-                if lo < hi:
-                    rows.append((batch, kind, b, pack_sorted(distinct[lo:hi]), pack_counts(counts[lo:hi])))
-        return _table(REQUESTS, rows)
-
-    return docs.groupBy("batch").applyInArrow(run, REQUESTS_SQL)
+    def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in parts:
+            for batch, body in zip(part.column("batch").to_pylist(), part.column("body"), strict=True):
+                rows = unpacked(body.as_py())
+                train = rows.column("train").to_numpy(zero_copy_only=False)
+                out = [x for kind in (GRAMS, WORDS) for x in BatchKeys(kind, rows, buckets).requests(batch, train)]
+                yield _table(REQUESTS, out).combine_chunks().to_batches()[0]
+
+    return batches.mapInArrow(run, REQUESTS_SQL)
 
 
 WORD_REPLY, WORD_TOTAL, CONTEXTS, PAIRS = 0, 1, 2, 3
@@ -346,11 +412,10 @@ def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str
     Rows that repeat an id are scored each. Words are told apart by 64-bit fingerprints.
     """
     source = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), F.coalesce(train, F.lit(False)).alias("train"), F.col(text_col).cast("binary").alias("text"))
-    size, n_train = source.agg(F.coalesce(F.sum(F.length("text")), F.lit(0)), F.coalesce(F.sum(F.col("train").cast("int")), F.lit(0))).first()
-    batches = max(1, -(-size // batch_bytes))
-    buckets = max(1, -(-batches // BATCHES_PER_BUCKET))
-    source = source.withColumn("batch", F.pmod(F.xxhash64("doc_id"), F.lit(batches)))
-    asked = cut(requests(source, buckets))
+    n_train = source.agg(F.coalesce(F.sum(F.col("train").cast("int")), F.lit(0))).first()[0]
+    batches = cut(packed_batches(source, batch_bytes))
+    buckets = max(1, -(-batches.count() // BATCHES_PER_BUCKET))
+    asked = cut(requests(batches, buckets))
     sums = cut(counted(asked))
     words, kinds = sums.where(f"role = {WORD_TOTAL}").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
     pairs = sums.where(f"role = {PAIRS}").groupBy("batch").agg(F.sum("n").alias("n")).collect()
@@ -364,20 +429,25 @@ def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str
     end_log = math.log10(n_train + 0.5) - scale
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        n = left.num_rows
-        keys = batch_keys(left.column("text"), buckets)
+        if not left.num_rows:
+            return empty
+        rows = unpacked(left.column("body")[0].as_py())
+        n = rows.num_rows
         body = {(k, b): x for k, b, x in zip(right.column("kind").to_pylist(), right.column("bucket").to_pylist(), right.column("body").to_pylist(), strict=True)}
-        logs = np.concatenate([np.frombuffer(body.get((GRAMS, b), b""), np.float32) for b in range(buckets)]).astype(np.float64)
-        sizes = np.bincount(bucket_of(keys.words, buckets), minlength=buckets)
-        counts = np.concatenate([unpack_counts(body.get((WORDS, b), b""), int(sizes[b])) for b in range(buckets)])
-        score = np.bincount(keys.gram_text, logs[keys.gram_at], n)
-        base = np.bincount(keys.word_text, (np.log10(counts + 0.5) - scale)[keys.word_at], n) + end_log
-        known = np.bincount(keys.word_text, counts[keys.word_at] > 0, n).astype(np.int64) + int(n_train > 0)
-        tokens = np.bincount(keys.word_text, minlength=n) + 1
-        return pa.table({"doc_id": left.column("doc_id"), "held_out": left.column("held_out"), "n_tokens": tokens, "n_known": known, "train_tokens": np.full(n, train_tokens), "base_score": base, "score": score})
+        keys = BatchKeys(GRAMS, rows, buckets)
+        score = keys.sums(keys.replies([np.frombuffer(body[GRAMS, b], np.float32) for b in range(buckets) if keys.bounds[b] < keys.bounds[b + 1]]))
+        keys = BatchKeys(WORDS, rows, buckets)
+        counts = keys.replies([unpack_counts(body[WORDS, b], int(n)) for b, n in enumerate(np.diff(keys.bounds)) if n])
+        base = keys.sums(np.log10(counts + 0.5) - scale) + end_log
+        known = keys.sums(counts > 0).astype(np.int64) + int(n_train > 0)
+        tokens = keys.sums(np.ones(len(counts))).astype(np.int64) + 1
+        cells = [rows.column("doc_id"), rows.column("held_out"), tokens, known, np.full(n, train_tokens), base, score]
+        return pa.Table.from_arrays([pa.array(c) if isinstance(c, np.ndarray) else c for c in cells], names)
 
     kind = source.schema["doc_id"].dataType.simpleString()
-    return source.groupBy("batch").cogroup(replies.groupBy("batch")).applyInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
+    names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"]
+    empty = pa.Table.from_arrays([pa.array([], pa.int64() if kind == "bigint" else pa.string()), pa.array([], pa.bool_()), *[pa.array([], pa.int64())] * 3, *[pa.array([], pa.float64())] * 2], names)
+    return batches.groupBy("batch").cogroup(replies.groupBy("batch")).applyInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
 
 
 def held_out_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
