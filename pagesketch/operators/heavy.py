@@ -72,7 +72,7 @@ def pair_key():
     return H.fingerprint(F.concat(F.length("left").cast("string"), F.lit(":"), F.col("left"), F.lit("|"), F.col("right")))
 
 
-def pmi(pairs: DataFrame, n_pairs: int, n_words: int) -> DataFrame:
+def pmi(pairs: DataFrame, n_pairs: int, n_words: int, digits: int = 6) -> DataFrame:
     """Adds the pointwise mutual information of (pair_est, left_est, right_est)."""
     ratio = (F.col("pair_est") / F.lit(n_pairs)) / ((F.col("left_est") / F.lit(n_words)) * (F.col("right_est") / F.lit(n_words)))
-    return pairs.withColumn("pmi", F.round(F.log2(ratio), 6))
+    return pairs.withColumn("pmi", F.round(F.log2(ratio), digits))

@@ -195,7 +195,7 @@ def pair_pmi(spark, sf_dir):
     pair_pages = S.paged_build(stream_of(pairs, heavy.pair_key()), geom)
     out = keyed.join(S.paged_estimate_cells(pair_pages, keyed, geom), "item_key").where("est >= 3").withColumnRenamed("est", "pair_est")
     left, right = (word_est.select(F.col("word").alias(s), F.col("est").alias(f"{s}_est")) for s in ("left", "right"))
-    return heavy.pmi(out.join(left, "left").join(right, "right"), n_pairs, n_words).select("left", "right", F.round("pmi", 5).alias("pmi"))
+    return heavy.pmi(out.join(left, "left").join(right, "right"), n_pairs, n_words, digits=5).select("left", "right", "pmi")
 
 
 @register("popularity", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part WHERE p_size = 1"), "SELECT item_key, est FROM pest"))
