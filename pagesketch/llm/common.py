@@ -38,10 +38,20 @@ def durable_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", "") or tempfile.mkdtemp(prefix="pagesketch-"))
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Compute df once and keep it in the shared checkpoint folder."""
-    durable_dir(df.sparkSession)
-    small_batches(df.sparkSession)
+#: Rows that one file of a small kept table holds at least.
+ROWS_PER_FILE = 1_000_000
+
+
+def cut(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """Compute df once and keep it in the shared checkpoint folder.
+
+    rows says about how many rows it has; a small table is then kept in few files, one for each core or million rows.
+    """
+    spark = df.sparkSession
+    durable_dir(spark)
+    small_batches(spark)
+    if rows is not None:
+        df = df.coalesce(max(spark.sparkContext.defaultParallelism, -(-rows // ROWS_PER_FILE)))
     return df.checkpoint(eager=True)
 
 

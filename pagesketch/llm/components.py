@@ -62,15 +62,16 @@ def _local_forests(edges: DataFrame) -> DataFrame:
     return edges.mapInArrow(run, f"src {kind}, dst {kind}")
 
 
-def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
+def components(edges: DataFrame, max_rounds: int = 50, rows: int | None = None) -> DataFrame:
     """(node, component) of every node that an edge (src, dst) has; component is the smallest node reachable.
 
     Loops, repeated edges and either direction are fine; edges with a null end are left out.
-    Every round takes each node's neighbours to the smallest of them, first for the larger
+    rows is about the number of edges, where it is known. Every round takes each node's neighbours to the smallest of them, first for the larger
     neighbours and then for the smaller ones, until only stars are left.
     """
     edges = edges.select("src", "dst").where("src is not null and dst is not null and src <> dst")
-    edges = cut(_local_forests(edges))
+    edges = cut(_local_forests(edges), rows)
+    rows = edges.count()
     for _ in range(max_rounds):
         both = edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
         low = both.groupBy("src").agg(F.min("dst").alias("low")).select("src", F.least("src", "low").alias("low"))
@@ -78,7 +79,7 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         low = large.groupBy("src").agg(F.min("dst").alias("low"))
         small = large.join(low, "src")
         small = small.where("dst <> low").select(F.col("dst").alias("src"), F.col("low").alias("dst")).unionByName(low.select("src", F.col("low").alias("dst")))
-        edges = cut(small.where("src <> dst").distinct())
+        edges = cut(small.where("src <> dst").distinct(), rows)
         roots = edges.select(F.col("dst").alias("src")).distinct()
         twice = edges.groupBy("src").count().where("count > 1").select("src")
         if not edges.join(roots, "src", "left_semi").select("src").unionByName(twice).take(1):

@@ -184,7 +184,7 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     owns a group with other ids, and a group of null ids only has keep_id null and kept
     true. Other columns are ignored. An empty table gives no rows.
     """
-    found = cut(owners(docs, id_col, text_col, spill_bytes))
+    found = cut(owners(docs, id_col, text_col, spill_bytes), docs.count())
     total = found.agg(F.coalesce(F.sum("n_rows"), F.lit(0))).first()[0]
     out = join_with_hot_keys(digests(docs, id_col, text_col), found, ["text_len", "digest"], "n_rows", total)
     return out.select(

@@ -97,13 +97,14 @@ def scan(docs: DataFrame, path: Column, id_col: str = "doc_id", text_col: str =
     Rows that repeat a doc_id share the best header of them all.
     """
     files = docs.select(F.col(id_col).alias("file_id"), F.coalesce(path, F.lit("")).alias("path"), F.col(text_col).alias("text"))
-    found = cut(header_matches(files.select("file_id", "text"), templates, min_cosine))
+    n = files.count()
+    found = cut(header_matches(files.select("file_id", "text"), templates, min_cosine), n)
     names = files.select("file_id", "path").withColumn("dir", F.regexp_replace("path", r"/?[^/]*$", "")).withColumn("name", F.regexp_extract("path", r"([^/]*)$", 1))
     own = names.join(found, "file_id", "left")
     givers = own.where(F.col("license").isNotNull() & ((F.col("n_lines") == 1) | F.col("name").rlike(LICENSE_FILE)))
     givers = givers.groupBy("dir").agg(F.min(F.struct((-F.col("cosine")).alias("c"), "name", "license")).alias("best"))
     givers = givers.select(F.col("dir").alias("giver"), F.col("best.license").alias("given"))
-    dirs = cut(own.groupBy("dir").agg(F.count("*").alias("n_files")))
+    dirs = cut(own.groupBy("dir").agg(F.count("*").alias("n_files")), n)
     parts = F.split("dir", "/")
     chain = F.transform(F.sequence(F.lit(0), F.size(parts)), lambda i: F.concat_ws("/", F.slice(parts, F.lit(1), i)))
     near = dirs.select("dir", F.explode(chain).alias("giver")).join(givers, "giver").groupBy("dir").agg(F.max(F.struct(F.length("giver").alias("depth"), "giver", "given")).alias("near"))

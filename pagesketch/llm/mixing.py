@@ -106,7 +106,7 @@ def mix(
     rows = rows.mapInArrow(over_chunks(_count_words), "doc_id bigint, lang string, source string, n_tokens bigint").where("n_tokens > 0")
     rows = rows.select("doc_id", domain_of(F.col("source")).alias("domain"), "lang", "source", "n_tokens")
     leaves = rows.groupBy(*LEVELS).agg(F.count("*").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
-    leaves = cut(leaf_budgets(leaves, permille, max_epochs).withColumnRenamed("n_tokens", "leaf_tokens"))
+    leaves = cut(leaf_budgets(leaves, permille, max_epochs).withColumnRenamed("n_tokens", "leaf_tokens"), 0)
     total = leaves.agg(F.coalesce(F.sum("n_docs"), F.lit(0))).first()[0]
     rows = join_with_hot_keys(rows, leaves, list(LEVELS), "n_docs", total).where("budget > 0")
     whole = F.floor(F.col("budget") / F.col("leaf_tokens")).cast("int")

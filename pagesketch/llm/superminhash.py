@@ -135,13 +135,13 @@ def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * both >= percent * (len(a) + len(b) - both)
 
 
-def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
+def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int, n: int) -> DataFrame:
     """The pairs (hub, member) whose full sets are similar, as edges (src, dst).
 
     A hub's set is copied to as many tasks as its members need; sets stream past it.
     """
     ids = pairs.select(F.col("hub").alias("doc_id")).unionByName(pairs.select(F.col("member").alias("doc_id"))).distinct()
-    sets = cut(full_sets(docs.join(ids, "doc_id", "left_semi"), width))
+    sets = cut(full_sets(docs.join(ids, "doc_id", "left_semi"), width), n)
     sizes = pairs.groupBy("hub").agg(F.ceil(F.count("*") / SALT_ROWS).cast("int").alias("salts"))
     members = pairs.join(sizes, "hub").withColumn("salt", F.pmod(F.xxhash64("member"), F.col("salts")).cast("int"))
     members = members.join(sets.withColumnRenamed("doc_id", "member"), "member").select("hub", "salt", F.lit(1).alias("kind"), "member", "body")
@@ -173,18 +173,19 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80, bands: int =
     """
     source = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     found = cut(sketches(source, width, bands, rows))
+    n = found.count()
     full = found.where("n_shingles > 0 and doc_id is not null")
-    groups = cut(full.groupBy("n_shingles", "fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")))
+    groups = cut(full.groupBy("n_shingles", "fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), n)
     cells = groups.select("rep", "n_shingles", F.explode("bands").alias("bucket"))
     hubs = cells.groupBy("bucket").agg(F.min(F.struct("rep", "n_shingles")).alias("hub"), F.count("*").alias("n")).where("n > 1")
-    members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")))
+    members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")), n * bands)
     pairs = members.where((F.col("rep") != F.col("hub")) & _close_sizes("n_shingles", "hub_n", percent)).select("hub", F.col("rep").alias("member")).distinct()
-    pairs = cut(pairs)
-    edges = cut(verified(source, pairs, width, percent))
-    links = components(edges)
-    more = cut(missed_links(source, members, links, width, percent, bands * rows))
+    pairs = cut(pairs, n)
+    edges = cut(verified(source, pairs, width, percent, n), n)
+    links = components(edges, rows=n)
+    more = cut(missed_links(source, members, links, width, percent, bands * rows, n), n)
     if more.take(1):
-        links = components(edges.unionByName(more))
+        links = components(edges.unionByName(more), rows=n)
     owner = groups.select("rep", "n_shingles", "fp1", "fp2").join(links.withColumnRenamed("node", "rep"), "rep", "left")
     owner = owner.select("n_shingles", "fp1", "fp2", F.coalesce("component", "rep").alias("component"))
     out = found.join(owner, ["n_shingles", "fp1", "fp2"], "left")
@@ -255,7 +256,7 @@ def _cells(group: list[tuple]) -> tuple[np.ndarray, ...]:
     return tuple(np.array([r[i] for r in group]) for i in range(4))
 
 
-def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: int, percent: int, places: int) -> DataFrame:
+def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: int, percent: int, places: int, n: int) -> DataFrame:
     """Links between members of one bucket that the first round left in different components, as edges.
 
     Members of such a bucket meet in blocks. Signatures whose share of equal values is not more than SLACK
@@ -264,9 +265,9 @@ def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: i
     """
     named = members.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
     open_buckets = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks"))
-    named = cut(named.join(open_buckets.where("low <> high").select("bucket", "blocks"), "bucket"))
+    named = cut(named.join(open_buckets.where("low <> high").select("bucket", "blocks"), "bucket"), n)
     chosen = docs.join(named.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    values_of = cut(small_signatures(chosen, width, places)).withColumnRenamed("doc_id", "rep")
+    values_of = cut(small_signatures(chosen, width, places), n).withColumnRenamed("doc_id", "rep")
     least = int((percent / 100 - SLACK) * places)
 
     def alike(group: list[tuple]) -> Iterator[tuple[int, int]]:
@@ -278,10 +279,10 @@ def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: i
                 yield int(cells[1][i]), int(cells[1][k])
 
     columns = ["rep", "component", "n_shingles"]
-    rough = components(_forests(_in_blocks(named.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike))
+    rough = components(_forests(_in_blocks(named.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike), rows=n)
     about = named.select(*columns).distinct().join(rough.withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"), "rep")
     sizes = about.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK_ROWS, F.sum("n_shingles") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
-    about = cut(about.join(sizes, "cluster"))
+    about = cut(about.join(sizes, "cluster"), n)
     bodies = full_sets(docs.join(about.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), width).withColumnRenamed("doc_id", "rep")
 
     def similar(group: list[tuple]) -> Iterator[tuple[int, int]]:

@@ -114,7 +114,8 @@ def judge_urls(
     edges = page_edges(pages, url_col, html_col)
     if redirects is not None:
         edges = edges.unionByName(redirects.select(alias_key(F.col("src_url")).alias("src"), alias_key(F.col("dst_url")).alias("dst")))
-    groups = cut(components(edges))
+    n = pages.count()
+    groups = cut(components(edges, rows=n), n)
     as_url = F.concat(F.lit("x://"), F.col("node"))
     _, node_verdict = rule_of(host_of(as_url), path_of(as_url), rules)
     by_group = groups.withColumn("v", node_verdict).groupBy("component").agg(
