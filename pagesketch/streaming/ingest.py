@@ -111,3 +111,10 @@ def first_only(stream: DataFrame, key: str, watermark: str = "1 hour") -> DataFr
 
 def final_pages(spark: SparkSession, store: PageStore) -> DataFrame:
     return S.paged_pack(store.read(), store.geom)
+
+
+def soak_source(spark: SparkSession, rows_per_second: int = 1000, keys: int = 10_000) -> DataFrame:
+    """An endless stream of items for soak runs: keys of a bounded range, the smaller ones more often."""
+    rate = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    skewed = F.floor(F.lit(keys) * F.pow(F.pmod(F.xxhash64("value"), F.lit(1 << 20)) / float(1 << 20), 3)).cast("bigint")
+    return rate.select(F.col("timestamp").alias("ts"), skewed.alias("item_key"), F.lit(1).cast("bigint").alias("weight"))
