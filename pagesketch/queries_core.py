@@ -93,7 +93,7 @@ def cfg_table(spark, sf_dir):
     return spark.createDataFrame(rows, "size_mib bigint, width bigint, depth bigint, n bigint")
 
 
-@register("cfg_scaling", "SELECT (1073741824::BIGINT * f) AS n, round(16.0 * f, 6) AS overestimate_at_fixed_eps, round(ln(100.0) * exp(1.0) * 67108864 * 4 / 1e9, 6) AS gb_at_fixed_eps, round(ln(100.0) * exp(1.0) * 67108864 * f * 4 / 1e9, 6) AS gb_at_fixed_overestimate FROM (VALUES (1), (2)) t(f)")
+@register("cfg_scaling", "SELECT (1073741824::BIGINT * f) AS n, round(16.0 * f, 6)::DOUBLE AS overestimate_at_fixed_eps, round(ln(100.0) * exp(1.0) * 67108864 * 4 / 1e9, 6) AS gb_at_fixed_eps, round(ln(100.0) * exp(1.0) * 67108864 * f * 4 / 1e9, 6) AS gb_at_fixed_overestimate FROM (VALUES (1), (2)) t(f)")
 def cfg_scaling(spark, sf_dir):
     n, eps = 1 << 30, 2.0**-26
     rows = [(n * f, round(n * f * eps, 6), round(size_formula(eps, 0.01) / 1e9, 6), round(size_formula(16 / (n * f), 0.01) / 1e9 if f > 1 else size_formula(eps, 0.01) / 1e9, 6)) for f in (1, 2)]
@@ -125,7 +125,7 @@ def cfg_buffer(spark, sf_dir):
     return spark.createDataFrame(rows, "size_mib bigint, capacity bigint, update_io double")
 
 
-@register("bounds_flat", with_(BASE, "SELECT n, round(8.0, 6) AS error, 0.01::DOUBLE AS failure FROM cfg"))
+@register("bounds_flat", with_(BASE, "SELECT n, 8.0::DOUBLE AS error, 0.01::DOUBLE AS failure FROM cfg"))
 def bounds_flat(spark, sf_dir):
     c = case(spark, sf_dir)
     b = bounds.flat(c.cfg, c.n)
@@ -430,7 +430,7 @@ def io_paged_query(spark, sf_dir):
 
 
 def _inserts(capacities: str) -> str:
-    return f"SELECT capacity, sum(u)::BIGINT AS ops, sum(u // capacity)::BIGINT AS full_flushes, count(*) FILTER (u % capacity > 0)::BIGINT AS drains, (sum(u // capacity) + count(*) FILTER (u % capacity > 0))::BIGINT AS ios, round((sum(u // capacity) + count(*) FILTER (u % capacity > 0))::DOUBLE / sum(u), 6) AS io_per_op FROM (SELECT page, count(*) AS u FROM items JOIN pg USING (item_key) GROUP BY 1) CROSS JOIN (VALUES {capacities}) v(capacity) GROUP BY 1"
+    return f"SELECT capacity::BIGINT AS capacity, sum(u)::BIGINT AS ops, sum(u // capacity)::BIGINT AS full_flushes, count(*) FILTER (u % capacity > 0)::BIGINT AS drains, (sum(u // capacity) + count(*) FILTER (u % capacity > 0))::BIGINT AS ios, round((sum(u // capacity) + count(*) FILTER (u % capacity > 0))::DOUBLE / sum(u), 6) AS io_per_op FROM (SELECT page, count(*) AS u FROM items JOIN pg USING (item_key) GROUP BY 1) CROSS JOIN (VALUES {capacities}) v(capacity) GROUP BY v.capacity"
 
 
 @register("io_paged_insert", with_(BASE, _inserts("(25)")))
