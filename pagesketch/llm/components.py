@@ -74,9 +74,11 @@ def components(edges: DataFrame, max_rounds: int = 50, rows: int | None = None)
     rows = edges.count()
     for _ in range(max_rounds):
         both = edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
-        low = both.groupBy("src").agg(F.min("dst").alias("low")).select("src", F.least("src", "low").alias("low"))
+        # kept, so that the join has nothing but a shuffle on either side and a hub's edges can be split
+        low = cut(both.groupBy("src").agg(F.min("dst").alias("low")).select("src", F.least("src", "low").alias("low")), rows)
         large = both.join(low, "src").where("dst > src").select(F.col("dst").alias("src"), F.col("low").alias("dst")).distinct()
-        low = large.groupBy("src").agg(F.min("dst").alias("low"))
+        large = cut(large, rows)
+        low = cut(large.groupBy("src").agg(F.min("dst").alias("low")), rows)
         small = large.join(low, "src")
         small = small.where("dst <> low").select(F.col("dst").alias("src"), F.col("low").alias("dst")).unionByName(low.select("src", F.col("low").alias("dst")))
         edges = cut(small.where("src <> dst").distinct(), rows)

@@ -142,7 +142,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int, n: int
     """
     ids = pairs.select(F.col("hub").alias("doc_id")).unionByName(pairs.select(F.col("member").alias("doc_id"))).distinct()
     sets = cut(full_sets(docs.join(ids, "doc_id", "left_semi"), width), n)
-    sizes = pairs.groupBy("hub").agg(F.ceil(F.count("*") / SALT_ROWS).cast("int").alias("salts"))
+    sizes = cut(pairs.groupBy("hub").agg(F.ceil(F.count("*") / SALT_ROWS).cast("int").alias("salts")), n)
     members = pairs.join(sizes, "hub").withColumn("salt", F.pmod(F.xxhash64("member"), F.col("salts")).cast("int"))
     members = members.join(sets.withColumnRenamed("doc_id", "member"), "member").select("hub", "salt", F.lit(1).alias("kind"), "member", "body")
     hubs = sizes.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).join(sets.withColumnRenamed("doc_id", "hub"), "hub")
@@ -178,6 +178,7 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80, bands: int =
     groups = cut(full.groupBy("n_shingles", "fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), n)
     cells = groups.select("rep", "n_shingles", F.explode("bands").alias("bucket"))
     hubs = cells.groupBy("bucket").agg(F.min(F.struct("rep", "n_shingles")).alias("hub"), F.count("*").alias("n")).where("n > 1")
+    hubs = cut(hubs, n)  # kept, so that the join can split a hot bucket
     members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")), n * bands)
     pairs = members.where((F.col("rep") != F.col("hub")) & _close_sizes("n_shingles", "hub_n", percent)).select("hub", F.col("rep").alias("member")).distinct()
     pairs = cut(pairs, n)
@@ -265,7 +266,8 @@ def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: i
     """
     named = members.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
     open_buckets = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks"))
-    named = cut(named.join(open_buckets.where("low <> high").select("bucket", "blocks"), "bucket"), n)
+    open_buckets = cut(open_buckets.where("low <> high").select("bucket", "blocks"), n)
+    named = cut(named.join(open_buckets, "bucket"), n)
     chosen = docs.join(named.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
     values_of = cut(small_signatures(chosen, width, places), n).withColumnRenamed("doc_id", "rep")
     least = int((percent / 100 - SLACK) * places)
@@ -282,6 +284,7 @@ def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: i
     rough = components(_forests(_in_blocks(named.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike), rows=n)
     about = named.select(*columns).distinct().join(rough.withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"), "rep")
     sizes = about.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK_ROWS, F.sum("n_shingles") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
+    sizes = cut(sizes, n)
     about = cut(about.join(sizes, "cluster"), n)
     bodies = full_sets(docs.join(about.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), width).withColumnRenamed("doc_id", "rep")
 
