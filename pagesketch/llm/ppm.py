@@ -110,7 +110,7 @@ def bucket_of(keys: np.ndarray, buckets: int) -> np.ndarray:
 
 GRAMS, WORDS = 0, 1
 #: Bytes of text whose keys are in memory together.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 2 << 20
 
 
 def _keys(kind: int, rows: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
@@ -131,13 +131,16 @@ class BatchKeys:
     buckets: int
 
     def __post_init__(self) -> None:
-        self.slices, found, first = [], [], 0
+        self.slices, first = [], 0
         for part in chunks(self.rows, "text", SLICE_BYTES):
             keys, owner = _keys(self.kind, part)
             codes, own = pd.factorize(keys)
-            self.slices.append((codes.astype(np.int32), np.asarray(own, np.int64), (owner + first).astype(np.int32)))
-            found.append(self.slices[-1][1])
+            order = np.argsort(own)
+            rank = np.empty(len(order), np.int32)
+            rank[order] = np.arange(len(order), dtype=np.int32)
+            self.slices.append((rank[codes], np.asarray(own, np.int64)[order], (owner + first).astype(np.int32)))
             first += part.num_rows
+        found = [own for _, own, _ in self.slices]
         self.distinct = np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64)
         bucket = bucket_of(self.distinct, self.buckets)
         self.order = np.argsort(bucket, kind="stable")
