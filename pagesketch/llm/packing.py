@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import Texts, cut, over_chunks
+from pagesketch.llm.common import ARROW_BYTES, Texts, cut, over_chunks
 
 WINDOW = 2048
 END_ID = 1
@@ -133,7 +133,7 @@ def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text
         return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([x + end for x in ids], pa.binary())], ["doc_id", "ids"])
 
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(over_chunks(run), "doc_id bigint, ids binary")
+    return rows.mapInArrow(over_chunks(run, limit=ARROW_BYTES), "doc_id bigint, ids binary")
 
 
 def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
