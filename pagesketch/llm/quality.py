@@ -26,7 +26,7 @@ IS_SYMBOL[list(SYMBOLS)] = True
 
 #: Hash buckets of the multinomials, a parameter of the model and not of the data.
 BUCKETS = 1 << 16
-#: Most labelled rows of which the trusted multinomial is learned; the raw one counts every row.
+#: Most labelled rows of which the trusted multinomial is learned; the raw one counts every row, and the threshold every other trusted row.
 TRUSTED_ROWS = 20_000
 #: Share of trusted documents that the threshold may reject.
 TRUSTED_LOSS = 0.0005
@@ -91,19 +91,23 @@ def grams(texts: Texts, buckets: int) -> tuple[np.ndarray, np.ndarray]:
     return keys.astype(np.int64), np.concatenate([text_of, text_of[pair]])
 
 
+def trusted_rows_of(labels: DataFrame) -> DataFrame:
+    """The doc_id of every labelled row that is good and never toxic, once each."""
+    marks = labels.groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg((F.min("quality") == 1).alias("good"), (F.max(F.coalesce("toxic", F.lit(0))) == 1).alias("bad"))
+    return marks.where("doc_id is not null and good and not bad").select("doc_id")
+
+
 def trusted_ids(labels: DataFrame, most: int = TRUSTED_ROWS) -> np.ndarray:
-    """Ids of labelled rows that are good and never toxic: all, or those with the smallest hashes if there are more than most."""
-    marks = labels.groupBy("doc_id").agg((F.min("quality") == 1).alias("good"), (F.max(F.coalesce("toxic", F.lit(0))) == 1).alias("bad"))
-    good = marks.where("doc_id is not null and good and not bad").select("doc_id")
-    rows = good.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).toPandas()
+    """Ids of trusted rows for the multinomial: all, or those with the smallest hashes if there are more than most."""
+    rows = trusted_rows_of(labels).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).toPandas()
     return np.sort(rows["doc_id"].to_numpy(np.int64))
 
 
-def _trusted(part: pa.RecordBatch, ids: np.ndarray, half: int) -> np.ndarray:
-    """Marks rows of one half of the trusted ids: 0 is learned from, 1 sets the threshold."""
+def _learned(part: pa.RecordBatch, ids: np.ndarray) -> np.ndarray:
+    """Marks rows that the multinomial learns from: half of the ids. All other trusted rows set the threshold."""
     column = part.column("doc_id")
     own = column.fill_null(0).to_numpy()
-    return np.isin(own, ids) & column.is_valid().to_numpy(zero_copy_only=False) & (mix(own.view(np.uint64)) % np.uint64(2) == np.uint64(half))
+    return np.isin(own, ids) & column.is_valid().to_numpy(zero_copy_only=False) & (mix(own.view(np.uint64)) % np.uint64(2) == np.uint64(0))
 
 
 def ngram_counts(rows: DataFrame, trusted, buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
@@ -118,7 +122,7 @@ def ngram_counts(rows: DataFrame, trusted, buckets: int = BUCKETS) -> tuple[np.n
             for part in chunks(batch, "text"):
                 keys, text_of = grams(Texts(part.column("text")), buckets)
                 sums[1] += np.bincount(keys, minlength=buckets)
-                sums[0] += np.bincount(keys[_trusted(part, trusted.value, 0)[text_of]], minlength=buckets)
+                sums[0] += np.bincount(keys[_learned(part, trusted.value)[text_of]], minlength=buckets)
         found = np.flatnonzero(sums[1])
         yield pa.RecordBatch.from_arrays([pa.array(found), pa.array(sums[0][found]), pa.array(sums[1][found])], ["bucket", "trusted", "raw"])
 
@@ -153,7 +157,7 @@ class Judge:
     """
 
     def __init__(self, docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", buckets: int = BUCKETS, trusted_rows: int = TRUSTED_ROWS, trusted_loss: float = TRUSTED_LOSS):
-        self.docs, self.id_col, self.text_col, self.loss = docs, id_col, text_col, trusted_loss
+        self.docs, self.labels, self.id_col, self.text_col, self.loss = docs, labels, id_col, text_col, trusted_loss
         context = docs.sparkSession.sparkContext
         self.trusted = context.broadcast(trusted_ids(labels, trusted_rows))
         self.table = context.broadcast(ratios(*ngram_counts(self._rows(), self.trusted, buckets)))
@@ -167,23 +171,28 @@ class Judge:
         def run(part: pa.RecordBatch) -> pa.RecordBatch:
             texts = Texts(part.column("text"))
             base, llr = base_measures(texts), grid_ratio(texts, table.value)
-            cells = {"doc_id": part.column("doc_id"), "trusted": pa.array(_trusted(part, trusted.value, 1))} | {k: pa.array(v) for k, v in base.items()}
+            cells = {"doc_id": part.column("doc_id"), "learned": pa.array(_learned(part, trusted.value))} | {k: pa.array(v) for k, v in base.items()}
             cells |= {"llr_grid": pa.array(llr), "base_failed": pa.array(base_failed(base))}
             return pa.RecordBatch.from_arrays(list(cells.values()), list(cells))
 
-        kinds = "doc_id bigint, trusted boolean, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, llr_grid bigint, base_failed boolean"
+        kinds = "doc_id bigint, learned boolean, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, llr_grid bigint, base_failed boolean"
         return self._rows().mapInArrow(over_chunks(run), kinds)
 
+    def _limit(self, scored: DataFrame) -> int:
+        """The threshold over all trusted rows that were not learned from. Only their ids and grid scores are joined to the ids of all labels."""
+        held_out = scored.where("not learned and not base_failed").select("doc_id", "llr_grid")
+        return threshold(held_out.join(trusted_rows_of(self.labels), "doc_id", "left_semi"), self.loss)
+
     def verdicts(self) -> DataFrame:
         """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, llr, base_failed and kept of every row."""
         scored = cut(self._scored())
-        limit = threshold(scored.where("trusted and not base_failed"), self.loss)
+        limit = self._limit(scored)
         out = scored.withColumn("kept", ~F.col("base_failed") & (F.col("llr_grid") >= F.lit(limit)))
         return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", (F.col("llr_grid") / GRID).alias("llr"), "base_failed", "kept")
 
     def kept_rows(self) -> DataFrame:
         """The rows of docs that are kept, with all their columns; the texts are never shuffled."""
-        limit = threshold(self._scored().where("trusted and not base_failed").select("llr_grid"), self.loss)
+        limit = self._limit(self._scored())
         table, text_col = self.table, self.text_col
 
         def run(part: pa.RecordBatch) -> pa.RecordBatch:

@@ -53,6 +53,25 @@ def test_ratio_against_plain_counts(spark):
     assert min(rows[i] for i in range(8)) > max(rows[i] for i in range(8, 16))
 
 
+def test_threshold_covers_all_trusted_rows(spark):
+    """The bound on labelled rows holds for the multinomial alone: every other trusted row sets the threshold."""
+    rng = np.random.default_rng(0)
+    rows = [(i, " ".join(f"w{j}" for j in rng.integers(0, 20 + 10 * i, 200))) for i in range(120)]
+    docs = spark.createDataFrame([*rows, (None, rows[0][1])], "doc_id bigint, text string").repartition(3)
+    marks = spark.createDataFrame([(i, 1, 0) for i in range(100)], "doc_id bigint, quality int, toxic int")
+    judge = quality.Judge(docs, marks, trusted_rows=6, trusted_loss=0.1)
+    scored = judge._scored().collect()
+    ids = judge.trusted.value
+    learned = set(ids[quality.mix(ids.view(np.uint64)) % np.uint64(2) == 0].tolist())
+    assert 0 < len(learned) < 6 == len(judge.trusted.value)
+    held_out = sorted(r["llr_grid"] for r in scored if r["doc_id"] is not None and r["doc_id"] < 100 and r["doc_id"] not in learned and not r["base_failed"])
+    assert len(held_out) > 30
+    limit = max(x for x in held_out if sum(y < x for y in held_out) <= 0.1 * len(held_out))
+    kept = {r["doc_id"] for r in scored if not r["base_failed"] and r["llr_grid"] >= limit}
+    assert {r["doc_id"] for r in judge.verdicts().where("kept").collect()} == kept
+    assert {r["doc_id"] for r in judge.kept_rows().collect()} == kept
+
+
 def test_quality_of_odd_rows(odd, odd_rows, none, labels):
     got = quality.Judge(odd, labels).verdicts()
     assert got.count() == len(odd_rows)
