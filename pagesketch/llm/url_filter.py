@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
 from dataclasses import dataclass
+from urllib.parse import urljoin
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -33,9 +37,11 @@ RULES = (
 )
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+ABSOLUTE, SCHEME = re.compile(r"[A-Za-z][A-Za-z0-9+.\-]*://"), re.compile(r"[A-Za-z][A-Za-z0-9+.\-]*:")
 CANONICAL_TAG = r"(?is)<link\b[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"
 REFRESH_TAG = r"(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b[^>]*>"
 HREF = r"(?is)\bhref\s*=\s*[\"']?([^\"'\s>]+)"
+BASE_TAG = r"(?is)<base\b[^>]*\bhref\b[^>]*>"
 REFRESH_URL = r"(?is)\burl\s*=\s*[\"']?([^\"'\s>;]+)"
 
 
@@ -60,6 +66,26 @@ def alias_key(url: Column) -> Column:
     return F.when(host != "", F.concat(host, tail))
 
 
+def resolved(url: str, target: str) -> str | None:
+    """The url that a link on the page of url names; None for one that is no web address. http stands for the scheme of the page."""
+    if ABSOLUTE.match(target):
+        return target
+    if SCHEME.match(target):
+        return None
+    try:
+        return urljoin("http://" + url.partition("://")[2], target)
+    except ValueError:
+        return None
+
+
+def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(url, base, target) to (url, target) with target resolved against the base tag, itself resolved against url."""
+    for batch in batches:
+        urls, bases, targets = (batch.column(c).to_pylist() for c in ("url", "base", "target"))
+        out = [resolved((resolved(u, b) if b else None) or u, t) for u, b, t in zip(urls, bases, targets, strict=True)]
+        yield pa.RecordBatch.from_arrays([batch.column("url"), pa.array(out, pa.string())], ["url", "target"])
+
+
 def fits(rule: Rule, host: Column, path: Column) -> Column:
     return ((host == rule.host) | host.endswith("." + rule.host)) & path.startswith(rule.path)
 
@@ -74,15 +100,21 @@ def rule_of(host: Column, path: Column, rules: tuple[Rule, ...] = RULES) -> tupl
 
 
 def page_edges(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """Edges between alias keys that canonical links and redirects of the pages state."""
+    """Edges between alias keys that all canonical links and redirects of the pages state.
+
+    Relative links are resolved against the url of the page, or its first base tag.
+    """
     html = F.coalesce(F.col(html_col), F.lit(""))
-    targets = F.array(
-        F.regexp_extract(F.regexp_extract(html, CANONICAL_TAG, 0), HREF, 1),
-        F.regexp_extract(F.regexp_extract(html, REFRESH_TAG, 0), REFRESH_URL, 1),
+    targets = F.concat(
+        F.transform(F.regexp_extract_all(html, F.lit(CANONICAL_TAG), 0), lambda tag: F.regexp_extract(tag, HREF, 1)),
+        F.transform(F.regexp_extract_all(html, F.lit(REFRESH_TAG), 0), lambda tag: F.regexp_extract(tag, REFRESH_URL, 1)),
     )
+    base = F.regexp_extract(F.regexp_extract(html, BASE_TAG, 0), HREF, 1)
     found = pages.where(F.lower(html).contains("canonical") | F.lower(html).contains("refresh"))
-    found = found.select(alias_key(F.col(url_col)).alias("src"), F.explode(targets).alias("target"))
-    return found.select("src", alias_key(F.col("target")).alias("dst")).where("src is not null and dst is not null and src <> dst")
+    found = found.where(F.col(url_col).contains("://")).select(F.col(url_col).alias("url"), base.alias("base"), F.explode(F.array_distinct(targets)).alias("target"))
+    found = found.where("target <> ''").mapInArrow(_resolve, "url string, target string")
+    edges = found.select(alias_key(F.col("url")).alias("src"), alias_key(F.col("target")).alias("dst"))
+    return edges.where("src is not null and dst is not null and src <> dst")
 
 
 def judge_urls(

@@ -59,6 +59,28 @@ def test_aliases(spark):
     assert got == [(1, "block"), (2, "block"), (3, "allow"), (4, "allow"), (5, "block"), (6, "allow"), (6, "allow"), (7, "block")]
 
 
+def test_relative_and_repeated_aliases(spark):
+    rows = [
+        (1, "http://a.com/x/y?q", link("/bad")),
+        (2, "http://b.com/x/y?q#f", link("z/../bad")),
+        (3, "http://c.com/x/y?q", link("?id=1")),
+        (4, "http://d.com/x", refresh("next.html")),
+        (5, "http://e.com/x", link("//bad.net/x")),
+        (6, "http://f.com/x", link("") + link("#top") + refresh("") + link("http://ok.info/") + link("//bad.net/x") + refresh("http://ok.info/2")),
+        (7, "http://g.com", link("bad")),
+        (8, "http://h.com/", link("mailto:a@b") + link("javascript:go('http://bad.net/x')") + link("/go?u=http://bad.net/x")),
+        (9, "http://i.com/x", '<base href="//j.com/deep/">' + link("../bad")),
+        (10, None, link("/bad")),
+        (11, "http://k.com/a/b/", link("../../../bad/.")),
+        (12, "http://l.com/x", refresh("http://ok.info/3") + refresh("https://bad.net/x")),
+    ]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    bad = ["a.com/bad", "b.com/x/bad", "c.com/x/y?id=1", "d.com/next.html", "g.com/bad", "j.com/bad", "k.com/bad/"]
+    redirects = spark.createDataFrame([(f"http://{u}", "http://bad.net/x") for u in bad], "src_url string, dst_url string")
+    got = {r["page_id"]: r["verdict"] for r in url_filter.judge_urls(pages, redirects=redirects).collect()}
+    assert got == {i: "allow" if i in (8, 10) else "block" for i in range(1, 13)}
+
+
 def test_license_inheritance(spark):
     apache, mit = license_scan.TEMPLATES["Apache-2.0"], license_scan.TEMPLATES["MIT"]
     rows = [
