@@ -198,6 +198,57 @@ def pair_pmi(spark, sf_dir):
     return heavy.pmi(out.join(left, "left").join(right, "right"), n_pairs, n_words, digits=5).select("left", "right", "pmi")
 
 
+DOC_PAIRS = PAIRS.replace("item_id", "doc_id").replace("FROM benchmark", "FROM documents")
+
+
+def kept_counts(spark, rows: DataFrame, name: str) -> DataFrame:
+    """Counts, combined in each task before their shuffle, written once so that sizing, sketch and names do not split the texts again."""
+    path = f"{scratch_dir(spark)}/{name}"
+    rows.write.parquet(path)
+    return spark.read.parquet(path)
+
+
+def doc_pair_counts(docs: DataFrame) -> DataFrame:
+    return heavy.pair_stream(docs).groupBy("left", "right").agg(F.sum("weight").alias("n"))
+
+
+@register("doc_word_pairs", f'WITH {DOC_PAIRS} SELECT "left", "right", count(*)::BIGINT AS n FROM pairs GROUP BY 1, 2')
+def doc_word_pairs(spark, sf_dir):
+    return doc_pair_counts(table(spark, sf_dir, "documents"))
+
+
+def doc_pair_estimates(spark, docs: DataFrame) -> tuple[DataFrame, Case]:
+    """(left, right, est) of all pairs of the documents, from a sketch sized by their number."""
+    keyed = kept_counts(spark, doc_pair_counts(docs).withColumn("item_key", heavy.pair_key()), "pairs")
+    c = Case(stream_of(keyed, "item_key", "n"))
+    est = S.paged_estimate(c.packed(), keyed, c.geom)
+    return keyed.select("left", "right", "item_key").join(est, "item_key").select("left", "right", "est"), c
+
+
+@register("doc_top_pairs", f'WITH {DOC_PAIRS}, {O.sketch_ctes(PAIR_ITEMS)} SELECT "left", "right", est FROM (SELECT DISTINCT "left", "right", {PAIR_KEY} AS item_key FROM pairs) JOIN pest USING (item_key) ORDER BY est DESC, "left", "right" LIMIT 20')
+def doc_top_pairs(spark, sf_dir):
+    est, _ = doc_pair_estimates(spark, table(spark, sf_dir, "documents"))
+    return est.orderBy(F.desc("est"), "left", "right").limit(20)
+
+
+def pmi_of(spark, docs: DataFrame) -> DataFrame:
+    """(left, right, pmi) of the pairs that a sketch of pairs and one of words, each sized by its stream, estimate at 3 or more."""
+    pairs, c = doc_pair_estimates(spark, docs)
+    words = heavy.words(docs).groupBy("word").agg(F.count("*").alias("n")).withColumn("item_key", H.fingerprint(F.col("word")))
+    words = kept_counts(spark, words, "words")
+    w = Case(stream_of(words, "item_key", "n"))
+    word_est = words.select("word", "item_key").join(S.paged_estimate(w.packed(), words, w.geom), "item_key")
+    left, right = (word_est.select(F.col("word").alias(s), F.col("est").alias(f"{s}_est")) for s in ("left", "right"))
+    named = pairs.where("est >= 3").withColumnRenamed("est", "pair_est").join(left, "left").join(right, "right")
+    return heavy.pmi(named, c.n, w.n, digits=5).select("left", "right", "pmi")
+
+
+@register("doc_pair_pmi")
+def doc_pair_pmi(spark, sf_dir):
+    """Estimates may err here; a test holds them against brute force."""
+    return pmi_of(spark, table(spark, sf_dir, "documents"))
+
+
 @register("popularity", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part WHERE p_size = 1"), "SELECT item_key, est FROM pest"))
 def popularity(spark, sf_dir):
     c = parts(spark, sf_dir)
