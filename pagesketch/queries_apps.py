@@ -143,6 +143,16 @@ def hot_prompts(spark, sf_dir):
     return named_top(asks.select(F.regexp_extract(F.lower("text"), r"[^ \n\t]+", 0).alias("t")), 10)
 
 
+PROMPT = r"trim(regexp_replace(lower(text), '[ \n\t]+', ' ', 'g'))"
+
+
+@register("hot_prompt_texts", _named_top("prompt_texts", f"SELECT {PROMPT} AS t FROM conversations WHERE role = 'user'", 10))
+def hot_prompt_texts(spark, sf_dir):
+    """The most frequent user turns, each by its whole text with white space collapsed; hot_prompts counts their first words."""
+    asks = table(spark, sf_dir, "conversations").where("role = 'user'")
+    return named_top(asks.select(F.trim(F.regexp_replace(F.lower("text"), r"[ \n\t]+", " ")).alias("t")), 10)
+
+
 WORDS = r"SELECT unnest(list_filter(regexp_split_to_array(lower(text), '[ \n\t]+'), lambda w: w <> '')) AS t FROM documents"
 
 
