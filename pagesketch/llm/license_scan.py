@@ -30,6 +30,9 @@ TEMPLATES = {
 #: A header line has one of these.
 ANCHORS = ("licens", "licenc", "copyright", "spdx", "redistribution", "public domain")
 LICENSE_FILE = r"(?i)^(licen[sc]e|copying|notice|unlicense)(\.[a-z]+)?$"
+#: A licence expression after the tag of the SPDX short form, in lower case.
+SPDX_ID = r"\(*[a-z0-9.+\-]+\)*"
+SPDX = rf"spdx-license-identifier:[ \t]*({SPDX_ID}(?:[ \t]+(?:and|or|with)[ \t]+{SPDX_ID})*)"
 TERM = r"[^a-z0-9]+"
 MIN_COSINE = 0.5
 
@@ -55,10 +58,16 @@ def _lines(text: Column) -> Column:
     return F.filter(F.split(text, "\n"), lambda x: F.trim(F.regexp_replace(x, r"[\x09-\x0D]", " ")) != "")
 
 
+def identifiers(low: Column) -> Column:
+    """The identifiers that the SPDX tags of a lower-cased text name, without brackets and without -only, -or-later or +."""
+    names = F.flatten(F.transform(F.regexp_extract_all(low, F.lit(SPDX), 1), lambda x: F.split(x, r"[ \t()]+")))
+    return F.array_distinct(F.transform(names, lambda x: F.regexp_replace(x, r"(-only|-or-later|\+)?\.?$", "")))
+
+
 def header_matches(files: DataFrame, templates: dict[str, str] = TEMPLATES, min_cosine: float = MIN_COSINE) -> DataFrame:
     """Best template of every file (file_id, text) with a header: file_id, license, cosine, n_lines.
 
-    Ties go to the template that comes first by name.
+    A line that names a template's SPDX identifier fits it with cosine 1. Ties go to the template that comes first by name.
     """
     idf, other, vectors = weights(templates)
     spark = files.sparkSession
@@ -66,8 +75,9 @@ def header_matches(files: DataFrame, templates: dict[str, str] = TEMPLATES, min_
     sparse = spark.createDataFrame(entries, "license string, term string, template_weight double")
     known = spark.createDataFrame([(t, float(w)) for t, w in idf.items()], "term string, idf double")
     low = F.lower(F.col("text"))
-    anchored = files.where(_any_anchor(low)).select("file_id", _lines(F.col("text")).alias("lines"))
-    lines = anchored.select("file_id", F.size("lines").alias("n_lines"), F.posexplode("lines").alias("line_no", "line"))
+    anchored = files.where(_any_anchor(low)).select("file_id", _lines(F.col("text")).alias("lines"), low.contains("spdx-license-identifier:").alias("tagged"), identifiers(low).alias("identifiers"))
+    anchored = anchored.withColumn("n_lines", F.size("lines"))
+    lines = anchored.select("file_id", "n_lines", F.posexplode("lines").alias("line_no", "line"))
     lines = lines.where(_any_anchor(F.lower("line"))).select("file_id", "n_lines", "line_no", F.explode(F.filter(F.split(F.lower("line"), TERM), lambda x: x != "")).alias("term"))
     tf = lines.groupBy("file_id", "n_lines", "line_no", "term").agg(F.count("*").alias("tf"))
     tf = tf.join(F.broadcast(known), "term", "left").withColumn("weight", F.col("tf") * F.coalesce("idf", F.lit(other)))
@@ -78,6 +88,9 @@ def header_matches(files: DataFrame, templates: dict[str, str] = TEMPLATES, min_
     pairs = norms.select("file_id", "n_lines", "line_no", "norm", F.explode("bag").alias("cell")).select("file_id", "n_lines", "line_no", "norm", "cell.term", "cell.weight")
     dots = pairs.join(F.broadcast(sparse), "term").groupBy("file_id", "n_lines", "line_no", "license").agg((F.sum(F.col("weight") * F.col("template_weight")) / F.first("norm")).alias("cosine"))
     dots = dots.withColumn("cosine", F.round("cosine", 6)).where(F.col("cosine") >= min_cosine)
+    by_id = spark.createDataFrame([(k.lower(), k) for k in sorted(templates)], "identifier string, license string")
+    tagged = anchored.where("tagged").select("file_id", "n_lines", F.explode("identifiers").alias("identifier")).join(F.broadcast(by_id), "identifier")
+    dots = dots.select("file_id", "n_lines", "license", "cosine").unionByName(tagged.select("file_id", "n_lines", "license", F.lit(1.0).alias("cosine")))
     best = dots.groupBy("file_id").agg(F.min(F.struct((-F.col("cosine")).alias("c"), "license", "n_lines")).alias("best"))
     return best.select("file_id", F.col("best.license").alias("license"), (-F.col("best.c")).alias("cosine"), F.col("best.n_lines").alias("n_lines"))
 

@@ -101,6 +101,22 @@ def test_license_inheritance(spark):
     assert got[6] == got[7] == got[8] == (None, "none", None) and got[9][1] == "inherited"
 
 
+def test_spdx_identifiers(spark):
+    lines = {
+        "SPDX-License-Identifier: MIT": "MIT",
+        "// SPDX-License-Identifier: GPL-3.0": "GPL-3.0",
+        "/* spdx-license-identifier:\tLGPL-3.0-or-later */": "LGPL-3.0",
+        "# SPDX-License-Identifier: (Foo-1.0 OR GPL-3.0+)": "GPL-3.0",
+        "# SPDX-License-Identifier: MPL-2.0 AND Apache-2.0.": "Apache-2.0",
+        "SPDX-License-Identifier: GPL-2.0-only": None,
+        "SPDX-License-Identifier: MIT-0": None,
+        "SPDX-License-Identifier: Foo-1.0 like MIT": None,
+    }
+    files = spark.createDataFrame([(i, f"x{i}/a.c", f"int a;\n{t}\nint b;") for i, t in enumerate(lines)], "doc_id bigint, path string, text string")
+    got = {r["doc_id"]: (r["license"], r["cosine"]) for r in license_scan.scan(files, F.col("path")).collect()}
+    assert got == {i: (k, k and 1.0) for i, k in enumerate(lines.values())}
+
+
 def test_licenses_of_odd_rows(odd, odd_rows, none):
     path = F.concat_ws("/", "source", F.col("doc_id").cast("string"))
     got = license_scan.scan(odd, path)
