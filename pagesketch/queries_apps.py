@@ -266,6 +266,12 @@ def popularity(spark, sf_dir):
     return S.paged_estimate(c.packed(), asked, c.geom)
 
 
+@register("popularity_of_all", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part"), "SELECT item_key, est FROM pest"))
+def popularity_of_all(spark, sf_dir):
+    c = parts(spark, sf_dir)
+    return S.paged_estimate(c.packed(), table(spark, sf_dir, "part").select(F.col("p_partkey").alias("item_key")), c.geom)
+
+
 # --- scans, sinks and the store -------------------------------------------------
 
 
@@ -518,6 +524,14 @@ def udtf_cells(spark, sf_dir):
     return spark.sql("SELECT item_key, page, row, col FROM asked_keys, LATERAL sketch_cells(item_key)")
 
 
+@register("udtf_all_cells", with_(BASE, "SELECT item_key, page, row, col FROM pprobe"))
+def udtf_all_cells(spark, sf_dir):
+    c = case(spark, sf_dir)
+    sqlapi.register(spark, c.geom)
+    c.exact.select("item_key").createOrReplaceTempView("all_asked_keys")
+    return spark.sql("SELECT item_key, page, row, col FROM all_asked_keys, LATERAL sketch_cells(item_key)")
+
+
 @register("sql_surface", with_(BASE, "SELECT item_key, page FROM pg"))
 def sql_surface(spark, sf_dir):
     c = case(spark, sf_dir)
