@@ -6,14 +6,17 @@ work on the bytes of a batch of texts.
 
 from __future__ import annotations
 
+import hashlib
 import tempfile
 from collections.abc import Callable, Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, StructField, StructType
 
 #: Bytes of text that one vectorised step looks at together.
 CHUNK_BYTES = 1 << 20
@@ -45,7 +48,8 @@ ROWS_PER_FILE = 1_000_000
 def cut(df: DataFrame, rows: int | None = None) -> DataFrame:
     """Compute df once and keep it in the shared checkpoint folder.
 
-    rows says about how many rows it has; a small table is then kept in few files, one for each core or million rows.
+    rows says about how many rows it has, for tables of a few numbers a row alone: such a table is kept in few files, one for each core or
+    million rows. Tables with texts, sets or signatures are kept as their tasks write them.
     """
     spark = df.sparkSession
     durable_dir(spark)
@@ -82,11 +86,30 @@ def join_with_hot_keys(left: DataFrame, right: DataFrame, key: list[str], weight
     return out.select(*left.columns, *(F.coalesce(f"hot_{c}", f"cold_{c}").alias(c) for c in values))
 
 
-def rows_that_stay(docs: DataFrame, stay: DataFrame, id_col: str) -> DataFrame:
-    """The rows of docs whose id is in the column stay_id, one of each id, and all rows without an id. One shuffle of the rows."""
-    named = docs.where(F.col(id_col).isNotNull())
-    found = named.join(stay.select("stay_id").distinct(), named[id_col] == F.col("stay_id"), "left_semi")
-    return found.dropDuplicates([id_col]).unionByName(docs.where(F.col(id_col).isNull()))
+ROW_KEY = "kept_row_key"
+
+
+def with_text_key(docs: DataFrame, key: Callable[[bytes], bytes], text_col: str) -> DataFrame:
+    """All columns of docs and the key of each text, null as empty, in the column ROW_KEY."""
+    schema = StructType([*docs.schema.fields, StructField(ROW_KEY, BinaryType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = pa.array([key(x.as_py() or b"") for x in batch.column(text_col).cast(pa.binary())], pa.binary())
+            yield pa.RecordBatch.from_arrays([*batch.columns, keys], [*batch.schema.names, ROW_KEY])
+
+    return docs.mapInArrow(run, schema)
+
+
+def rows_that_stay(docs: DataFrame, stay: DataFrame, id_col: str, text_col: str, key: Callable[[bytes], bytes]) -> DataFrame:
+    """The rows of docs whose id and text key are in the columns stay_id and stay_key, one of each, and all rows without an id.
+
+    Two texts under one id are two rows; only the same text under the same id is a repeated row. One shuffle of the rows.
+    """
+    named = with_text_key(docs.where(F.col(id_col).isNotNull()), key, text_col)
+    stay = stay.select("stay_id", "stay_key").distinct()
+    found = named.join(stay, (named[id_col] == F.col("stay_id")) & (named[ROW_KEY] == F.col("stay_key")), "left_semi")
+    return found.dropDuplicates([id_col, ROW_KEY]).drop(ROW_KEY).unionByName(docs.where(F.col(id_col).isNull()))
 
 
 # --- bytes of a batch of texts -------------------------------------------------
@@ -118,8 +141,77 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
-BYTE_VALUE = mix(np.arange(1, 257, dtype=np.uint64) * GOLDEN)
-BASE = np.uint64(0xD6E8FEB86659FD93)
+#: The initial state of SipHash.
+SIP_START = np.array([0x736F6D6570736575, 0x646F72616E646F6D, 0x6C7967656E657261, 0x7465646279746573], np.uint64)
+#: The key of the words' fingerprints.
+SALT = b"pagesketch-words"
+#: Longer words are hashed one by one.
+SIP_BYTES = 256
+
+
+def _turn(x: np.ndarray, bits: int) -> np.ndarray:
+    return x << np.uint64(bits) | x >> np.uint64(64 - bits)
+
+
+def _sip_rounds(v: list[np.ndarray], times: int) -> list[np.ndarray]:
+    a, b, c, d = v
+    for _ in range(times):
+        a, c = a + b, c + d
+        b, d = _turn(b, 13) ^ a, _turn(d, 16) ^ c
+        a, c = _turn(a, 32) + d, c + b
+        b, d = _turn(b, 17) ^ c, _turn(d, 21) ^ a
+        c = _turn(c, 32)
+    return [a, b, c, d]
+
+
+def siphash(data: np.ndarray, offsets: np.ndarray, key: bytes = SALT) -> np.ndarray:
+    """SipHash-2-4, 64 bits, of the byte strings that lie end to end in data, all of them side by side."""
+    sizes = np.diff(offsets)
+    lanes = sizes // 8 + 1
+    first = np.cumsum(lanes) - lanes
+    body = np.zeros(int(lanes.sum()) * 8, np.uint8)
+    body[np.arange(len(data)) + np.repeat(first * 8 - offsets[:-1], sizes)] = data
+    body[(first + lanes) * 8 - 1] = sizes & 0xFF
+    body = body.view("<u8")
+    order = np.argsort(-lanes, kind="stable")
+    first, lanes = first[order], lanes[order]
+    k0, k1 = np.frombuffer(key, "<u8")
+    v = [np.full(len(lanes), x ^ k) for x, k in zip(SIP_START, (k0, k1, k0, k1), strict=True)]
+    for step in range(int(lanes.max(initial=0))):
+        n = int(np.searchsorted(-lanes, -step, "left"))
+        m = body[first[:n] + step]
+        part = _sip_rounds([v[0][:n], v[1][:n], v[2][:n], v[3][:n] ^ m], 2)
+        part[0] = part[0] ^ m
+        for all_rows, rows in zip(v, part, strict=True):
+            all_rows[:n] = rows
+    v[2] = v[2] ^ np.uint64(0xFF)
+    a, b, c, d = _sip_rounds(v, 4)
+    out = np.empty(len(lanes), np.uint64)
+    out[order] = a ^ b ^ c ^ d
+    return out
+
+
+def fingerprints(words: pa.Array) -> np.ndarray:
+    """64 bits of a keyed hash of each byte string, so that no two words are known or can be built to have the same."""
+    n = len(words)
+    offsets = np.frombuffer(words.buffers()[1], np.int64, n + 1, words.offset * 8)
+    sizes = np.diff(offsets)
+    data = np.frombuffer(words.buffers()[2], np.uint8) if words.buffers()[2] is not None else np.zeros(0, np.uint8)
+    long = np.flatnonzero(sizes > SIP_BYTES)
+    if not len(long):
+        return siphash(data[offsets[0] : offsets[-1]], offsets - offsets[0])
+    keep = sizes <= SIP_BYTES
+    mask = np.repeat(keep, sizes)
+    out = np.empty(n, np.uint64)
+    out[keep] = siphash(data[offsets[0] : offsets[-1]][mask], np.concatenate([[0], np.cumsum(sizes[keep])]))
+    for i in long:
+        out[i] = int.from_bytes(hashlib.blake2b(words[i].as_py(), digest_size=8, key=SALT).digest(), "little")
+    return out
+
+
+def text_digest(raw: bytes) -> bytes:
+    """128 bits of a keyed BLAKE2b."""
+    return hashlib.blake2b(raw, digest_size=16, key=SALT).digest()
 
 
 class Texts:
@@ -158,26 +250,34 @@ class Texts:
         ends = np.flatnonzero(last) + 1
         return starts, ends, np.searchsorted(starts, self.offsets)
 
-    def hashes(self, starts: np.ndarray, ends: np.ndarray, step: int = 1 << 20) -> np.ndarray:
-        """64-bit fingerprints of the byte ranges [start, end), computed block by block."""
-        out = np.empty(len(starts), np.uint64)
-        sizes = ends - starts
-        if not len(sizes):
-            return out
-        power = np.ones(int(sizes.max()), np.uint64)
-        power[1:] = BASE
-        power = np.cumprod(power, dtype=np.uint64)
-        before = np.concatenate([[0], np.cumsum(sizes)])
-        lo = 0
-        while lo < len(sizes):
-            hi = max(lo + 1, int(np.searchsorted(before, before[lo] + step, "right")) - 1)
-            at = np.arange(before[hi] - before[lo])
-            own = before[lo:hi] - before[lo]
-            place = at - np.repeat(own, sizes[lo:hi])
-            at = place + np.repeat(starts[lo:hi], sizes[lo:hi])
-            out[lo:hi] = np.add.reduceat(BYTE_VALUE[self.data[at]] * power[place], own)
-            lo = hi
-        return mix(out + sizes.astype(np.uint64) * GOLDEN)
+    def ranges(self, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, pa.Array]:
+        """A number for each byte range [start, end), equal for equal bytes alone, and the distinct ranges' bytes by number."""
+        after = np.concatenate([np.zeros(1, np.int64), np.cumsum(ends - starts, dtype=np.int64)])
+        inner = ~SPACE[self.data]
+        if int(inner.sum()) == after[-1]:  # the ranges are all but the white space
+            body = self.data[inner]
+        else:
+            body = self.data[np.arange(after[-1]) + np.repeat(starts - after[:-1], ends - starts)]
+        column = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(after), pa.py_buffer(body)])
+        found = column.dictionary_encode()
+        return found.indices.to_numpy().astype(np.int64), found.dictionary
+
+    def hashes(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """64-bit fingerprints of the byte ranges [start, end)."""
+        if not len(starts):
+            return np.zeros(0, np.uint64)
+        codes, distinct = self.ranges(starts, ends)
+        return fingerprints(distinct)[codes]
+
+
+def run_codes(codes: np.ndarray, text_of: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """The places at which runs of width codes inside one text begin, and a number for each, equal for equal runs alone."""
+    at = np.arange(max(0, len(codes) - width + 1))
+    at = at[text_of[at] == text_of[at + width - 1]] if len(at) else at
+    out = codes[at]
+    for shift in range(1, width):
+        out = pd.factorize(out * (int(codes.max(initial=0)) + 1) + codes[at + shift])[0].astype(np.int64)
+    return at, out
 
 
 def chunks(batch: pa.RecordBatch, column: str, limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:

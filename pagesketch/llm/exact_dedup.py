@@ -1,11 +1,11 @@
 """Exact duplicates by Patricia tries over partitions of equal length and content hash.
 
-Every task inserts its normalised byte strings into compressed radix tries, one
-trie for each length and hash; a terminal node keeps the smallest identifier and
-the number of rows. Subtries whose bytes pass a bound are spilled as terminals.
-The first round of tries runs where the rows are read, so that a text with a
-third of all rows reaches the second round once per task. The second round
-inserts the remaining full strings again, partitioned by length and hash.
+Every task inserts its normalised byte strings into one compressed radix trie; a terminal node keeps the smallest identifier and
+the number of rows. The first round of tries runs where the rows are read, so that a text with a third of all rows reaches the second
+round once per task and spill; a trie that passes its bound spills its largest subtrees. The second round has
+a trie for each partition by length and leading bytes of the content hash, and inserts the full strings again in their order. There
+every subtree beside the path of the last string is complete, so that a trie that passes its bound spills these and no string is handed out twice.
+Strings are equal if they end in one node: hashes deal them out and name the results, but decide nothing.
 """
 
 from __future__ import annotations
@@ -19,8 +19,10 @@ from pyspark.sql import functions as F
 
 from pagesketch.llm.common import cut, join_with_hot_keys, one_space, rows_that_stay
 
-#: Bytes of keys that the tries of one task hold before subtrees are spilled.
+#: Bytes of strings and nodes that the trie of one task holds before subtrees are spilled.
 SPILL_BYTES = 32 << 20
+#: Leading bytes of the content hash that deal strings of one length to partitions.
+PREFIX_BYTES = 2
 
 
 class Terminal:
@@ -92,36 +94,69 @@ def _common(label: bytes, key: bytes, at: int) -> int:
     return low
 
 
-class TrieForest:
-    """The tries of one task, by length and hash of the strings, with spilling."""
+#: Bytes that a node takes beside its label.
+NODE_BYTES = 300
+
+
+class SpillingTrie:
+    """The trie of one task, which hands out subtrees when it has more bytes than it should."""
 
     def __init__(self, with_text: bool, spill_bytes: int) -> None:
         self.with_text, self.spill_bytes = with_text, spill_bytes
-        self.tries: dict[tuple[int, bytes], PatriciaTrie] = {}
+        self.root = PatriciaTrie()
         self.held = 0
 
-    def insert(self, digest: bytes, text: bytes, doc_id: int | None, count: int) -> None:
-        trie = self.tries.setdefault((len(text), digest), PatriciaTrie())
-        if trie.insert(text, doc_id, count):
-            self.held += len(text) + 300
+    def insert(self, text: bytes, doc_id: int | None, count: int) -> None:
+        if self.root.insert(text, doc_id, count):
+            self.held += len(text) + NODE_BYTES
 
     def full(self) -> bool:
         return self.held >= self.spill_bytes
 
-    def spill(self, step: int = 8 << 20) -> Iterator[pa.RecordBatch]:
-        """Hand out the terminals, subtree by subtree, and start anew."""
+    def spill_largest(self) -> Iterator[pa.RecordBatch]:
+        """Hand out the largest subtrees until at most half of the bound is held."""
+        sizes = _sizes(self.root)
+        node, prefix = self.root, b""
+        while (big := max(node.children.values(), key=lambda c: sizes[id(c)], default=None)) is not None and 2 * sizes[id(big)] > self.spill_bytes and big.children:
+            prefix, node = prefix + big.label, big
+        order = sorted(node.children, key=lambda c: -sizes[id(node.children[c])])
+        held, gone = sizes[id(self.root)], []
+        for first in order:
+            if 2 * held <= self.spill_bytes:
+                break
+            gone.append(node.children.pop(first))
+            held -= sizes[id(gone[-1])]
+        self.held = held
+        yield from self._out((prefix, x) for x in gone)
+
+    def spill_complete(self, last: bytes) -> Iterator[pa.RecordBatch]:
+        """Hand out every subtree beside the path of the string last, for strings that come in order."""
+        gone: list[tuple[bytes, PatriciaTrie]] = []
+        node, at = self.root, 0
+        while at < len(last):
+            gone += [(last[:at], node.children.pop(first)) for first in [c for c in node.children if c != last[at]]]
+            node = node.children[last[at]]
+            at += len(node.label)
+        self.held = len(last) + NODE_BYTES
+        yield from self._out(gone)
+
+    def spill_all(self) -> Iterator[pa.RecordBatch]:
+        root, self.root, self.held = self.root, PatriciaTrie(), 0
+        yield from self._out([(b"", root)])
+
+    def _out(self, subtrees, step: int = 8 << 20) -> Iterator[pa.RecordBatch]:
         rows: list[tuple] = []
         size = 0
-        for (length, digest), trie in self.tries.items():
-            for text, end in trie.terminals():
-                rows.append((length, digest, end.smallest, end.count, text))
-                size += length
+        for prefix, subtree in subtrees:
+            for rest, end in subtree.terminals():
+                text = prefix + rest
+                rows.append((len(text), hashlib.sha256(text).digest(), end.smallest, end.count, text))
+                size += len(text) + NODE_BYTES
                 if size >= step:
                     yield self._batch(rows)
                     rows, size = [], 0
         if rows:
             yield self._batch(rows)
-        self.tries, self.held = {}, 0
 
     def _batch(self, rows: list[tuple]) -> pa.RecordBatch:
         kinds = {"text_len": pa.int64(), "digest": pa.binary(), "keep_id": pa.int64(), "n_rows": pa.int64(), "body": pa.binary()}
@@ -129,6 +164,19 @@ class TrieForest:
         return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], kinds[c]) for i, c in enumerate(names)], names)
 
 
+def _sizes(root: PatriciaTrie) -> dict[int, int]:
+    """Bytes of every subtree, by the identity of its root."""
+    order, stack = [], [root]
+    while stack:
+        node = stack.pop()
+        order.append(node)
+        stack += node.children.values()
+    out: dict[int, int] = {}
+    for node in reversed(order):
+        out[id(node)] = len(node.label) + NODE_BYTES + sum(out[id(c)] for c in node.children.values())
+    return out
+
+
 def _normal(text: bytes | None) -> tuple[bytes, bytes]:
     body = one_space(text or b"")
     return body, hashlib.sha256(body).digest()
@@ -138,29 +186,28 @@ def owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", spil
     """One row per distinct normalised text: text_len, digest, keep_id, n_rows."""
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        forest = TrieForest(True, spill_bytes)
+        trie = SpillingTrie(True, spill_bytes)
         for batch in batches:
             for doc_id, text in zip(batch.column("id").to_pylist(), batch.column("text"), strict=True):
-                body, digest = _normal(text.as_py())
-                forest.insert(digest, body, doc_id, 1)
-                if forest.full():
-                    yield from forest.spill()
-        yield from forest.spill()
+                trie.insert(one_space(text.as_py() or b""), doc_id, 1)
+                if trie.full():
+                    yield from trie.spill_largest()
+        yield from trie.spill_all()
 
     def merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        forest = TrieForest(False, spill_bytes)
+        trie = SpillingTrie(False, spill_bytes)
         for batch in batches:
-            cells = [batch.column(c) for c in ("digest", "body", "keep_id", "n_rows")]
-            for row in zip(*cells, strict=True):
-                forest.insert(*(x.as_py() for x in row))
-                if forest.full():
-                    yield from forest.spill()
-        yield from forest.spill()
+            for body, doc_id, count in zip(batch.column("body"), batch.column("keep_id").to_pylist(), batch.column("n_rows").to_pylist(), strict=True):
+                text = body.as_py()
+                trie.insert(text, doc_id, count)
+                if trie.full():
+                    yield from trie.spill_complete(text)
+        yield from trie.spill_all()
 
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("binary").alias("text"))
     terminals = rows.mapInArrow(local, "text_len bigint, digest binary, keep_id bigint, n_rows bigint, body binary")
-    parts = terminals.repartition("text_len", "digest").mapInArrow(merged, "text_len bigint, digest binary, keep_id bigint, n_rows bigint")
-    return parts.groupBy("text_len", "digest").agg(F.min("keep_id").alias("keep_id"), F.sum("n_rows").alias("n_rows"))
+    dealt = terminals.repartition("text_len", F.substring("digest", 1, PREFIX_BYTES)).select("keep_id", "n_rows", "body").sortWithinPartitions("body")
+    return dealt.mapInArrow(merged, "text_len bigint, digest binary, keep_id bigint, n_rows bigint")
 
 
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -197,6 +244,7 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that stay, with all their columns; of repeated rows one stays. Rows without an id all stay."""
+    """The rows of docs that stay, with all their columns; of rows with the same id and text one stays. Rows without an id all stay."""
     groups = exact_groups(docs, id_col, text_col)
-    return rows_that_stay(docs, groups.where("kept").select(F.col("doc_id").alias("stay_id")), id_col)
+    stay = groups.where("kept").select(F.col("doc_id").alias("stay_id"), F.unhex("text_sha256").alias("stay_key"))
+    return rows_that_stay(docs, stay, id_col, text_col, lambda raw: _normal(raw)[1])

@@ -15,7 +15,6 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -96,11 +95,8 @@ class WordTokenizer:
         whole = self._one_by_one([raw[texts.offsets[i] : texts.offsets[i + 1]].decode() for i in special])
         texts = texts.lowered()
         starts, ends, bounds = pieces(texts)
-        codes, distinct = pd.factorize(texts.hashes(starts, ends))
-        first = np.empty(len(distinct), np.int64)
-        first[codes[::-1]] = np.arange(len(codes))[::-1]
-        body, cache = texts.data.tobytes(), self.cache
-        words = [body[lo:hi] for lo, hi in zip(starts[first].tolist(), ends[first].tolist(), strict=True)]
+        codes, distinct = texts.ranges(starts, ends)
+        cache, words = self.cache, distinct.to_pylist()
         new = [w for w in words if w not in cache]
         self._learn(new)
         known = [cache[w] for w in words]

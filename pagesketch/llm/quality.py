@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import GOLDEN, Texts, chunks, cut, mix, over_chunks
+from pagesketch.llm.common import GOLDEN, Texts, chunks, cut, mix, over_chunks, run_codes
 
 #: Characters counted as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -34,12 +34,15 @@ TRUSTED_LOSS = 0.0005
 GRID = 1000
 
 
-def _repeats(grams: np.ndarray, text_of: np.ndarray, first_word: np.ndarray, n_words: int) -> np.ndarray:
-    """Marks words in 3-word windows found twice or more in their text."""
-    marks = np.zeros(n_words, bool)
-    if len(grams):
-        codes, _ = pd.factorize(grams ^ mix(text_of.astype(np.uint64) * GOLDEN + np.uint64(1)))
-        twice = first_word[np.bincount(codes)[codes] > 1]
+def _repeats(codes: np.ndarray, text_of: np.ndarray) -> np.ndarray:
+    """Marks words in 3-word windows found twice or more in their text; codes tells words apart exactly."""
+    marks = np.zeros(len(codes), bool)
+    at, found = run_codes(codes, text_of, 3)
+    if len(at):
+        some = np.bincount(found)[found] > 1  # others are alone in the whole chunk
+        at, found = at[some], found[some]
+        own = pd.factorize(found * (int(text_of[-1]) + 1) + text_of[at])[0]
+        twice = at[np.bincount(own, minlength=1)[own] > 1]
         for shift in range(3):
             marks[twice + shift] = True
     return marks
@@ -58,12 +61,7 @@ def base_measures(texts: Texts) -> dict[str, np.ndarray]:
     n_words = np.diff(bounds)
     head = (data & 0xC0) != 0x80
     blank = np.isin(data, np.frombuffer(b" \t\n\v\f\r", np.uint8))
-    hashes = texts.hashes(starts, ends)
-    text_of = np.repeat(np.arange(n), n_words)
-    at = np.arange(max(0, len(starts) - 2))
-    at = at[text_of[at] == text_of[at + 2]] if len(at) else at
-    grams = mix(hashes[at] * GOLDEN + mix(hashes[at + 1] * GOLDEN + hashes[at + 2])) if len(at) else hashes[:0]
-    marks = _repeats(grams, text_of[at] if len(at) else at, at, len(starts))
+    marks = _repeats(texts.ranges(starts, ends)[0], np.repeat(np.arange(n), n_words)) if len(starts) else np.zeros(0, bool)
     dup = np.zeros(n, np.int64)
     breaks = np.flatnonzero(data == 10)
     many = np.flatnonzero(np.diff(np.searchsorted(breaks, offsets)) > 0)
@@ -134,18 +132,19 @@ def ngram_counts(rows: DataFrame, trusted, buckets: int = BUCKETS) -> tuple[np.n
     return out[0], out[1]
 
 
-def ratios(trusted: np.ndarray, raw: np.ndarray, weight: float = 64.0) -> np.ndarray:
+#: Occurrences added to every bucket of both multinomials.
+PSEUDO_COUNTS = 16.0
+
+
+def ratios(trusted: np.ndarray, raw: np.ndarray, weight: float = PSEUDO_COUNTS) -> np.ndarray:
     """log of smoothed trusted over raw probability of each bucket.
 
-    Both are drawn towards the raw distribution with the weight of so many
-    occurrences, so that buckets that the corpus hardly has say nothing.
+    The raw counts are brought to the number of trusted n-grams before both are smoothed with the same pseudo-counts: buckets that the
+    trusted rows hardly can have say nothing, and a corpus that is repeated gives the same ratios.
     """
     if not trusted.any():
         return np.zeros(len(raw))
-    prior = (raw + 1) / (raw.sum() + len(raw))
-    n, m = trusted.sum(), raw.sum()
-    rate = m / max(n, 1.0)
-    return np.log((trusted * rate + weight * prior * len(raw)) / (raw + weight * prior * len(raw)))
+    return np.log((trusted + weight) / (raw * (trusted.sum() / raw.sum()) + weight))
 
 
 class Judge:

@@ -3,8 +3,8 @@
 Every element of a set draws a random permutation of the signature's places, one place a level, with a value of level plus
 fraction. A place keeps its smallest value, so that a set stops at the first level after which all its places are filled.
 
-Sets that are equal are one representative. In each bucket of equal bands all members are compared
-with the bucket's smallest one; that takes a pair a member. Buckets whose members are then not all in one
+Rows whose lower-cased words are the same sequence are one representative. In each bucket of equal bands all members are compared
+with the bucket's smallest one; that takes a pair a member, and counts the true shingles of both texts. Buckets whose members are then not all in one
 component are compared once more across their components, so that no pair of a bucket is left out.
 With 42 bands of 6 places, two sets of similarity 0.8 share no bucket with a probability under 3 in a million.
 """
@@ -18,14 +18,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pagesketch.llm.common import GOLDEN, Texts, cut, mix, over_chunks, rows_that_stay
+from pagesketch.llm.common import GOLDEN, Texts, cut, mix, over_chunks, rows_that_stay, run_codes, text_digest
 from pagesketch.llm.components import UnionFind, components
 
 BANDS, ROWS = 42, 6
 #: Members that one task compares with a copy of a hub's set, at most.
 SALT_ROWS = 500
 LEVEL_BITS = np.uint64(48)
-#: Members and bytes of sets that one block has, and how far under the wanted similarity an estimate may lie.
+#: Members and bytes of texts that one block has, and how far under the wanted similarity an estimate may lie (1: any estimate is looked at exactly).
 BLOCK_ROWS = 1000
 BLOCK_BYTES = 8 << 20
 SLACK = 0.15
@@ -91,118 +91,170 @@ def band_keys(values: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return out.view(np.int64)
 
 
-def _sums(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(values, dtype=np.uint64)])
-    return (total[bounds[1:]] - total[bounds[:-1]]).view(np.int64)
+def normal(raw: bytes) -> bytes:
+    """The lower-cased words, one space between them."""
+    return b" ".join(raw.lower().split())
+
+
+def text_key(raw: bytes) -> bytes:
+    """Digest of a text's word sequence."""
+    return text_digest(normal(raw))
+
+
+def exact_sets(texts: Texts, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingles of each normal text, end to end, and their bounds.
+
+    A shingle is a number that only the same words have among these texts; no fingerprint is used.
+    """
+    starts, ends, bounds = texts.words()
+    n_words = np.diff(bounds)
+    codes, _ = texts.ranges(starts, ends) if len(starts) else (np.zeros(0, np.int64), None)
+    text_of = np.repeat(np.arange(len(texts)), n_words)
+    at, shingle = run_codes(codes, text_of, width)
+    short = np.flatnonzero((n_words > 0) & (n_words < width))
+    whole, _ = texts.ranges(texts.offsets[:-1][short], texts.offsets[1:][short]) if len(short) else (shingle[:0], None)
+    first = int(shingle.max(initial=-1)) + 1
+    total = first + int(whole.max(initial=-1)) + 1
+    found = np.unique(np.concatenate([text_of[at] * total + shingle, short * total + first + whole]))
+    owner = found // max(total, 1)
+    return found - owner * total, np.searchsorted(owner, np.arange(len(texts) + 1))
 
 
 def sketches(docs: DataFrame, width: int, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, two fingerprints of the set, and its band keys."""
+    """doc_id, n_shingles, digest of the word sequence, and band keys."""
 
     def run(part: pa.RecordBatch) -> pa.RecordBatch:
-        sets, bounds = shingle_sets(Texts(part.column("text")), width)
+        texts = Texts(part.column("text")).lowered()
+        body, offsets = texts.data.tobytes(), texts.offsets.tolist()
+        digests = [text_key(body[lo:hi]) for lo, hi in zip(offsets, offsets[1:], strict=False)]
+        sets, bounds = shingle_sets(texts, width)
         keys = band_keys(signatures(sets, bounds, bands * rows), bands, rows)
         lists = pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()))
-        cells = [part.column("doc_id"), pa.array(np.diff(bounds)), pa.array(_sums(mix(sets + GOLDEN), bounds)), pa.array(_sums(mix(sets ^ GOLDEN), bounds)), lists]
-        return pa.RecordBatch.from_arrays(cells, ["doc_id", "n_shingles", "fp1", "fp2", "bands"])
+        return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.diff(bounds)), pa.array(digests, pa.binary()), lists], ["doc_id", "n_shingles", "digest", "bands"])
 
     source = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    return source.mapInArrow(over_chunks(run), "doc_id bigint, n_shingles bigint, fp1 bigint, fp2 bigint, bands array<bigint>")
+    return source.mapInArrow(over_chunks(run), "doc_id bigint, n_shingles bigint, digest binary, bands array<bigint>")
 
 
 def _close_sizes(a: str, b: str, percent: int):
     return F.least(a, b) * 100 >= F.greatest(a, b) * percent
 
 
-def full_sets(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, body): all shingle fingerprints of a document, sorted, as bytes."""
-
-    def run(part: pa.RecordBatch) -> pa.RecordBatch:
-        sets, bounds = shingle_sets(Texts(part.column("text")), width)
-        offsets = pa.py_buffer((bounds * 8).astype(np.int64).tobytes())
-        body = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(bounds) - 1, [None, offsets, pa.py_buffer(sets.tobytes())])
-        return pa.RecordBatch.from_arrays([part.column("doc_id"), body.cast(pa.binary())], ["doc_id", "body"])
-
-    return docs.mapInArrow(over_chunks(run), "doc_id bigint, body binary")
+def bodies(docs: DataFrame, names: DataFrame, repeated: bool) -> DataFrame:
+    """(rep, body): the normal text of each of names (rep, doc_id, digest). repeated says that rows of docs may share an id."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = zip(batch.column("rep").to_pylist(), batch.column("digest").to_pylist(), batch.column("text").cast(pa.binary()), strict=True)
+            found = [(rep, body) for rep, digest, raw in rows if text_digest(body := normal(raw.as_py() or b"")) == digest]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in found], pa.int64()), pa.array([r[1] for r in found], pa.binary())], ["rep", "body"])
 
-def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
-    """Similarity of two sorted sets, in whole numbers."""
-    if len(a) > len(b):
-        a, b = b, a
-    at = np.searchsorted(b, a)
-    both = int((b[np.minimum(at, len(b) - 1)] == a).sum())
-    return 100 * both >= percent * (len(a) + len(b) - both)
+    found = docs.join(names.select("rep", "doc_id", "digest"), "doc_id").select("rep", "digest", "text").mapInArrow(run, "rep bigint, body binary")
+    return found.dropDuplicates(["rep"]) if repeated else found
 
 
-def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int, n: int) -> DataFrame:
-    """The pairs (hub, member) whose full sets are similar, as edges (src, dst).
+def verified(texts: DataFrame, pairs: DataFrame, width: int, percent: int, n: int) -> DataFrame:
+    """The pairs (hub, member) whose true shingles are similar, as edges (src, dst); texts has their (rep, body).
 
-    A hub's set is copied to as many tasks as its members need; sets stream past it.
+    A hub's text is copied to as many tasks as its members need; texts stream past it.
     """
-    ids = pairs.select(F.col("hub").alias("doc_id")).unionByName(pairs.select(F.col("member").alias("doc_id"))).distinct()
-    sets = cut(full_sets(docs.join(ids, "doc_id", "left_semi"), width), n)
     sizes = cut(pairs.groupBy("hub").agg(F.ceil(F.count("*") / SALT_ROWS).cast("int").alias("salts")), n)
     members = pairs.join(sizes, "hub").withColumn("salt", F.pmod(F.xxhash64("member"), F.col("salts")).cast("int"))
-    members = members.join(sets.withColumnRenamed("doc_id", "member"), "member").select("hub", "salt", F.lit(1).alias("kind"), "member", "body")
-    hubs = sizes.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).join(sets.withColumnRenamed("doc_id", "hub"), "hub")
+    members = members.join(texts.withColumnRenamed("rep", "member"), "member").select("hub", "salt", F.lit(1).alias("kind"), "member", "body")
+    hubs = sizes.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).join(texts.withColumnRenamed("rep", "hub"), "hub")
     hubs = hubs.select("hub", "salt", F.lit(0).alias("kind"), F.col("hub").alias("member"), "body")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, hub_set = None, None
+        held = None
         for batch in batches:
-            out: list[tuple[int, int]] = []
-            for hub, kind, member, body in zip(*(batch.column(c) for c in ("hub", "kind", "member", "body")), strict=True):
-                own = np.frombuffer(body.as_py(), np.uint64)
-                if kind.as_py() == 0:
-                    current, hub_set = hub.as_py(), own
-                elif hub.as_py() == current and linked(hub_set, own, percent):
-                    out.append((member.as_py(), current))
-            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in range(2)], ["src", "dst"])
+            if held is not None:
+                batch = pa.Table.from_batches([held, batch]).combine_chunks().to_batches()[0]
+            hub, member, head = batch.column("hub").to_numpy(), batch.column("member").to_numpy(), np.flatnonzero(batch.column("kind").to_numpy() == 0)
+            sets, bounds = exact_sets(Texts(batch.column("body")), width)
+            sizes, marks = np.diff(bounds), np.zeros(int(sets.max(initial=-1)) + 1, bool)
+            src, dst = [], []
+            for lo, hi in zip(head.tolist(), [*head[1:].tolist(), len(hub)], strict=True):
+                own = sets[bounds[lo] : bounds[lo + 1]]
+                marks[own] = True
+                total = np.concatenate([[0], np.cumsum(marks[sets[bounds[lo + 1] : bounds[hi]]])])
+                marks[own] = False
+                both = np.diff(total[bounds[lo + 1 : hi + 1] - bounds[lo + 1]])
+                like = (100 * both >= percent * (sizes[lo] + sizes[lo + 1 : hi] - both)) & (hub[lo + 1 : hi] == hub[lo])
+                src.append(member[lo + 1 : hi][like])
+                dst.append(hub[lo + 1 : hi][like])
+            held = batch.slice(int(head[-1]), 1)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in (src, dst)], ["src", "dst"])
 
     rows = hubs.unionByName(members).repartition("hub", "salt").sortWithinPartitions("hub", "salt", "kind")
     return rows.mapInArrow(run, "src bigint, dst bigint")
 
 
-def near_groups(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id and kept of every row.
+def named_classes(full: DataFrame, repeated: bool) -> DataFrame:
+    """One row a word sequence: rep, its number among sequences, doc_id, the smallest id that has it, n_shingles, digest and bands.
 
-    A text without words has the empty set and is linked with nothing; one with fewer words than width has one shingle.
-    Documents are linked if 100 * intersection >= percent * union of their sets; component_id is the smallest
-    doc_id reachable. Rows that repeat a doc_id are taken as one document by their first row. A null doc_id is its own, null, component.
+    rep is doc_id but where ids are repeated with several texts; there all but one get a hash as their number.
     """
+    classes = full.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"))
+    if not repeated:
+        return cut(classes.withColumn("rep", F.col("doc_id")))
+    classes = cut(classes)
+    several = classes.groupBy("doc_id").agg(F.count("*").alias("n"), F.min("digest").alias("own_digest")).where("n > 1").drop("n")
+    rep = F.when(F.coalesce(F.col("own_digest") == F.col("digest"), F.lit(True)), F.col("doc_id")).otherwise(F.xxhash64("doc_id", "digest"))
+    return cut(classes.join(several, "doc_id", "left").withColumn("rep", rep).drop("own_digest"))
+
+
+def _grouped(docs: DataFrame, width: int, percent: int, bands: int, rows: int, id_col: str, text_col: str, slack: float) -> DataFrame:
+    """near_groups with the digest of each row's word sequence and the rep that names its group, null for a text without words."""
     source = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     found = cut(sketches(source, width, bands, rows))
     n = found.count()
     full = found.where("n_shingles > 0 and doc_id is not null")
-    groups = cut(full.groupBy("n_shingles", "fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), n)
-    cells = groups.select("rep", "n_shingles", F.explode("bands").alias("bucket"))
+    repeated = bool(full.groupBy("doc_id").count().where("count > 1").take(1))
+    classes = named_classes(full, repeated)
+    names = classes.select("rep", "doc_id", "digest")
+    cells = classes.select("rep", "n_shingles", F.explode("bands").alias("bucket"))
     hubs = cells.groupBy("bucket").agg(F.min(F.struct("rep", "n_shingles")).alias("hub"), F.count("*").alias("n")).where("n > 1")
     hubs = cut(hubs, n)  # kept, so that the join can split a hot bucket
     members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")), n * bands)
     pairs = members.where((F.col("rep") != F.col("hub")) & _close_sizes("n_shingles", "hub_n", percent)).select("hub", F.col("rep").alias("member")).distinct()
     pairs = cut(pairs, n)
-    edges = cut(verified(source, pairs, width, percent, n), n)
+    asked = pairs.select(F.col("hub").alias("rep")).unionByName(pairs.select(F.col("member").alias("rep"))).distinct()
+    texts = cut(bodies(source, names.join(asked, "rep", "left_semi"), repeated))
+    edges = cut(verified(texts, pairs, width, percent, n), n)
     links = components(edges, rows=n)
-    more = cut(missed_links(source, members, links, width, percent, bands * rows, n), n)
+    more = cut(missed_links(source, names, members, links, width, percent, bands * rows, n, slack, repeated), n)
     if more.take(1):
         links = components(edges.unionByName(more), rows=n)
-    owner = groups.select("rep", "n_shingles", "fp1", "fp2").join(links.withColumnRenamed("node", "rep"), "rep", "left")
-    owner = owner.select("n_shingles", "fp1", "fp2", F.coalesce("component", "rep").alias("component"))
-    out = found.join(owner, ["n_shingles", "fp1", "fp2"], "left")
+    owner = names.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "digest", F.coalesce("component", "rep").alias("group_rep"))
+    if repeated:
+        owner = owner.join(owner.groupBy("group_rep").agg(F.min("doc_id").alias("component")), "group_rep")
+    else:
+        owner = owner.withColumn("component", F.col("group_rep"))
+    out = found.join(owner.select("digest", "component", "group_rep"), "digest", "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), "digest", "group_rep")
 
 
-def small_signatures(docs: DataFrame, width: int, places: int) -> DataFrame:
-    """(doc_id, bytes): one byte of each signature value."""
+def near_groups(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text", slack: float = SLACK) -> DataFrame:
+    """doc_id, n_shingles, component_id and kept of every row.
+
+    A text without words has the empty set and is linked with nothing; one with fewer words than width has one shingle.
+    Documents are linked if 100 * intersection >= percent * union of their sets; component_id is the smallest
+    doc_id reachable. Rows that repeat a doc_id are each grouped by their own text; a row is kept if its doc_id is the component's. A null doc_id is
+    its own, null, component unless another row has its words. With slack 1 no pair that shares a bucket is left out by an estimate.
+    """
+    return _grouped(docs, width, percent, bands, rows, id_col, text_col, slack).drop("digest", "group_rep")
+
+
+def small_signatures(texts: DataFrame, width: int, places: int) -> DataFrame:
+    """(rep, bytes): one byte of each signature value of (rep, body)."""
 
     def run(part: pa.RecordBatch) -> pa.RecordBatch:
-        sets, bounds = shingle_sets(Texts(part.column("text")), width)
+        sets, bounds = shingle_sets(Texts(part.column("body")), width)
         values = mix(signatures(sets, bounds, places).ravel()).astype(np.uint8).reshape(-1, places)
-        return pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([x.tobytes() for x in values], pa.binary())], ["doc_id", "bytes"])
+        return pa.RecordBatch.from_arrays([part.column("rep"), pa.array([x.tobytes() for x in values], pa.binary())], ["rep", "bytes"])
 
-    return docs.mapInArrow(over_chunks(run), "doc_id bigint, bytes binary")
+    return texts.mapInArrow(over_chunks(run, "body"), "rep bigint, bytes binary")
 
 
 def _in_blocks(rows: DataFrame, key: str, columns: list[str]) -> DataFrame:
@@ -257,20 +309,20 @@ def _cells(group: list[tuple]) -> tuple[np.ndarray, ...]:
     return tuple(np.array([r[i] for r in group]) for i in range(4))
 
 
-def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: int, percent: int, places: int, n: int) -> DataFrame:
+def missed_links(docs: DataFrame, names: DataFrame, members: DataFrame, links: DataFrame, width: int, percent: int, places: int, n: int, slack: float, repeated: bool) -> DataFrame:
     """Links between members of one bucket that the first round left in different components, as edges.
 
-    Members of such a bucket meet in blocks. Signatures whose share of equal values is not more than SLACK
-    under the wanted similarity, six standard deviations, give rough clusters; only forests of them are handed out. In a rough cluster all full sets
-    of different components are compared, in blocks, by counting common shingles. Nothing is left out.
+    Members of such a bucket meet in blocks. Signatures whose share of equal values is not more than slack
+    under the wanted similarity (SLACK: six standard deviations) give rough clusters; only forests of them are handed out. In a rough cluster the true shingles
+    of all texts of different components are compared, in blocks, by counting common ones.
     """
-    named = members.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
-    open_buckets = named.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks"))
+    found = members.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
+    open_buckets = found.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks"))
     open_buckets = cut(open_buckets.where("low <> high").select("bucket", "blocks"), n)
-    named = cut(named.join(open_buckets, "bucket"), n)
-    chosen = docs.join(named.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    values_of = cut(small_signatures(chosen, width, places), n).withColumnRenamed("doc_id", "rep")
-    least = int((percent / 100 - SLACK) * places)
+    found = cut(found.join(open_buckets, "bucket"), n)
+    texts = cut(bodies(docs, names.join(found.select("rep").distinct(), "rep", "left_semi"), repeated))
+    values_of = cut(small_signatures(texts, width, places))
+    least = int((percent / 100 - slack) * places)
 
     def alike(group: list[tuple]) -> Iterator[tuple[int, int]]:
         cells = _cells(group)
@@ -281,23 +333,23 @@ def missed_links(docs: DataFrame, members: DataFrame, links: DataFrame, width: i
                 yield int(cells[1][i]), int(cells[1][k])
 
     columns = ["rep", "component", "n_shingles"]
-    rough = components(_forests(_in_blocks(named.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike), rows=n)
-    about = named.select(*columns).distinct().join(rough.withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"), "rep")
+    rough = components(_forests(_in_blocks(found.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike), rows=n)
+    about = found.select(*columns).distinct().join(rough.withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"), "rep")
     sizes = about.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK_ROWS, F.sum("n_shingles") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
     sizes = cut(sizes, n)
     about = cut(about.join(sizes, "cluster"), n)
-    bodies = full_sets(docs.join(about.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), width).withColumnRenamed("doc_id", "rep")
 
     def similar(group: list[tuple]) -> Iterator[tuple[int, int]]:
         cells = _cells(group)
-        common = common_counts([np.frombuffer(r[4], np.uint64) for r in group])
+        sets, bounds = exact_sets(Texts(pa.array([r[4] for r in group], pa.large_binary())), width)
+        common = common_counts([sets[lo:hi] for lo, hi in zip(bounds, bounds[1:], strict=False)])
         size = cells[3]
         for i in range(len(group)):
             near = _crossing(group, i, cells, percent)
             for k in near[100 * common[i, near] >= percent * (size[i] + size[near] - common[i, near])]:
                 yield int(cells[1][i]), int(cells[1][k])
 
-    return _forests(_in_blocks(about.join(bodies, "rep"), "cluster", [*columns, "body"]), similar)
+    return _forests(_in_blocks(about.join(texts, "rep"), "cluster", [*columns, "body"]), similar)
 
 
 def common_counts(sets: list[np.ndarray], step: int = 4096) -> np.ndarray:
@@ -319,6 +371,10 @@ def common_counts(sets: list[np.ndarray], step: int = 4096) -> np.ndarray:
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs of which one per group stays, with all their columns. Rows without an id all stay."""
-    groups = near_groups(docs, width, percent, id_col=id_col, text_col=text_col)
-    return rows_that_stay(docs, groups.where("kept").select(F.col("doc_id").alias("stay_id")), id_col)
+    """The rows of docs of which one per group stays, with all their columns.
+
+    Rows without an id all stay. A text without words is a group of its own id.
+    """
+    groups = _grouped(docs, width, percent, BANDS, ROWS, id_col, text_col, SLACK).where("kept and doc_id is not null")
+    stay = groups.groupBy("component_id", "group_rep").agg(F.min("digest").alias("stay_key"))
+    return rows_that_stay(docs, stay.select(F.col("component_id").alias("stay_id"), "stay_key"), id_col, text_col, text_key)
