@@ -208,21 +208,22 @@ def _grouped(docs: DataFrame, width: int, percent: int, bands: int, rows: int, i
     source = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     found = cut(sketches(source, width, bands, rows))
     n = found.count()
+    cells_n = n * bands
     full = found.where("n_shingles > 0 and doc_id is not null")
     repeated = bool(full.groupBy("doc_id").count().where("count > 1").take(1))
     classes = named_classes(full, repeated)
     names = classes.select("rep", "doc_id", "digest")
     cells = classes.select("rep", "n_shingles", F.explode("bands").alias("bucket"))
     hubs = cells.groupBy("bucket").agg(F.min(F.struct("rep", "n_shingles")).alias("hub"), F.count("*").alias("n")).where("n > 1")
-    hubs = cut(hubs, n)  # kept, so that the join can split a hot bucket
-    members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")), n * bands)
+    hubs = cut(hubs, cells_n)  # kept, so that the join can split a hot bucket
+    members = cut(cells.join(hubs, "bucket").select("bucket", "rep", "n_shingles", F.col("hub.rep").alias("hub"), F.col("hub.n_shingles").alias("hub_n")), cells_n)
     pairs = members.where((F.col("rep") != F.col("hub")) & _close_sizes("n_shingles", "hub_n", percent)).select("hub", F.col("rep").alias("member")).distinct()
-    pairs = cut(pairs, n)
+    pairs = cut(pairs, cells_n)
     asked = pairs.select(F.col("hub").alias("rep")).unionByName(pairs.select(F.col("member").alias("rep"))).distinct()
     texts = cut(bodies(source, names.join(asked, "rep", "left_semi"), repeated))
-    edges = cut(verified(texts, pairs, width, percent, n), n)
+    edges = cut(verified(texts, pairs, width, percent, n))
     links = components(edges, rows=n)
-    more = cut(missed_links(source, names, members, links, width, percent, bands * rows, n, slack, repeated), n)
+    more = cut(missed_links(source, names, members, links, width, percent, bands * rows, n, slack, repeated))
     if more.take(1):
         links = components(edges.unionByName(more), rows=n)
     owner = names.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "digest", F.coalesce("component", "rep").alias("group_rep"))
@@ -318,8 +319,8 @@ def missed_links(docs: DataFrame, names: DataFrame, members: DataFrame, links: D
     """
     found = members.join(links.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
     open_buckets = found.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("blocks"))
-    open_buckets = cut(open_buckets.where("low <> high").select("bucket", "blocks"), n)
-    found = cut(found.join(open_buckets, "bucket"), n)
+    open_buckets = cut(open_buckets.where("low <> high").select("bucket", "blocks"))
+    found = cut(found.join(open_buckets, "bucket"))
     texts = cut(bodies(docs, names.join(found.select("rep").distinct(), "rep", "left_semi"), repeated))
     values_of = cut(small_signatures(texts, width, places))
     least = int((percent / 100 - slack) * places)
@@ -333,7 +334,7 @@ def missed_links(docs: DataFrame, names: DataFrame, members: DataFrame, links: D
                 yield int(cells[1][i]), int(cells[1][k])
 
     columns = ["rep", "component", "n_shingles"]
-    rough = components(_forests(_in_blocks(found.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike), rows=n)
+    rough = components(cut(_forests(_in_blocks(found.join(values_of, "rep"), "bucket", [*columns, "bytes"]), alike)), rows=n)
     about = found.select(*columns).distinct().join(rough.withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"), "rep")
     sizes = about.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK_ROWS, F.sum("n_shingles") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
     sizes = cut(sizes, n)
