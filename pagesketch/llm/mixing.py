@@ -8,6 +8,8 @@ the prefix of its token stream: one seeded permutation of its documents after an
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -25,9 +27,12 @@ WEIGHTS = {"domain": {"reference": 30, "web": 50, "forum": 20}, "lang": {"en": 4
 OTHER_WEIGHT = 10
 
 
+NUMBERED = "mixing_n_tokens"
+
+
 def _count_words(part: pa.RecordBatch) -> pa.RecordBatch:
     _, _, bounds = Texts(part.column("text")).words()
-    return pa.RecordBatch.from_arrays([*part.columns[:3], pa.array(np.diff(bounds).astype(np.int64))], ["doc_id", "lang", "source", "n_tokens"])
+    return pa.RecordBatch.from_arrays([*part.columns[:4], pa.array(np.diff(bounds).astype(np.int64))], ["doc_id", "row_name", "lang", "source", "n_tokens"])
 
 
 def domain_of(source: Column) -> Column:
@@ -36,10 +41,10 @@ def domain_of(source: Column) -> Column:
     return F.when(digit.isin("0", "1", "2", "3", "4"), "web").when(digit.isin("5", "6", "7"), "reference").otherwise("forum")
 
 
-def weight_of(level: str) -> Column:
+def weight_of(level: str, weights: dict[str, dict[str, int]] = WEIGHTS, other: int = OTHER_WEIGHT) -> Column:
     """Whole-number weight of the node that the column named level holds."""
-    out = F.lit(OTHER_WEIGHT)
-    for name, weight in WEIGHTS.get(level, {}).items():
+    out = F.lit(other)
+    for name, weight in weights.get(level, {}).items():
         out = F.when(F.col(level) == name, weight).otherwise(out)
     return out.cast("bigint")
 
@@ -67,60 +72,142 @@ def share_out(children: DataFrame, parent: list[str], name: str) -> DataFrame:
     return rows.drop("before", "weights", "is_full", "rest", "rest_w", "part", "place", "n")
 
 
-def leaf_budgets(leaves: DataFrame, permille: int = BUDGET_PERMILLE, max_epochs: int = MAX_EPOCHS) -> DataFrame:
+def leaf_budgets(leaves: DataFrame, permille: int = BUDGET_PERMILLE, max_epochs: int = MAX_EPOCHS, weights: dict[str, dict[str, int]] = WEIGHTS, other: int = OTHER_WEIGHT) -> DataFrame:
     """Budgets of the leaves (domain, lang, source, n_docs, n_tokens)."""
     leaves = leaves.withColumn("cap", F.col("n_tokens") * max_epochs)
     total = F.least(F.sum("cap"), F.floor(F.sum("n_tokens") * permille / 1000)).cast("bigint")
     root = leaves.agg(total.alias("total"))
-    nodes = leaves.groupBy("domain").agg(F.sum("cap").alias("cap")).withColumn("w", weight_of("domain")).crossJoin(root).withColumn("root", F.lit(0))
+    nodes = leaves.groupBy("domain").agg(F.sum("cap").alias("cap")).withColumn("w", weight_of("domain", weights, other)).crossJoin(root).withColumn("root", F.lit(0))
     up = share_out(nodes, ["root"], "domain").select("domain", F.col("budget").alias("total"))
-    nodes = leaves.groupBy("domain", "lang").agg(F.sum("cap").alias("cap")).withColumn("w", weight_of("lang")).join(up, "domain")
+    nodes = leaves.groupBy("domain", "lang").agg(F.sum("cap").alias("cap")).withColumn("w", weight_of("lang", weights, other)).join(up, "domain")
     up = share_out(nodes, ["domain"], "lang").select("domain", "lang", F.col("budget").alias("total"))
-    nodes = leaves.withColumn("w", weight_of("source")).join(up, ["domain", "lang"])
+    nodes = leaves.withColumn("w", weight_of("source", weights, other)).join(up, ["domain", "lang"])
     return share_out(nodes, ["domain", "lang"], "source").select(*LEVELS, "n_docs", "n_tokens", "budget")
 
 
-def mix(
-    docs: DataFrame,
-    permille: int = BUDGET_PERMILLE,
-    max_epochs: int = MAX_EPOCHS,
-    seed: str = SEED,
-    id_col: str = "doc_id",
-    text_col: str = "text",
-    lang_col: str = "lang",
-    source_col: str = "source",
-) -> DataFrame:
-    """Selected (doc_id, epoch) rows with domain, lang, source, n_tokens and taken_tokens.
-
-    A null language or source is the node named '?'. Tokens are words; documents without a word supply nothing and
-    are not selected. In each epoch a leaf's documents come in the order of md5(seed:epoch:doc_id), then doc_id;
-    rows that repeat a doc_id come as often as they are there. The
-    last document of the prefix is taken in part: taken_tokens adds up to the leaf's budget.
+def _rank(seed: str, epoch: Column) -> Column:
+    """A row's place in an epoch's permutation of its leaf."""
+    return F.md5(F.concat_ws(":", F.lit(seed), epoch, F.col("row_name")).cast("binary"))
+
+
+def _edge(sums: DataFrame, place: str) -> DataFrame:
+    """Of each leaf's (place, tokens, rest, before), the place at which the running sum of tokens reaches rest, and the sum before it."""
+    running = F.sum("tokens").over(Window.partitionBy(*LEVELS).orderBy(place).rowsBetween(Window.unboundedPreceding, 0)) - F.col("tokens")
+    return sums.withColumn("before", running + F.col("before")).where((F.col("before") < F.col("rest")) & (F.col("rest") <= F.col("before") + F.col("tokens")))
+
+
+def leaf_plan(rows: DataFrame, total: int, budgets: DataFrame, seed: str) -> DataFrame:
+    """budgets with whole (epochs taken whole), and of the epoch after them cut_rank, its tokens cut_tokens and cut_rows.
+
+    Rows of a lower rank are taken whole, those of cut_rank share cut_tokens. The rank is found by leading digits: two windows of at most 256 places a leaf, then
+    one over the 65536th part of a leaf.
     """
-    rows = docs.select(
-        F.col(id_col).cast("bigint").alias("doc_id"),
-        F.coalesce(F.col(lang_col), F.lit("?")).alias("lang"),
-        F.coalesce(F.col(source_col), F.lit("?")).alias("source"),
-        F.col(text_col).alias("text"),
-    )
-    rows = rows.mapInArrow(over_chunks(_count_words), "doc_id bigint, lang string, source string, n_tokens bigint").where("n_tokens > 0")
-    rows = rows.select("doc_id", domain_of(F.col("source")).alias("domain"), "lang", "source", "n_tokens")
-    leaves = rows.groupBy(*LEVELS).agg(F.count("*").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
-    leaves = cut(leaf_budgets(leaves, permille, max_epochs).withColumnRenamed("n_tokens", "leaf_tokens"), 0)
-    total = leaves.agg(F.coalesce(F.sum("n_docs"), F.lit(0))).first()[0]
-    rows = join_with_hot_keys(rows, leaves, list(LEVELS), "n_docs", total).where("budget > 0")
-    whole = F.floor(F.col("budget") / F.col("leaf_tokens")).cast("int")
-    rows = rows.withColumn("rest", F.col("budget") % F.col("leaf_tokens"))
-    rows = rows.withColumn("whole", whole).withColumn("epoch", F.explode(F.sequence(F.lit(1), whole + F.when(F.col("rest") > 0, 1).otherwise(0))))
-    full = rows.where("epoch <= whole").select("doc_id", *LEVELS, "epoch", "n_tokens", F.col("n_tokens").alias("taken_tokens"))
-    last = rows.where("epoch > whole").withColumn("rank", F.md5(F.concat_ws(":", F.lit(seed), "epoch", F.col("doc_id").cast("string")).cast("binary")))
-    last = last.withColumn("bucket", F.substring("rank", 1, 4))
-    sums = last.groupBy(*LEVELS, "bucket").agg(F.sum("n_tokens").alias("bucket_tokens"), F.first("rest").alias("leaf_rest"))
-    before = F.sum("bucket_tokens").over(Window.partitionBy(*LEVELS).orderBy("bucket")) - F.col("bucket_tokens")
-    sums = sums.withColumn("before", before).where("before < leaf_rest").select(*LEVELS, "bucket", "bucket_tokens", "before")
-    last = last.join(sums, [*LEVELS, "bucket"])
-    inside = last.where("before + bucket_tokens <= rest").select("doc_id", *LEVELS, "epoch", "n_tokens", F.col("n_tokens").alias("taken_tokens"))
-    running = F.sum("n_tokens").over(Window.partitionBy(*LEVELS, "bucket").orderBy("rank", "doc_id").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n_tokens")
-    edge = last.where("before + bucket_tokens > rest").withColumn("ahead", F.col("before") + running).where("ahead < rest")
-    edge = edge.select("doc_id", *LEVELS, "epoch", "n_tokens", F.least(F.col("n_tokens"), F.col("rest") - F.col("ahead")).alias("taken_tokens"))
-    return full.unionByName(inside).unionByName(edge)
+    budgets = budgets.withColumn("whole", F.floor(F.col("budget") / F.col("leaf_tokens")).cast("int")).withColumn("rest", F.col("budget") % F.col("leaf_tokens"))
+    last = join_with_hot_keys(rows, budgets, list(LEVELS), "n_docs", total).where("rest > 0")
+    last = last.select(*LEVELS, "n_tokens", "rest", _rank(seed, F.col("whole") + 1).alias("rank")).withColumn("four", F.substring("rank", 1, 4))
+    four = last.groupBy(*LEVELS, "four").agg(F.sum("n_tokens").alias("tokens"), F.first("rest").alias("rest")).withColumn("two", F.substring("four", 1, 2))
+    two = four.groupBy(*LEVELS, "two").agg(F.sum("tokens").alias("tokens"), F.first("rest").alias("rest"), F.lit(0).cast("bigint").alias("before"))
+    at_two = _edge(two, "two").select(*LEVELS, "two", "before")
+    at_four = _edge(four.join(at_two, [*LEVELS, "two"]), "four").select(*LEVELS, "four", "before")
+    near = last.join(cut(at_four, 0), [*LEVELS, "four"]).groupBy(*LEVELS, "rank").agg(F.sum("n_tokens").alias("tokens"), F.first("rest").alias("rest"), F.first("before").alias("before"), F.count("*").alias("cut_rows"))
+    edge = _edge(near, "rank").select(*LEVELS, F.col("rank").alias("cut_rank"), (F.col("rest") - F.col("before")).alias("cut_tokens"), "cut_rows")
+    return cut(budgets.join(edge, list(LEVELS), "left"), 0)
+
+
+def _taken(rows: DataFrame, plan: DataFrame, total: int, seed: str) -> DataFrame:
+    """A row for each chosen epoch of rows (LEVELS, row_name, n_tokens and others), with epoch and taken_tokens."""
+    rows = join_with_hot_keys(rows, plan, list(LEVELS), "n_docs", total).where("budget > 0")
+    rank = _rank(seed, F.col("whole") + 1)
+    last = F.when(rank < F.col("cut_rank"), F.col("n_tokens")).when(rank == F.col("cut_rank"), F.least("n_tokens", F.floor(F.col("cut_tokens") / F.col("cut_rows")).cast("bigint")))
+    rows = rows.withColumn("last_tokens", F.coalesce(last, F.lit(0)).cast("bigint"))
+    rows = rows.withColumn("epochs", F.col("whole") + F.when(F.col("last_tokens") > 0, 1).otherwise(0)).where("epochs > 0")
+    rows = rows.withColumn("epoch", F.explode(F.sequence(F.lit(1), F.col("epochs"))))
+    return rows.withColumn("taken_tokens", F.when(F.col("epoch") <= F.col("whole"), F.col("n_tokens")).otherwise(F.col("last_tokens")))
+
+
+def _named(id_col: str, text_col: str, lang_col: str, source_col: str) -> list[Column]:
+    """doc_id, row_name, lang and source of a row; a row without an id is named by its text."""
+    name = F.coalesce(F.col(id_col).cast("string"), F.concat(F.lit("?"), F.md5(F.col(text_col).cast("binary"))))
+    return [F.col(id_col).cast("bigint").alias("doc_id"), name.alias("row_name"), F.coalesce(F.col(lang_col), F.lit("?")).alias("lang"), F.coalesce(F.col(source_col), F.lit("?")).alias("source")]
+
+
+class Mix:
+    """The selection from docs for target weights over the tree domain, language, source.
+
+    weights holds the whole-number weights of named nodes by level, other_weight that of the rest; domain maps the source column to a domain. A null
+    language or source is the node named '?'. Tokens are words; documents without a word supply nothing and
+    are not selected. In each epoch a leaf's documents come in the order of md5(seed:epoch:doc_id), where a null id is replaced by a digest of the
+    text. The last document of the prefix is taken in part, so that taken_tokens adds up to the leaf's budget; rows with one id in one leaf
+    share that part equally and may leave less than one token each.
+    """
+
+    def __init__(
+        self,
+        docs: DataFrame,
+        permille: int = BUDGET_PERMILLE,
+        max_epochs: int = MAX_EPOCHS,
+        seed: str = SEED,
+        id_col: str = "doc_id",
+        text_col: str = "text",
+        lang_col: str = "lang",
+        source_col: str = "source",
+        weights: dict[str, dict[str, int]] = WEIGHTS,
+        other_weight: int = OTHER_WEIGHT,
+        domain=domain_of,
+    ):
+        self.docs, self.seed, self.text_col, self.domain = docs, seed, text_col, domain
+        self.names = _named(id_col, text_col, lang_col, source_col)
+        rows = docs.select(*self.names, F.col(text_col).alias("text"))
+        rows = rows.mapInArrow(over_chunks(_count_words), "doc_id bigint, row_name string, lang string, source string, n_tokens bigint").where("n_tokens > 0")
+        self.rows = cut(rows.select("doc_id", "row_name", domain(F.col("source")).alias("domain"), "lang", "source", "n_tokens"))
+        leaves = self.rows.groupBy(*LEVELS).agg(F.count("*").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
+        budgets = cut(leaf_budgets(leaves, permille, max_epochs, weights, other_weight).withColumnRenamed("n_tokens", "leaf_tokens"), 0)
+        self.total = budgets.agg(F.coalesce(F.sum("n_docs"), F.lit(0))).first()[0]
+        self.plan = leaf_plan(self.rows, self.total, budgets, seed)
+
+    def selection(self) -> DataFrame:
+        """(doc_id, domain, lang, source, epoch, n_tokens, taken_tokens), a row for each chosen epoch of a document."""
+        return _taken(self.rows, self.plan, self.total, self.seed).select("doc_id", *LEVELS, "epoch", "n_tokens", "taken_tokens")
+
+    def texts(self) -> DataFrame:
+        """The rows of docs for each chosen epoch, with all their columns and the text cut after the taken tokens. No text is shuffled.
+
+        A column n_chars, if there is one, follows the cut text.
+        """
+        columns, text_col = self.docs.columns, self.text_col
+        rows = self.docs.select(F.struct("*").alias("own"), *self.names)
+        rows = rows.select("own", "row_name", self.domain(F.col("source")).alias("domain"), "lang", "source", _n_words(F.col(f"own.{text_col}")).alias("n_tokens")).where("n_tokens > 0")
+        rows = _taken(rows, self.plan, self.total, self.seed).select("own.*", F.when(F.col("taken_tokens") < F.col("n_tokens"), F.col("taken_tokens")).alias(NUMBERED))
+
+        def run(batches):
+            for batch in batches:
+                texts, at = batch.column(text_col), batch.column(NUMBERED)
+                if at.null_count < len(at):
+                    pairs = zip(texts.to_pylist(), at.to_pylist(), strict=True)
+                    texts = pa.array([t if k is None else first_words(t, k) for t, k in pairs], texts.type)
+                yield batch.set_column(batch.schema.get_field_index(text_col), text_col, texts)
+
+        rows = rows.mapInArrow(run, rows.schema)
+        if "n_chars" in columns:
+            rows = rows.withColumn("n_chars", F.when(F.col(NUMBERED).isNotNull(), F.length(text_col)).otherwise(F.col("n_chars")).cast(self.docs.schema["n_chars"].dataType))
+        return rows.select(*columns)
+
+
+WORD = r"[^\x20\x09-\x0D]+"
+
+
+def _n_words(text: Column) -> Column:
+    return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("bigint")
+
+
+def first_words(text: str, k: int) -> str:
+    """A text up to the end of its k-th word."""
+    end = 0
+    for _, found in zip(range(k), re.finditer(WORD, text)):
+        end = found.end()
+    return text[:end]
+
+
+def mix(docs: DataFrame, permille: int = BUDGET_PERMILLE, max_epochs: int = MAX_EPOCHS, **more) -> DataFrame:
+    """Mix(...).selection()."""
+    return Mix(docs, permille, max_epochs, **more).selection()

@@ -177,6 +177,34 @@ def test_mixing_of_odd_rows(odd, none):
     assert mixing.mix(none).count() == 0
 
 
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+
+
+def test_mixed_texts_are_cut_where_the_budget_ends(spark, sf):
+    docs = table(spark, sf, "documents")
+    own = {r["doc_id"]: r for r in docs.collect()}
+    mixed = mixing.Mix(docs, max_epochs=2, weights={"lang": {"en": 90, "de": 10}}, other_weight=5, domain=lambda source: F.substring(source, 1, 4))
+    want = sorted((r["doc_id"], r["taken_tokens"]) for r in mixed.selection().collect())
+    rows = mixed.texts()
+    assert rows.columns == docs.columns
+    got = rows.collect()
+    assert sorted((r["doc_id"], len(WORD.findall(r["text"]))) for r in got) == want
+    assert len({d for d, _ in want}) < len(want) and any(len(WORD.findall(own[d]["text"])) > n for d, n in want)
+    for r in got:
+        whole = own[r["doc_id"]]
+        assert whole["text"].startswith(r["text"]) and r["n_chars"] == (whole["n_chars"] if r["text"] == whole["text"] else len(r["text"]))
+
+
+def test_mixing_rows_without_id_and_with_one_id(spark):
+    rows = [(None, f"w{i} x y z", "en", "s1") for i in range(40)] + [(7, "a b c d", "en", "s1"), (7, "e f g h", "en", "s1")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string")
+    mixed = mixing.Mix(docs, permille=500, max_epochs=1)
+    taken = mixed.selection().agg(F.sum("taken_tokens")).first()[0]
+    assert 83 <= taken <= 84
+    texts = [r["text"] for r in mixed.texts().collect()]
+    assert sum(len(t.split()) for t in texts) == taken and len(set(texts)) == len(texts)
+
+
 def ids_of(path, texts):
     from tokenizers import Tokenizer
 
