@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from pagesketch.llm import exact_dedup, mixing, packing, quality, superminhash
 from pagesketch.llm.common import cut, durable_dir, table
@@ -28,9 +27,8 @@ def stage_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def stage_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents chosen for the target weights; one epoch, so that no document repeats."""
-    chosen = mixing.mix(docs, max_epochs=1).select(F.col("doc_id").alias("chosen_id")).distinct()
-    return docs.join(chosen, docs["doc_id"] == F.col("chosen_id"), "left_semi")
+    """Documents chosen for the target weights, the last of each leaf up to its last chosen word; one epoch, so that no document repeats."""
+    return mixing.Mix(docs, max_epochs=1).texts()
 
 
 def stage_pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
