@@ -1,8 +1,8 @@
 """Language identification by a bidirectional gated recurrent network over bytes, trained in numpy.
 
-Backpropagation through time runs over windows of the lower-cased UTF-8 bytes of a bounded sample of labelled rows.
-To predict, each whole text is cut into windows; every byte position gets probabilities, and their mean over all positions
-is the document's.
+Backpropagation through time runs over windows of the lower-cased UTF-8 bytes of whole texts, those of a bounded sample of labelled rows.
+To predict, each whole text is cut into windows that both directions enter and leave through a margin of neighbouring bytes; every byte
+position gets probabilities, and their mean over all positions is the document's.
 """
 
 from __future__ import annotations
@@ -11,16 +11,17 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pagesketch.llm.common import CHUNK_BYTES, chunks, crc_of_id
 
-#: Bytes of a window in training and prediction; hidden units of each direction.
-TRAIN_STEPS, STEPS, HIDDEN = 64, 128, 12
-#: Most labelled rows of a language, and windows of each row, that are learned from.
-ROWS_PER_LANGUAGE, WINDOWS_PER_ROW = 1500, 2
-WINDOW_CHARS = 64
+#: Bytes of a window in training and prediction, of the margin on both sides in prediction; hidden units of each direction.
+TRAIN_STEPS, STEPS, MARGIN, HIDDEN = 64, 384, 32, 12
+#: Windows that run side by side.
+BLOCK = 1024
+#: Most labelled rows of a language that are learned from, whole. Rows of more characters are not drawn, since the driver holds the sample.
+ROWS_PER_LANGUAGE, LONGEST_DRAWN = 400, 200_000
 PAD = 256
 UNKNOWN = "und"
 
@@ -169,38 +170,64 @@ def has_letter(text: str | None) -> bool:
     return bool(text) and any(map(str.isalpha, text))
 
 
-def training_windows(docs: DataFrame, allowed: Column, id_col: str, text_col: str, lang_col: str, rows: int = ROWS_PER_LANGUAGE, windows: int = WINDOWS_PER_ROW) -> list[tuple[str, str]]:
-    """(language, piece of text) of at most rows labelled rows of each language.
-
-    The rows with the smallest hashes of their ids are taken, and pieces at hashed places of their whole texts.
-    """
-    labelled = docs.where(allowed & F.col(lang_col).isNotNull() & (F.length(F.trim(text_col)) > 0))
-    rank = F.xxhash64(F.col(id_col).cast("string"), F.lit("row"))
+def training_texts(docs: DataFrame, allowed: Column, id_col: str, text_col: str, lang_col: str, rows: int = ROWS_PER_LANGUAGE) -> list[tuple[str, str]]:
+    """(language, whole text) of at most rows labelled rows of each language: those with the smallest hashes of their ids."""
+    labelled = docs.where(allowed & F.col(lang_col).isNotNull() & (F.length(F.trim(text_col)) > 0) & (F.length(text_col) <= LONGEST_DRAWN))
+    rank = F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.lit("row")), F.lit(1 << 30))
     counts = labelled.groupBy(F.col(lang_col).alias("lang")).count()
-    picked = labelled.select(F.col(lang_col).alias("lang"), rank.alias("rank"), F.col(id_col).alias("id"), F.length(text_col).alias("n"), F.col(text_col).alias("text"))
+    picked = labelled.select(F.col(lang_col).alias("lang"), rank.alias("rank"), F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     # a share of the hash range that holds twice the wanted rows; tiny languages are taken whole
     share = F.least(F.lit(1.0), F.lit(2.0 * rows) / F.col("count"))
-    near = picked.join(F.broadcast(counts), "lang").where((F.pmod("rank", F.lit(1 << 30)) / float(1 << 30)) < share)
-    places = F.transform(F.sequence(F.lit(1), F.lit(windows)), lambda k: F.substring(F.col("text"), F.pmod(F.xxhash64("id", k), F.greatest(F.col("n") - WINDOW_CHARS, F.lit(1))).cast("int") + 1, F.lit(WINDOW_CHARS)))
-    near = near.select("lang", F.pmod("rank", F.lit(1 << 30)).alias("rank"), "id", places.alias("pieces"))
-    found = near.orderBy("lang", "rank", "id").collect()
-    out, taken = [], {}
-    for r in found:
-        taken[r["lang"]] = taken.get(r["lang"], 0) + 1
-        if taken[r["lang"]] <= rows:
-            out += [(r["lang"], p) for p in r["pieces"]]
-    return out
-
-
-def train(pieces: list[tuple[str, str]]) -> ByteGru | None:
-    if not pieces:
+    near = picked.join(F.broadcast(counts), "lang").where(F.col("rank") / float(1 << 30) < share)
+    near = near.groupBy("lang", "rank", "id").agg(F.min("text").alias("text"))  # a repeated id counts once
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("rank", "id"))
+    found = near.withColumn("place", place).where(F.col("place") <= rows).orderBy("lang", "place").collect()
+    return [(r["lang"], r["text"]) for r in found]
+
+
+def train(texts: list[tuple[str, str]]) -> ByteGru | None:
+    """Learns from all windows of the texts, and from every third once more with its end padded, so that short texts are learned too."""
+    if not texts:
+        return None
+    languages = sorted({lang for lang, _ in texts})
+    ids, owner = window_ids([lowered(text) for _, text in texts], TRAIN_STEPS)
+    if not len(owner):
         return None
-    languages = sorted({lang for lang, _ in pieces})
-    # every other piece is cut short, so that short texts are learned too
-    sizes = [TRAIN_STEPS if i % 2 else 8 + i * 37 % (TRAIN_STEPS - 8) for i in range(len(pieces))]
-    ids, owner = window_ids([lowered(text)[:n] for (_, text), n in zip(pieces, sizes, strict=True)], TRAIN_STEPS)
-    labels = np.array([languages.index(lang) for lang, _ in pieces])[owner]
-    return ByteGru(languages).fit(ids, labels) if len(labels) else None
+    labels = np.array([languages.index(lang) for lang, _ in texts])[owner]
+    short = ids[:, ::3].copy()
+    sizes = 8 + np.arange(short.shape[1]) * 37 % (TRAIN_STEPS - 8)
+    short[np.arange(TRAIN_STEPS)[:, None] >= sizes] = PAD
+    some = (short != PAD).any(axis=0)
+    return ByteGru(languages).fit(np.hstack([ids, short[:, some]]), np.concatenate([labels, labels[::3][some]]))
+
+
+def centred_windows(sizes: np.ndarray, steps: int = STEPS, margin: int = MARGIN) -> tuple[np.ndarray, ...]:
+    """Windows of texts that lie end to end: the text of each, first byte, bytes before the centre, after the centre's end, and in all; long windows first."""
+    counts = -(-sizes // steps)
+    owner = np.repeat(np.arange(len(sizes)), counts)
+    low = (np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)) * steps
+    high = np.minimum(low + steps, sizes[owner])
+    first, last = np.maximum(low - margin, 0), np.minimum(high + margin, sizes[owner])
+    order = np.argsort(first - last, kind="stable")
+    begin = (np.cumsum(sizes) - sizes)[owner]
+    return tuple(x[order] for x in (owner, begin + first, low - first, high - first, last - first))
+
+
+def pooled(net: ByteGru, raw: list[bytes]) -> np.ndarray:
+    """Mean probabilities over all positions of each text; every position is labelled once, in its window's centre."""
+    sizes = np.array([len(x) for x in raw], np.int64)
+    data = np.frombuffer(b"".join(raw), np.uint8)
+    sums = np.zeros((len(raw), len(net.languages)))
+    windows = centred_windows(sizes)
+    for lo in range(0, len(windows[0]), BLOCK):
+        owner, begin, low, high, length = (x[lo : lo + BLOCK] for x in windows)
+        t = np.arange(int(length[0]))[:, None]
+        real = t < length
+        ids = np.where(real, data[np.minimum(begin + t, len(data) - 1)], PAD).astype(np.int16)
+        p = (net.probabilities(ids) * ((t >= low) & (t < high))[:, :, None]).sum(axis=0)
+        for k in range(p.shape[1]):
+            sums[:, k] += np.bincount(owner, p[:, k], len(raw))
+    return sums / np.maximum(sizes, 1)[:, None]
 
 
 def predict(docs: DataFrame, model: ByteGru | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -210,23 +237,13 @@ def predict(docs: DataFrame, model: ByteGru | None, id_col: str = "doc_id", text
     def run(batches):
         net = shared.value
         for batch in batches:
-            for part in chunks(batch, "text", CHUNK_BYTES // 4):
+            for part in chunks(batch, "text", CHUNK_BYTES):
                 texts = part.column("text").to_pylist()
                 letters = [has_letter(t) for t in texts]
                 names, scores = [UNKNOWN] * len(texts), np.zeros(len(texts))
                 ask = [i for i, x in enumerate(letters) if x and net is not None]
                 if ask:
-                    ids, owner = window_ids([lowered(texts[i]) for i in ask], STEPS)
-                    sums, n = np.zeros((len(ask), len(net.languages))), np.zeros(len(ask))
-                    for lo in range(0, len(owner), 4096):
-                        own = owner[lo : lo + 4096]
-                        block = ids[:, lo : lo + 4096]
-                        real = block != PAD
-                        p = (net.probabilities(block) * real[:, :, None]).sum(axis=0)
-                        for k in range(p.shape[1]):
-                            sums[:, k] += np.bincount(own, p[:, k], len(ask))
-                        n += np.bincount(own, real.sum(axis=0), len(ask))
-                    mean = sums / np.maximum(n, 1)[:, None]
+                    mean = pooled(net, [lowered(texts[i]) for i in ask])
                     best = mean.argmax(axis=1)
                     for j, i in enumerate(ask):
                         names[i], scores[i] = net.languages[best[j]], min(1.0, max(0.0, float(mean[j, best[j]])))
@@ -244,5 +261,5 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     has no letter is 'und' with score 0, as is every row if nothing could be learned. Repeated rows get repeated results.
     """
     allowed = F.coalesce(F.pmod(crc_of_id(F.col(id_col)), F.lit(4)) != 2, F.lit(False))
-    pieces = training_windows(docs.select(id_col, text_col, lang_col), allowed, id_col, text_col, lang_col)
-    return predict(docs, train(pieces), id_col, text_col)
+    texts = training_texts(docs.select(id_col, text_col, lang_col), allowed, id_col, text_col, lang_col)
+    return predict(docs, train(texts), id_col, text_col)

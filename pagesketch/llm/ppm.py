@@ -31,6 +31,8 @@ ORDER = 5
 DISCOUNT = 0.5
 SYMBOLS = 257
 END = 256
+#: Keys from which on the contexts that end with one pair of bytes are split by the byte before it.
+HOT_KEYS = 1 << 20
 #: Bytes of text that a batch has on average, and batches whose keys one bucket holds.
 BATCH_BYTES = 8 << 20
 BATCHES_PER_BUCKET = 8
@@ -108,6 +110,15 @@ def bucket_of(keys: np.ndarray, buckets: int) -> np.ndarray:
     return (mix(keys.astype(np.int64).view(np.uint64) + GOLDEN) % np.uint64(buckets)).astype(np.int64)
 
 
+def spans_of(keys: np.ndarray, buckets: int) -> tuple[np.ndarray, list[tuple[int, int, int]]]:
+    """The order of keys by bucket, and (bucket, from, to) of the buckets that have some; work and rows follow the keys, not the number of buckets."""
+    bucket = bucket_of(keys, buckets)
+    order = np.argsort(bucket, kind="stable")
+    bucket = bucket[order]
+    first = np.flatnonzero(np.diff(bucket, prepend=-1))
+    return order, list(zip(bucket[first].tolist(), first.tolist(), [*first[1:].tolist(), len(bucket)], strict=False))
+
+
 GRAMS, WORDS = 0, 1
 #: Bytes of text whose keys are in memory together.
 SLICE_BYTES = 2 << 20
@@ -142,9 +153,7 @@ class BatchKeys:
             first += part.num_rows
         found = [own for _, own, _ in self.slices]
         self.distinct = np.unique(np.concatenate(found)) if found else np.zeros(0, np.int64)
-        bucket = bucket_of(self.distinct, self.buckets)
-        self.order = np.argsort(bucket, kind="stable")
-        self.bounds = np.searchsorted(bucket[self.order], np.arange(self.buckets + 1))
+        self.order, self.spans = spans_of(self.distinct, self.buckets)
 
     def counts(self, chosen: np.ndarray) -> np.ndarray:
         """Occurrences of the distinct keys in the chosen texts."""
@@ -162,8 +171,7 @@ class BatchKeys:
 
     def requests(self, batch: int, chosen: np.ndarray) -> list[tuple]:
         keys, counts = self.distinct[self.order], self.counts(chosen)[self.order]
-        spans = [(b, self.bounds[b], self.bounds[b + 1]) for b in range(self.buckets)]
-        return [(batch, self.kind, b, pack_sorted(keys[lo:hi]), pack_counts(counts[lo:hi])) for b, lo, hi in spans if lo < hi]
+        return [(batch, self.kind, b, pack_sorted(keys[lo:hi]), pack_counts(counts[lo:hi])) for b, lo, hi in self.spans]
 
     def replies(self, parts: list[np.ndarray]) -> np.ndarray:
         """Values that came bucket by bucket, in the order of the distinct keys."""
@@ -299,7 +307,7 @@ def counted(asked: DataFrame) -> DataFrame:
         distinct, sums, context = distinct[order], sums[order], context[order]
         first = np.flatnonzero(np.diff(context, prepend=-1))
         for lo, hi in zip(first, np.append(first[1:], len(context)), strict=True):
-            rows.append((CONTEXTS, int(context[lo]), bucket, pack_sorted(distinct[lo:hi]), pack_counts(sums[lo:hi]), None, None))
+            rows.append((CONTEXTS, int(context[lo]), bucket, pack_sorted(distinct[lo:hi]), pack_counts(sums[lo:hi]), int(hi - lo), None))
         return _table(COUNTED, rows)
 
     return asked.groupBy("kind", "bucket").applyInArrow(run, COUNTED_SQL)
@@ -329,31 +337,33 @@ def _by(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.bincount(at, counts, len(distinct))[at], at
 
 
-def group_log10(keys: np.ndarray, counts: np.ndarray, short: ShortContexts) -> np.ndarray:
+def group_log10(keys: np.ndarray, counts: np.ndarray, short: ShortContexts, pair_counts: np.ndarray | None = None) -> np.ndarray:
     """log10 probabilities of keys (distinct; counts may be 0) that share the last two bytes before the symbol.
 
-    The keys must be all that training texts have with these two bytes.
+    The keys must be all that training texts have with these two bytes, or, if pair_counts has the counts of all symbols after them, all
+    with the last three.
     """
     symbol = keys & 0x1FF
     last = int(keys[0] >> 9 & 0xFF)
     seen = counts > 0
+    full = np.ones(len(keys))
+    pair_counts = np.bincount(symbol, counts, SYMBOLS) if pair_counts is None else pair_counts
     levels = []  # per order, from the longest: symbol's count, total, kinds, all per row
-    for mask_bits in range(8 * ORDER, 8, -8):
+    for mask_bits in range(8 * ORDER, 16, -8):
         context = keys >> 9 & ((1 << mask_bits) - 1)
         of_symbol, pair = _by(context << 9 | symbol, counts)
         total, node = _by(context, counts)
         owners = np.flatnonzero(seen)[np.unique(pair[seen], return_index=True)[1]]
         kinds = np.bincount(node[owners], minlength=node.max() + 1)
         levels.append({"c": of_symbol, "n": total, "t": kinds[node], "node": node, "owners": owners})
+    levels.append({"c": pair_counts[symbol].astype(np.float64), "n": full * pair_counts.sum(), "t": full * (pair_counts > 0).sum()})
     # symbols of a longer context, counted in the next shorter one
     for longer, shorter in zip(levels, levels[1:], strict=False):
         held = np.bincount(longer["node"][longer["owners"]], shorter["c"][longer["owners"]], longer["node"].max() + 1)
         shorter["n_out"], shorter["t_out"] = held[longer["node"]], longer["t"]
     levels[0]["n_out"] = levels[0]["t_out"] = np.zeros(len(keys))
-    two = np.zeros(SYMBOLS, bool)
-    two[symbol[seen]] = True
+    two = pair_counts > 0
     after, alone = short.after[last], short.alone
-    full = np.ones(len(keys))
     levels.append({"c": after[symbol], "n": full * after.sum(), "t": full * (after > 0).sum(), "n_out": full * after[two].sum(), "t_out": full * two.sum()})
     one = after > 0
     levels.append({"c": alone[symbol], "n": full * alone.sum(), "t": full * (alone > 0).sum(), "n_out": full * alone[one].sum(), "t_out": full * one.sum()})
@@ -374,8 +384,54 @@ REPLIES = {"batch": pa.int64(), "kind": pa.int64(), "bucket": pa.int64(), "body"
 REPLIES_SQL = "batch bigint, kind bigint, bucket bigint, body binary"
 
 
-def modelled(contexts: DataFrame, short, buckets: int) -> DataFrame:
-    """(bucket, keys, body): log10 probabilities of all keys, back in their buckets."""
+def split_hot(contexts: DataFrame, hot) -> DataFrame:
+    """(context, keys, counts) of (batch, keys, counts), batch being the last two bytes; pairs in the broadcast hot are split by the byte before them.
+
+    With three bytes fixed a context has at most 65536 * 257 keys, whatever the corpus.
+    """
+
+    def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in parts:
+            rows: list[tuple] = []
+            for pair, packed, packed_counts in zip(part.column("batch").to_pylist(), part.column("keys").to_pylist(), part.column("counts").to_pylist(), strict=True):
+                if pair not in hot.value:
+                    rows.append((pair, packed, packed_counts))
+                    continue
+                keys = unpack_sorted(packed)
+                counts, third = unpack_counts(packed_counts, len(keys)), keys >> 25 & 0xFF
+                for byte in np.unique(third).tolist():
+                    own = third == byte
+                    rows.append((1 << 16 | byte << 17 | pair << 25, pack_sorted(keys[own]), pack_counts(counts[own])))
+            yield _table({"context": pa.int64(), "keys": pa.binary(), "counts": pa.binary()}, rows).combine_chunks().to_batches()[0] if rows else _NO_CONTEXTS
+
+    return contexts.mapInArrow(run, "context bigint, keys binary, counts binary")
+
+
+_NO_CONTEXTS = pa.RecordBatch.from_arrays([pa.array([], pa.int64()), pa.array([], pa.binary()), pa.array([], pa.binary())], ["context", "keys", "counts"])
+
+
+def pair_tables(contexts: DataFrame, hot) -> dict[int, np.ndarray]:
+    """For each hot pair of bytes, the training counts of all symbols after it."""
+
+    def run(parts: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for part in parts:
+            for pair, packed, counts in zip(part.column("batch").to_pylist(), part.column("keys").to_pylist(), part.column("counts").to_pylist(), strict=True):
+                keys = unpack_sorted(packed)
+                found = np.bincount(keys & 0x1FF, unpack_counts(counts, len(keys)), SYMBOLS)
+                sums[pair] = sums[pair] + found if pair in sums else found
+        rows = [(pair, s, int(n)) for pair, own in sums.items() for s, n in enumerate(own) if n]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(3)], ["pair", "symbol", "n"])
+
+    out = {pair: np.zeros(SYMBOLS) for pair in hot}
+    if hot:
+        for r in contexts.where(F.col("batch").isin(sorted(hot))).mapInArrow(run, "pair bigint, symbol bigint, n bigint").groupBy("pair", "symbol").agg(F.sum("n").alias("n")).collect():
+            out[r["pair"]][r["symbol"]] = r["n"]
+    return out
+
+
+def modelled(contexts: DataFrame, short, hot, buckets: int) -> DataFrame:
+    """(bucket, keys, body): log10 probabilities of all keys, back in their buckets. hot has the tables of pairs that are split."""
 
     def run(group: pa.Table) -> pa.Table:
         keys = [unpack_sorted(x.as_py()) for x in group.column("keys")]
@@ -383,14 +439,12 @@ def modelled(contexts: DataFrame, short, buckets: int) -> DataFrame:
         keys = np.concatenate(keys)
         order = np.argsort(keys)
         keys, counts = keys[order], counts[order]
-        values = group_log10(keys, counts, short.value).astype(np.float32)
-        bucket = bucket_of(keys, buckets)
-        order = np.argsort(bucket, kind="stable")
-        bounds = np.searchsorted(bucket[order], np.arange(buckets + 1))
-        rows = [(b, pack_sorted(keys[order[lo:hi]]), values[order[lo:hi]].tobytes()) for b, (lo, hi) in enumerate(zip(bounds, bounds[1:], strict=False)) if lo < hi]
+        values = group_log10(keys, counts, short.value, hot.value.get(int(keys[0] >> 9 & 0xFFFF))).astype(np.float32)
+        order, spans = spans_of(keys, buckets)
+        rows = [(b, pack_sorted(keys[order[lo:hi]]), values[order[lo:hi]].tobytes()) for b, lo, hi in spans]
         return _table({"bucket": pa.int64(), "keys": pa.binary(), "body": pa.binary()}, rows)
 
-    return contexts.groupBy("batch").applyInArrow(run, "bucket bigint, keys binary, body binary")
+    return split_hot(contexts, hot).groupBy("context").applyInArrow(run, "bucket bigint, keys binary, body binary")
 
 
 def answered(asked: DataFrame, model: DataFrame) -> DataFrame:
@@ -407,12 +461,12 @@ def answered(asked: DataFrame, model: DataFrame) -> DataFrame:
     return asked.groupBy("bucket").cogroup(model.groupBy("bucket")).applyInArrow(run, REPLIES_SQL)
 
 
-def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str = "doc_id", text_col: str = "text", batch_bytes: int = BATCH_BYTES) -> DataFrame:
+def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str = "doc_id", text_col: str = "text", batch_bytes: int = BATCH_BYTES, hot_keys: int = HOT_KEYS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
 
     The model learns from all rows where train is true (null is false); every row is scored over its whole text. A null text is
     empty: the end symbol alone. Tokens are the words and one end. Without training rows every symbol is coded uniformly.
-    Rows that repeat an id are scored each. Words are told apart by 64-bit fingerprints.
+    Rows that repeat an id are scored each. Words are told apart by their bytes in a slice, and by 64-bit keyed hashes between slices.
     """
     source = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), F.coalesce(train, F.lit(False)).alias("train"), F.col(text_col).cast("binary").alias("text"))
     n_train = source.agg(F.coalesce(F.sum(F.col("train").cast("int")), F.lit(0))).first()[0]
@@ -420,10 +474,13 @@ def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str
     buckets = max(1, -(-batches.count() // BATCHES_PER_BUCKET))
     asked = cut(requests(batches, buckets))
     sums = cut(counted(asked))
-    words, kinds = sums.where(f"role = {WORD_TOTAL}").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
-    pairs = sums.where(f"role = {PAIRS}").groupBy("batch").agg(F.sum("n").alias("n")).collect()
-    short = docs.sparkSession.sparkContext.broadcast(ShortContexts.of([(r["batch"], r["n"]) for r in pairs]))
-    model = modelled(sums.where(f"role = {CONTEXTS}").select("batch", "keys", "counts"), short, buckets)
+    totals = sums.where(f"role <> {WORD_REPLY}").groupBy("role", "batch").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).collect()
+    words, kinds = next(((r["n"], r["v"]) for r in totals if r["role"] == WORD_TOTAL), (0, 0))
+    context = docs.sparkSession.sparkContext
+    short = context.broadcast(ShortContexts.of([(r["batch"], r["n"]) for r in totals if r["role"] == PAIRS]))
+    contexts = sums.where(f"role = {CONTEXTS}").select("batch", "keys", "counts")
+    hot = context.broadcast(pair_tables(contexts, {r["batch"] for r in totals if r["role"] == CONTEXTS and r["n"] > hot_keys}))
+    model = modelled(contexts, short, hot, buckets)
     replies = answered(asked.where(f"kind = {GRAMS}").select("batch", "bucket", "keys"), model)
     word_replies = sums.where(f"role = {WORD_REPLY}").select("batch", F.lit(WORDS).cast("bigint").alias("kind"), "bucket", F.col("counts").alias("body"))
     replies = replies.unionByName(word_replies)
@@ -438,9 +495,9 @@ def corpus_scores(docs: DataFrame, train: Column, held_out: Column, id_col: str
         n = rows.num_rows
         body = {(k, b): x for k, b, x in zip(right.column("kind").to_pylist(), right.column("bucket").to_pylist(), right.column("body").to_pylist(), strict=True)}
         keys = BatchKeys(GRAMS, rows, buckets)
-        score = keys.sums(keys.replies([np.frombuffer(body[GRAMS, b], np.float32) for b in range(buckets) if keys.bounds[b] < keys.bounds[b + 1]]))
+        score = keys.sums(keys.replies([np.frombuffer(body[GRAMS, b], np.float32) for b, _, _ in keys.spans]))
         keys = BatchKeys(WORDS, rows, buckets)
-        counts = keys.replies([unpack_counts(body[WORDS, b], int(n)) for b, n in enumerate(np.diff(keys.bounds)) if n])
+        counts = keys.replies([unpack_counts(body[WORDS, b], hi - lo) for b, lo, hi in keys.spans])
         base = keys.sums(np.log10(counts + 0.5) - scale) + end_log
         known = keys.sums(counts > 0).astype(np.int64) + int(n_train > 0)
         tokens = keys.sums(np.ones(len(counts))).astype(np.int64) + 1

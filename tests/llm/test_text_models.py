@@ -111,6 +111,33 @@ def test_gradients_of_the_network():
             assert abs((up - down) / (2 * step) - g[at]) < 2e-3 + 0.05 * abs(g[at])
 
 
+def test_windows_label_every_position_once():
+    sizes = np.array([0, 5, 384, 385, 2000])
+    owner, begin, low, high, length = language_id.centred_windows(sizes, 384, 32)
+    first = np.cumsum(sizes) - sizes
+    seen = [np.zeros(n, int) for n in sizes]
+    for o, b, lo, hi, n in zip(owner, begin, low, high, length, strict=True):
+        at = b - first[o]
+        seen[o][at + lo : at + hi] += 1
+        assert 0 <= at and at + n <= sizes[o] and (lo == 32 or at == 0) and (n - hi == 32 or at + n == sizes[o])
+    assert all((x == 1).all() for x in seen)
+
+
+def test_pooling_against_one_text_at_a_time():
+    """The pooled probabilities of a batch are the means over positions of windows run one by one."""
+    net = language_id.ByteGru(["a", "b", "c"], hidden=3)
+    rng = np.random.default_rng(0)
+    raw = [bytes(rng.integers(97, 123, n).astype(np.uint8)) for n in (1, 3, 400, 1000, 40)]
+    got = language_id.pooled(net, raw)
+    for text, mean in zip(raw, got, strict=True):
+        want = np.zeros(3)
+        for lo in range(0, len(text), language_id.STEPS):
+            a, b = max(0, lo - language_id.MARGIN), min(len(text), lo + language_id.STEPS + language_id.MARGIN)
+            p = net.probabilities(np.frombuffer(text[a:b], np.uint8).astype(np.int16)[:, None])[:, 0]
+            want += p[lo - a : min(lo + language_id.STEPS, len(text)) - a].sum(axis=0)
+        assert np.abs(mean - want / len(text)).max() < 0.1
+
+
 def test_language_of_odd_rows(odd, odd_rows, none):
     got = {(r["doc_id"], r["lang_pred"], r["score"]) for r in language_id.identify(odd).collect()}
     by_id = {d: (p, s) for d, p, s in got}
@@ -120,13 +147,13 @@ def test_language_of_odd_rows(odd, odd_rows, none):
     assert {r["lang_pred"] for r in language_id.identify(odd.withColumn("lang", F.lit(None).cast("string"))).collect()} == {"und"}
 
 
-@pytest.mark.parametrize("batch_bytes", [1, 1 << 20])
-def test_ppm_against_a_trie(spark, sf, batch_bytes):
+@pytest.mark.parametrize(("batch_bytes", "hot_keys"), [(1, 1 << 20), (1 << 20, 60)])
+def test_ppm_against_a_trie(spark, sf, batch_bytes, hot_keys):
     """The distributed model and the base score against a trie and a dictionary in memory."""
     docs = table(spark, sf, "documents").select("doc_id", "text").limit(60).union(spark.createDataFrame([(-1, None), (-2, ""), (-3, "Ünï ß 日本"), (-3, "Ünï ß 日本")], "doc_id bigint, text string"))
     rows = docs.collect()
     rest = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5))
-    got = ppm.corpus_scores(docs, rest != 1, rest == 1, batch_bytes=batch_bytes)
+    got = ppm.corpus_scores(docs, rest != 1, rest == 1, batch_bytes=batch_bytes, hot_keys=hot_keys)
     trie, counts = ppm.PpmTrie(), Counter()
     for r in rows:
         if zlib.crc32(str(r["doc_id"]).encode()) % 5 != 1:
@@ -159,8 +186,8 @@ def test_ppm_probabilities_add_up():
 
 
 def test_ppm_of_odd_rows(odd, odd_rows, none):
-    got = ppm.held_out_scores(odd.where("length(text) < 20000 or text is null"))
-    assert got.count() == sum(r[1] is None or len(r[1]) < 20000 for r in odd_rows)
+    got = ppm.held_out_scores(odd)
+    assert got.count() == len(odd_rows)
     assert got.where("score > 0 or n_tokens < 1").count() == 0
     assert ppm.held_out_scores(none).count() == 0
     untrained = ppm.corpus_scores(odd.limit(3), F.lit(None).cast("boolean"), F.lit(None).cast("boolean"))
