@@ -216,10 +216,46 @@ def test_pseudo_labels_teach_the_other_view():
     meta = np.stack([y * rng.random(n), rng.normal(0, 1, n)], axis=1)
     known = np.arange(n) < 200
     calibrate = known & (np.arange(n) % 4 == 0)
-    model = cotraining.CoTrained.fit(text, meta, np.where(known, y, 0), known, calibrate)
-    p = model.scores(text, meta)[2]
+    used = [set(), set()]
+
+    def propose(*models):
+        out = []
+        for k, (model, x) in enumerate(zip(models, (text, meta), strict=True)):
+            p = 1 / (1 + np.exp(-model.logit(x)))
+            free = [i for i in np.argsort(-np.abs(p - 0.5)) if not known[i] and i not in used[k]]
+            mine = [i for c in (0, 1) for i in [i for i in free if (p[i] >= 0.5) == c][:100]]
+            used[k] |= set(mine)
+            out.append((text[mine], meta[mine], (p[mine] >= 0.5).astype(int)))
+        return out
+
+    fit = lambda labels: cotraining.CoTrained.fit(text[known], meta[known], labels[known], calibrate[known], propose)
+    p = fit(y).scores(text, meta)[2]
     assert np.mean((p >= 0.5) == y) > 0.95
-    assert cotraining.CoTrained.fit(text, meta, np.zeros(n, int), known, calibrate) is None
+    assert fit(np.zeros(n, int)) is None
+
+
+def test_pseudo_labels_come_from_all_unlabelled_rows(spark, sf):
+    """Against the scores of every row, one by one; labelled rows, rows handed over before and unsure rows are never taken."""
+    docs, marks = (table(spark, sf, t) for t in ("documents", "labels"))
+    docs = docs.unionByName(docs.limit(20))
+    rows = docs.select("doc_id", "text", "lang", "source")
+    views = cotraining.kept_views(rows).cache()
+    rng = np.random.default_rng(5)
+    models = [cotraining.Logistic(rng.normal(0, 6, n), 0.0) for n in (cotraining.TEXT_VIEW, cotraining.META_BUCKETS)]
+    labelled = {r["doc_id"] for r in cotraining.marked(marks).collect()}
+    want = []
+    batch = pa.Table.from_pylist([r.asDict() for r in rows.dropDuplicates(["doc_id"]).collect()]).combine_chunks().to_batches()[0]
+    ids = batch.column("doc_id").to_pylist()
+    used = [{i for i in ids if i % 7 == k} for k in (0, 1)]
+    for k, (model, x) in enumerate(zip(models, cotraining.as_numbers(*cotraining._views(batch)), strict=True)):
+        p = 1 / (1 + np.exp(-model.logit(x)))
+        for c in (0, 1):
+            own = [(round(max(q, 1 - q) * 1e6), i) for q, i in zip(p, ids, strict=True) if max(q, 1 - q) >= cotraining.CONFIDENT and (q >= 0.5) == c and i not in labelled and i not in used[k]]
+            want += [(k, c, min(len(own), 5), sorted(s for s, _ in sorted(own, reverse=True)[:5]))]
+    got = cotraining.sure_rows(views, cotraining.marked(marks), models, used, per_class=5)
+    assert len(got) == sum(n for *_, n, _ in want) > 5
+    assert not {d for _, d, _ in got} & labelled and all(d not in used[k] for k, d, _ in got)
+    assert {(k, c): sum(v == k and y == c for v, _, y in got) for k, c, *_ in want} == {(k, c): n for k, c, n, _ in want}
 
 
 def test_cotraining_of_odd_rows(odd, odd_rows, none, labels):
