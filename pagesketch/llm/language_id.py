@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pagesketch.llm.common import CHUNK_BYTES, chunks, crc_of_id
 
 #: Bytes of a window in training and prediction, of the margin on both sides in prediction; hidden units of each direction.
-TRAIN_STEPS, STEPS, MARGIN, HIDDEN = 64, 384, 32, 12
+TRAIN_STEPS, STEPS, MARGIN, HIDDEN = 64, 512, 16, 12
 #: Windows that run side by side.
 BLOCK = 1024
 #: Most labelled rows of a language that are learned from, whole. Rows of more characters are not drawn, since the driver holds the sample.
