@@ -126,8 +126,8 @@ def _named_top(text: str, source: str, n: int) -> str:
 
 
 def named_top(rows: DataFrame, n: int) -> DataFrame:
-    """The n items of a column t with the largest estimates, by name. Items are counted by name once; sketch and names share that shuffle."""
-    counts = rows.where("t is not null").groupBy("t").agg(F.count("*").alias("c")).select("t", "c", H.fingerprint(F.col("t")).alias("item_key"))
+    """The n items of a column t with the largest estimates, by name. Items are counted by name once; size, sketch and names come from the kept counts."""
+    counts = rows.where("t is not null").groupBy("t").agg(F.count("*").alias("c")).select("t", "c", H.fingerprint(F.col("t")).alias("item_key")).persist()
     c = Case(stream_of(counts, "item_key", "c"))
     return counts.select("t", "item_key").join(part_estimates(c), "item_key").select(F.col("t").alias("item"), "est").orderBy(F.desc("est"), "item").limit(n)
 
@@ -137,18 +137,12 @@ def top_hosts(spark, sf_dir):
     return named_top(table(spark, sf_dir, "pages").select(F.regexp_extract("url", "://([^/?#]*)", 1).alias("t")), 10)
 
 
-@register("hot_prompts", _named_top("prompts", r"SELECT regexp_extract(lower(text), '[^ \n\t]+') AS t FROM conversations WHERE role = 'user'", 10))
-def hot_prompts(spark, sf_dir):
-    asks = table(spark, sf_dir, "conversations").where("role = 'user'")
-    return named_top(asks.select(F.regexp_extract(F.lower("text"), r"[^ \n\t]+", 0).alias("t")), 10)
-
-
 PROMPT = r"trim(regexp_replace(lower(text), '[ \n\t]+', ' ', 'g'))"
 
 
-@register("hot_prompt_texts", _named_top("prompt_texts", f"SELECT {PROMPT} AS t FROM conversations WHERE role = 'user'", 10))
-def hot_prompt_texts(spark, sf_dir):
-    """The most frequent user turns, each by its whole text with white space collapsed; hot_prompts counts their first words."""
+@register("hot_prompts", _named_top("prompts", f"SELECT {PROMPT} AS t FROM conversations WHERE role = 'user'", 10))
+def hot_prompts(spark, sf_dir):
+    """The most frequent user turns, each by its whole text with white space collapsed."""
     asks = table(spark, sf_dir, "conversations").where("role = 'user'")
     return named_top(asks.select(F.trim(F.regexp_replace(F.lower("text"), r"[ \n\t]+", " ")).alias("t")), 10)
 
@@ -259,15 +253,8 @@ def doc_pair_pmi(spark, sf_dir):
     return pmi_of(spark, table(spark, sf_dir, "documents"))
 
 
-@register("popularity", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part WHERE p_size = 1"), "SELECT item_key, est FROM pest"))
+@register("popularity", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part"), "SELECT item_key, est FROM pest"))
 def popularity(spark, sf_dir):
-    c = parts(spark, sf_dir)
-    asked = table(spark, sf_dir, "part").where("p_size = 1").select(F.col("p_partkey").alias("item_key"))
-    return S.paged_estimate(c.packed(), asked, c.geom)
-
-
-@register("popularity_of_all", with_(O.sketch_ctes(PARTS, queries="SELECT p_partkey AS item_key FROM part"), "SELECT item_key, est FROM pest"))
-def popularity_of_all(spark, sf_dir):
     c = parts(spark, sf_dir)
     return S.paged_estimate(c.packed(), table(spark, sf_dir, "part").select(F.col("p_partkey").alias("item_key")), c.geom)
 
@@ -313,13 +300,13 @@ def null_policy(spark, sf_dir):
     return rows[0].unionByName(rows[1])
 
 
-FILTERED = "SELECT l_partkey AS item_key, l_quantity::BIGINT AS weight FROM lineitem JOIN part ON p_partkey = l_partkey WHERE l_quantity BETWEEN 5 AND 30 AND l_returnflag IN ('A', 'R') AND p_type LIKE '%e%' AND regexp_matches(p_brand, '[1-3]$')"
+FILTERED = "SELECT l_partkey AS item_key, l_quantity::BIGINT AS weight FROM lineitem JOIN part ON p_partkey = l_partkey WHERE l_quantity BETWEEN 5 AND 30 AND l_returnflag IN ('A', 'R') AND p_type LIKE '%E%' AND regexp_matches(p_brand, '[1-3]$')"
 
 
 @register("filtered_sketch", with_(O.sketch_ctes(FILTERED), "SELECT * FROM pcells"))
 def filtered_sketch(spark, sf_dir):
     lines = table(spark, sf_dir, "lineitem").where("l_quantity between 5 and 30 and l_returnflag in ('A', 'R')")
-    part = table(spark, sf_dir, "part").where("p_type like '%e%' and p_brand rlike '[1-3]$'").select("p_partkey")
+    part = table(spark, sf_dir, "part").where("p_type like '%E%' and p_brand rlike '[1-3]$'").select("p_partkey")
     return Case(stream_of(lines.join(part, F.col("l_partkey") == F.col("p_partkey")), "l_partkey", "l_quantity")).paged()
 
 
@@ -516,22 +503,14 @@ def composite_items(spark, sf_dir):
     return measures.summary(Case(stream_of(lines, H.item_key(lines, "l_orderkey", "l_partkey"))).paged_over())
 
 
-@register("udtf_cells", with_(BASE, "SELECT item_key, page, row, col FROM pprobe WHERE item_key % 50 = 1"))
+@register("udtf_cells", with_(BASE, "SELECT item_key, page, row, col FROM pprobe"))
 def udtf_cells(spark, sf_dir):
     c = case(spark, sf_dir)
     sqlapi.register(spark, c.geom)
-    c.exact.where("item_key % 50 = 1").select("item_key").createOrReplaceTempView("asked_keys")
+    c.exact.select("item_key").createOrReplaceTempView("asked_keys")
     return spark.sql("SELECT item_key, page, row, col FROM asked_keys, LATERAL sketch_cells(item_key)")
 
 
-@register("udtf_all_cells", with_(BASE, "SELECT item_key, page, row, col FROM pprobe"))
-def udtf_all_cells(spark, sf_dir):
-    c = case(spark, sf_dir)
-    sqlapi.register(spark, c.geom)
-    c.exact.select("item_key").createOrReplaceTempView("all_asked_keys")
-    return spark.sql("SELECT item_key, page, row, col FROM all_asked_keys, LATERAL sketch_cells(item_key)")
-
-
 @register("sql_surface", with_(BASE, "SELECT item_key, page FROM pg"))
 def sql_surface(spark, sf_dir):
     c = case(spark, sf_dir)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import math
 from collections.abc import Callable
 
@@ -47,9 +48,15 @@ class Case:
         self.cfg = SketchConfig.from_stream(self.n, OVERESTIMATE, delta, **more)
         self.geom = PageGeometry.of(self.cfg, block_bytes, mode)
 
-    @property
+    @functools.cached_property
     def exact(self) -> DataFrame:
-        return S.exact_counts(self.stream)
+        """Counted once and kept: one record a key."""
+        return S.exact_counts(self.stream).persist()
+
+    @property
+    def counted(self) -> DataFrame:
+        """The stream with one record a key; it has the same sketches."""
+        return self.exact.withColumnRenamed("true_count", "weight")
 
     def flat(self) -> DataFrame:
         return S.flat_build(self.stream, self.cfg)
@@ -61,10 +68,11 @@ class Case:
         return S.paged_pack(self.paged(), self.geom)
 
     def flat_over(self) -> DataFrame:
-        return measures.overestimates(self.exact, S.flat_estimate(self.flat(), self.exact, self.cfg))
+        return measures.overestimates(self.exact, S.flat_estimate(S.flat_build(self.counted, self.cfg), self.exact, self.cfg))
 
     def paged_over(self) -> DataFrame:
-        estimates = S.paged_estimate(self.packed(), self.exact, self.geom)
+        pages = S.paged_pack(S.paged_build(self.counted, self.geom, combine="direct"), self.geom)
+        estimates = S.paged_estimate(pages, self.exact, self.geom)
         return measures.overestimates(self.exact, estimates)
 
 
@@ -125,7 +133,7 @@ def cfg_buffer(spark, sf_dir):
     return spark.createDataFrame(rows, "size_mib bigint, capacity bigint, update_io double")
 
 
-@register("bounds_flat", with_(BASE, "SELECT n, 8.0::DOUBLE AS error, 0.01::DOUBLE AS failure FROM cfg"))
+@register("bounds_flat", with_(BASE, f"SELECT n, round(n * exp(1.0) / (exp(1.0) / ({OVERESTIMATE}.0 / n)), 6) AS error, {DELTA}::DOUBLE AS failure FROM cfg"))
 def bounds_flat(spark, sf_dir):
     c = case(spark, sf_dir)
     b = bounds.flat(c.cfg, c.n)

@@ -19,6 +19,10 @@ def duck(sf):
     return con
 
 
+#: No item of the tables has more than half of the weight.
+EMPTY = {"majority"}
+
+
 def plain(v):
     if isinstance(v, float):
         return None if math.isnan(v) else round(v, 6)
@@ -32,8 +36,8 @@ def test_query(spark, sf, duck, name):
     df = QUERIES[name](spark, sf)
     cols = sorted(df.columns)
     got = sorted((tuple(map(plain, r)) for r in df.select(cols).collect()), key=repr)
+    assert got or name in EMPTY
     if name not in SQL:
-        assert got
         return
     found = duck.sql(SQL[name])
     assert sorted(found.columns) == cols
