@@ -9,7 +9,7 @@ from pagesketch import oracles as O
 from pagesketch.config import OVERESTIMATE, PageGeometry, SketchConfig
 from pagesketch.functions import hashing as H
 from pagesketch.functions import sqlapi
-from pagesketch.operators import heavy, measures
+from pagesketch.operators import heavy, measures, relational
 from pagesketch.operators import sketch as S
 from pagesketch.queries_core import BASE, ORDERKEYS, Case, case, orderkeys, with_
 from pagesketch.sources import tables
@@ -342,13 +342,13 @@ def interval_join(spark, sf_dir):
 
 @register("asof_snapshot", "SELECT e.event_id, max(s.ts) AS snapshot FROM events e JOIN events s ON s.event_id % 100 = 0 AND s.event_id <= e.event_id GROUP BY 1")
 def asof_snapshot(spark, sf_dir):
-    """The last snapshot at or before each event: running last value in days, the day before carried in."""
+    """The last snapshot at or before each event: running last value in blocks, those before carried in level by level."""
     e = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
-    e = e.withColumn("snap", F.when(F.col("event_id") % 100 == 0, F.col("ts"))).withColumn("block", F.floor(F.col("event_id") / 1000))
+    top = (e.agg(F.max("event_id")).first()[0] or 0) // relational.WIDTH
+    e = e.withColumn("snap", F.when(F.col("event_id") % 100 == 0, F.col("ts"))).withColumn("block", F.floor(F.col("event_id") / relational.WIDTH))
     inside = Window.partitionBy("block").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0)
     ends = e.groupBy("block").agg(F.max_by("snap", F.when(F.col("snap").isNotNull(), F.col("event_id"))).alias("end"))
-    carried = ends.withColumn("carried", F.last("end", ignorenulls=True).over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1))).select("block", "carried")
-    out = e.withColumn("own", F.last("snap", ignorenulls=True).over(inside)).join(carried, "block")
+    out = e.withColumn("own", F.last("snap", ignorenulls=True).over(inside)).join(relational.carry(ends, top), "block")
     return out.select("event_id", F.coalesce("own", "carried").alias("snapshot")).where("snapshot is not null")
 
 
@@ -420,9 +420,16 @@ def group_sketch(spark, sf_dir):
 
 @register("rank_items", "SELECT l_suppkey AS item_key, n, rank() OVER (ORDER BY n DESC)::INT AS rank, dense_rank() OVER (ORDER BY n DESC)::INT AS dense_rank, round(percent_rank() OVER (ORDER BY n DESC), 6) AS percent_rank, ntile(4) OVER (ORDER BY n DESC, l_suppkey)::INT AS quarter FROM (SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY 1)")
 def rank_items(spark, sf_dir):
+    """Ranks from places in a total order; the window over distinct counts has at most a square root of the rows."""
     n = table(spark, sf_dir, "lineitem").groupBy(F.col("l_suppkey").alias("item_key")).agg(F.count("*").alias("n"))
-    w, full = Window.orderBy(F.desc("n")), Window.orderBy(F.desc("n"), "item_key")
-    return n.select("item_key", "n", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense_rank"), F.round(F.percent_rank().over(w), 6).alias("percent_rank"), F.ntile(4).over(full).alias("quarter"))
+    placed = relational.with_positions(spark, n, scratch_dir(spark), F.desc("n"), F.asc("item_key"))
+    items = placed.count()
+    ties = placed.groupBy("n").agg((F.min("pos") + 1).cast("int").alias("rank"))
+    ties = ties.withColumn("dense_rank", F.row_number().over(Window.orderBy(F.desc("n"))))
+    size, more = divmod(items, 4)  # the first `more` quarters have one row more
+    quarter = F.when(F.col("pos") < more * (size + 1), F.floor(F.col("pos") / (size + 1))).otherwise(more + F.floor((F.col("pos") - more * (size + 1)) / max(size, 1)))
+    percent = F.round((F.col("rank") - 1) / max(items - 1, 1), 6)
+    return placed.join(ties, "n").select("item_key", "n", "rank", "dense_rank", percent.alias("percent_rank"), (quarter + 1).cast("int").alias("quarter"))
 
 
 EV = f"WITH keys AS (SELECT DISTINCT user_id AS item_key FROM events), {O.murmur_ctes('keys', range(1))}, e AS (SELECT event_id, event_type, user_id, {O.pmod('h', '20')} AS page FROM events JOIN hv ON item_key = user_id)"
@@ -435,8 +442,15 @@ def paged_events(spark, sf_dir) -> DataFrame:
 
 @register("page_jumps", f"{EV} SELECT event_id, page, lag(page) OVER w AS previous, lead(page) OVER w AS next FROM e WINDOW w AS (PARTITION BY event_type ORDER BY event_id)")
 def page_jumps(spark, sf_dir):
-    w = Window.partitionBy("event_type").orderBy("event_id")
-    return paged_events(spark, sf_dir).select("event_id", "page", F.lag("page").over(w).alias("previous"), F.lead("page").over(w).alias("next"))
+    """Neighbours among the events of a type, in blocks of ids, so that no window holds a whole type; edges are carried between blocks."""
+    e = paged_events(spark, sf_dir).withColumn("block", F.floor(F.col("event_id") / relational.WIDTH))
+    top = (e.agg(F.max("event_id")).first()[0] or 0) // relational.WIDTH
+    key = ["event_type", "block"]
+    w = Window.partitionBy(*key).orderBy("event_id")
+    before = relational.carry(e.groupBy(*key).agg(F.max_by("page", "event_id").alias("end")), top, ("event_type",)).withColumnRenamed("carried", "before")
+    after = relational.carry(e.groupBy(*key).agg(F.min_by("page", "event_id").alias("end")), top, ("event_type",), backwards=True).withColumnRenamed("carried", "after")
+    out = e.withColumn("previous", F.lag("page").over(w)).withColumn("next", F.lead("page").over(w)).join(before, key).join(after, key)
+    return out.select("event_id", "page", F.coalesce("previous", "before").alias("previous"), F.coalesce("next", "after").alias("next"))
 
 
 @register("rolling_load", f"{EV} SELECT event_id, page, count(*) OVER (PARTITION BY page ORDER BY event_id ROWS BETWEEN 9 PRECEDING AND CURRENT ROW)::BIGINT AS last_ten, count(*) OVER (PARTITION BY page ORDER BY event_id RANGE BETWEEN 500 PRECEDING AND CURRENT ROW)::BIGINT AS near, first_value(event_id) OVER (PARTITION BY page ORDER BY event_id) AS first_id FROM e")
