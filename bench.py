@@ -21,7 +21,7 @@ from pagesketch.plans.metrics import shuffle_cost
 from pagesketch.queries import QUERIES
 from pagesketch.queries_core import Case, uniform_stream
 from pagesketch.sources.store import PageStore
-from pagesketch.sources.tables import stream_of, table
+from pagesketch.sources.tables import stream_of, table, uniform_keys
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", str(os.cpu_count()))
@@ -53,6 +53,42 @@ def size_sweep(keys, sizes: tuple[int, ...] = tuple(1 << k for k in range(12, 27
     return out
 
 
+def four_sizes(spark, n: int, root: str) -> dict[str, dict]:
+    """Both sketches at four sizes, whose ratio to a fixed memory is 2, 4, 8 and 16: unique keys inserted and written, then asked for from cold files.
+
+    An insert ends when all counters are in files, as the last drain does. pack_paged is the further cost of one record a page. Ratios are flat over
+    paged, without and with packing; overestimates are those of all inserted keys.
+    """
+    out = {}
+    for ratio in (2, 4, 8, 16):
+        keys = uniform_keys(spark, n * ratio // 16).select("item_key", F.lit(1).cast("bigint").alias("weight")).cache()
+        c = Case(keys)
+        path = {k: f"{root}/{ratio}-{k}" for k in ("flat", "paged", "pages")}
+
+        def written(df, to: str) -> float:
+            began = time.perf_counter()
+            df.write.mode("overwrite").parquet(to)
+            return round(time.perf_counter() - began, 3)
+
+        def least(df, to: str) -> float:
+            return min(written(df, to) for _ in range(2))
+
+        one = {"n": c.n, "pages": c.geom.pages, "insert_flat": least(c.flat(), path["flat"]), "insert_paged": least(S.paged_build(keys, c.geom, combine="direct"), path["paged"])}
+        one["pack_paged"] = written(S.paged_pack(spark.read.parquet(path["paged"]), c.geom), path["pages"])
+        keys.unpersist()
+        asked = uniform_keys(spark, c.n).select("item_key")
+        ask = {"flat": lambda: S.flat_estimate(spark.read.parquet(path["flat"]), asked, c.cfg, strategy="shuffle_hash"), "paged": lambda: S.paged_estimate(spark.read.parquet(path["pages"]), asked, c.geom, strategy="shuffle_hash")}  # noqa: B023
+        for name, run in ask.items():
+            one[f"cold_query_{name}"] = min(seconds(run()) for _ in range(2))
+            over = run().agg(F.round(F.avg(F.col("est") - 1), 4), F.max(F.col("est") - 1)).first()
+            one[f"avg_over_{name}"], one[f"max_over_{name}"] = over[0], over[1]
+        one["insert_ratio"] = round(one["insert_flat"] / one["insert_paged"], 2)
+        one["insert_ratio_packed"] = round(one["insert_flat"] / (one["insert_paged"] + one["pack_paged"]), 2)
+        one["cold_query_ratio"] = round(one["cold_query_flat"] / one["cold_query_paged"], 2)
+        out[str(ratio)] = one
+    return out
+
+
 def main() -> None:
     spark = (
         SparkSession.builder.master(f"local[{CPUS}]")
@@ -107,6 +143,9 @@ def main() -> None:
     runs["insert_skewed_two_step"] = seconds(S.paged_build(weighted, hot.geom, combine="two_step"))
     runs["insert_skewed_direct"] = seconds(S.paged_build(weighted, hot.geom, combine="direct"))
 
+    spark.catalog.clearCache()
+    sizes = four_sizes(spark, c.n, tempfile.mkdtemp())
+
     import numpy as np
 
     sweep = size_sweep(np.random.default_rng(1).integers(0, 1 << 63, 200_000, dtype=np.uint64))
@@ -116,7 +155,7 @@ def main() -> None:
         "insert_shuffled_records": round(runs["insert_flat_shuffle"]["records"] / max(1, runs["insert_paged_shuffle"]["records"]), 2),
         "query_shuffled_records": round(runs["query_flat_shuffle"]["records"] / max(1, runs["query_paged_shuffle"]["records"]), 2),
     }
-    line = {"metric": "headline queries, total", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": os.path.basename(SF_DIR.rstrip("/")), "cpus": CPUS, "n": c.n, "pages": c.geom.pages, "runs": runs, "flat_over_paged": ratios, "ns_per_update_by_bytes": sweep}
+    line = {"metric": "headline queries, total", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": os.path.basename(SF_DIR.rstrip("/")), "cpus": CPUS, "n": c.n, "pages": c.geom.pages, "runs": runs, "flat_over_paged": ratios, "by_sketch_over_ram": sizes, "ns_per_update_by_bytes": sweep}
     print(json.dumps(line))
     spark.stop()
 

@@ -26,13 +26,15 @@ def item_stream(events: DataFrame, key: str = "user_id") -> DataFrame:
     return events.select("ts", F.col(key).cast("bigint").alias("item_key"), F.lit(1).cast("bigint").alias("weight"))
 
 
-def ingest(stream: DataFrame, store: PageStore, checkpoint: str, capacity: int | None = None) -> StreamingQuery:
-    """Append each micro-batch as a delta, at most once by its id, and fold deltas once a bucket's sub-buffers are full."""
+def ingest(stream: DataFrame, store: PageStore, checkpoint: str, capacity: int | None = None, most_deltas: int = 64) -> StreamingQuery:
+    """Append each micro-batch as a delta, at most once by its id, and fold the buckets whose sub-buffers are full, or all beyond so many deltas."""
 
     def one(batch: DataFrame, batch_id: int) -> None:
         store.append_delta(batch.select("item_key", "weight"), batch_id)
-        if capacity is not None and store.due(capacity):
+        if len(store.state["batches"]) > most_deltas:
             store.compact()
+        elif capacity is not None:
+            store.compact(store.due(capacity))
 
     return stream.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

@@ -82,10 +82,37 @@ def test_store(spark, sf, tmp_path):
     again.compact()
     assert again.state["n"] == c.n and not again.append_delta(stream, 1)
     assert {r["item_key"]: r["est"] for r in again.estimate(c.exact).collect()} == want
+    assert again.vacuum() > 0 and again.vacuum() == 0
+    assert {r["item_key"]: r["est"] for r in PageStore.open(spark, again.root, c.geom).estimate(c.exact).collect()} == want
     with pytest.raises(ValueError):
         PageStore.open(spark, str(tmp_path / "store"), PageGeometry.of(SketchConfig.from_stream(123)))
 
 
+def test_only_full_buckets_are_folded(spark, log, tmp_path, monkeypatch):
+    _, geom = log
+    store = PageStore.create(spark, str(tmp_path / "store"), geom, buckets=4)
+    keys = spark.range(200).select(F.col("id").alias("item_key"))
+    place = store.bucket_of(H.page_of(F.col("item_key"), geom))
+    hot = keys.select("item_key", F.when(place == 1, 50).otherwise(1).cast("bigint").alias("weight"))
+    for batch in range(2):
+        store.append_delta(hot, batch)
+        assert store.due(200) == [1]
+        store.compact(store.due(200))
+        assert list(store.state["generations"]) == ["1"] and store.due(200) == []
+    assert store.state["batches"] == [0, 1]
+    want = S.paged_build(hot.union(hot), geom)
+    for _ in range(2):
+        assert store.read().exceptAll(want).count() == 0 and want.exceptAll(store.read()).count() == 0
+        store.compact()
+        assert store.state["batches"] == [] and store.state["folded_to"] == {}
+    one = keys.where("item_key = 7")
+    page = one.select(H.page_of(F.col("item_key"), geom)).first()[0]
+    asked = []
+    monkeypatch.setattr(store, "read", lambda buckets: asked.append(buckets) or PageStore.read(store, buckets))
+    assert store.estimate(one).first()["est"] >= 2 and asked == [[page * 4 // geom.pages]]
+    assert not store.append_delta(hot, 1)
+
+
 @pytest.fixture(scope="module")
 def files(spark, sf, tmp_path_factory):
     folder = tmp_path_factory.mktemp("events")
