@@ -591,17 +591,6 @@ def over_quantiles(spark, sf_dir):
     return measures.quantiles(case(spark, sf_dir).paged_over())
 
 
-@register("predicted_over")
-def predicted_over(spark, sf_dir):
-    """Model against measurement, for unique keys."""
-    c = Case(uniform_stream(spark, sf_dir))
-    flat = bounds.predicted_flat(c.n, c.cfg.width, c.cfg.depth)
-    paged = bounds.predicted_paged(c.n, c.geom.pages, c.geom.columns, c.cfg.depth)
-    model = spark.createDataFrame([("flat", round(flat["avg_over"], 4)), ("paged", round(paged["avg_over"], 4))], "method string, predicted double")
-    found = measures.compare({"flat": c.flat_over(), "paged": c.paged_over()})
-    return found.join(F.broadcast(model), "method").select("method", "predicted", F.round("avg_per_item", 4).alias("measured"))
-
-
 # --- experiment workloads -------------------------------------------------------
 
 UNIFORM = f"SELECT {O.fingerprint("'keys-1:' || i")} AS item_key, 1 AS weight FROM (SELECT unnest(range(count(*))) AS i FROM lineitem)"
@@ -613,6 +602,26 @@ def uniform_stream(spark, sf_dir) -> DataFrame:
     return uniform_keys(spark, n).select("item_key", F.lit(1).cast("bigint").alias("weight"))
 
 
+#: The loads of pages as a binomial's normal limit, binomial tails of a cell, and the power of a row for all rows.
+MODEL = """loads AS (SELECT 'flat' AS method, n::DOUBLE AS load, c::DOUBLE AS columns, 1.0::DOUBLE AS weight FROM cfg UNION ALL
+SELECT 'paged', x::DOUBLE, 102, exp(-pow(x - m, 2) / (2 * d * d)) FROM (SELECT n::DOUBLE / k AS m, sqrt(n::DOUBLE / k * (1 - 1 / k::DOUBLE)) AS d FROM cfg), LATERAL (SELECT unnest(range(greatest(0, trunc(m - 8 * d))::BIGINT, trunc(m + 8 * d)::BIGINT + 2)) AS x)),
+masses AS (SELECT method, load, weight, i, CASE WHEN i <= load THEN exp(lgamma(load + 1) - lgamma(i + 1) - lgamma(load - i + 1) + i * ln(1 / columns) + (load - i) * ln(1 - 1 / columns)) ELSE 0 END AS mass FROM loads CROSS JOIN range(60) t(i)),
+tails AS (SELECT method, load, weight, greatest(0, 1 - sum(mass) OVER (PARTITION BY method, load ORDER BY i)) AS tail FROM masses),
+means AS (SELECT method, load, any_value(weight) AS weight, sum(pow(tail, 5)) AS mean FROM tails GROUP BY 1, 2),
+model AS (SELECT method, round(sum(weight * mean) / sum(weight), 4) AS predicted FROM means GROUP BY 1)"""
+
+
+@register("predicted_over", with_(f"{UNI}, {MODEL}", "SELECT method, predicted, round(round(measured, 6), 4) AS measured FROM model JOIN (SELECT 'flat' AS method, avg(over) AS measured FROM fover UNION ALL SELECT 'paged', avg(over) FROM pover) USING (method)"))
+def predicted_over(spark, sf_dir):
+    """Model against measurement, for unique keys."""
+    c = Case(uniform_stream(spark, sf_dir))
+    flat = bounds.predicted_flat(c.n, c.cfg.width, c.cfg.depth)
+    paged = bounds.predicted_paged(c.n, c.geom.pages, c.geom.columns, c.cfg.depth)
+    model = spark.createDataFrame([("flat", round(flat["avg_over"], 4)), ("paged", round(paged["avg_over"], 4))], "method string, predicted double")
+    found = measures.compare({"flat": c.flat_over(), "paged": c.paged_over()})
+    return found.join(F.broadcast(model), "method").select("method", "predicted", F.round("avg_per_item", 4).alias("measured"))
+
+
 @register("w_insert_flat", with_(UNI, "SELECT row, count(*)::BIGINT AS used, sum(cnt)::BIGINT AS n, max(cnt)::BIGINT AS most FROM fcells GROUP BY 1"))
 def w_insert_flat(spark, sf_dir):
     return Case(uniform_stream(spark, sf_dir)).flat().groupBy("row").agg(F.count("*").alias("used"), F.sum("cnt").alias("n"), F.max("cnt").alias("most"))
