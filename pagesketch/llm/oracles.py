@@ -59,17 +59,25 @@ SELECT doc_id, len(s)::BIGINT AS n_shingles, component_id, doc_id = component_id
 
 def _op1() -> str:
     idf, other, vectors = license_scan.weights(license_scan.TEMPLATES)
-    cells = ", ".join(f"('{k}', '{t}', {w!r}::DOUBLE)" for k, v in vectors.items() for t, w in v.items())
+    cells = ", ".join(f"('{k}', {i}, '{t}', {w!r}::DOUBLE)" for (k, i), v in vectors.items() for t, w in v.items())
     known = ", ".join(f"('{t}', {w!r}::DOUBLE)" for t, w in idf.items())
-    anchors = " OR ".join(f"contains(lower(line), '{a}')" for a in license_scan.ANCHORS)
+    names = ", ".join(f"('{k.lower()}', '{k}')" for k in sorted(license_scan.TEMPLATES))
+    anchors = " OR ".join(f"contains(lower(x), '{a}')" for a in license_scan.ANCHORS)
     return f"""
 WITH f AS (SELECT doc_id, concat_ws('/', source, lang, doc_id::VARCHAR) AS path, text FROM documents),
-l0 AS (SELECT doc_id, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^ \\t\\n\\v\\f\\r]')) AS lines FROM f WHERE text IS NOT NULL),
-l AS (SELECT doc_id, len(lines) AS n_lines, unnest(range(len(lines))) AS line_no, unnest(lines) AS line FROM l0),
-w AS (SELECT doc_id, n_lines, line_no, unnest(list_filter(regexp_split_to_array(lower(line), '[^a-z0-9]+'), lambda t: t <> '')) AS term FROM l WHERE {anchors}),
-tf AS (SELECT doc_id, n_lines, line_no, term, count(*) * coalesce(idf, {other!r}::DOUBLE) AS weight FROM w LEFT JOIN (VALUES {known}) k(term, idf) USING (term) GROUP BY doc_id, n_lines, line_no, term, idf),
-norms AS (SELECT doc_id, line_no, sqrt(sum(weight * weight)) AS norm FROM tf GROUP BY 1, 2),
-dots AS (SELECT doc_id, n_lines, line_no, license, round(sum(weight * tw) / max(norm), 6) AS cosine FROM tf JOIN norms USING (doc_id, line_no) JOIN (VALUES {cells}) c(license, term, tw) USING (term) GROUP BY 1, 2, 3, 4),
+a AS (SELECT doc_id, text, len(list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^ \\t\\n\\v\\f\\r]'))) AS n_lines, regexp_matches(regexp_extract(path, '([^/]*)$', 1), '{license_scan.LICENSE_FILE}') AS named
+  FROM (SELECT doc_id, path, text, text AS x FROM f WHERE text IS NOT NULL) WHERE ({anchors}) OR named),
+p AS (SELECT doc_id, n_lines, named, text, string_split_regex(text, '{license_scan.PARAGRAPH_END}') AS paragraphs FROM a),
+x AS (SELECT doc_id, n_lines, unnest(string_split(text, chr(10)) || paragraphs) AS x FROM p
+  UNION ALL SELECT doc_id, n_lines, unnest(string_split(regexp_replace(paragraph, '{license_scan.SENTENCE_END}', '\\1' || chr(1) || '\\2', 'g'), chr(1))) FROM (SELECT doc_id, n_lines, unnest(paragraphs) AS paragraph FROM p)),
+y AS (SELECT doc_id, n_lines, x FROM x WHERE {anchors} UNION ALL SELECT doc_id, n_lines, text FROM p WHERE named),
+u AS (SELECT DISTINCT doc_id, n_lines, trim(regexp_replace(lower(x), '{license_scan.TERM}', ' ', 'g')) AS unit FROM y),
+w AS (SELECT doc_id, n_lines, unit, unnest(string_split(unit, ' ')) AS term FROM u),
+tf AS (SELECT doc_id, n_lines, unit, term, count(*) * coalesce(idf, {other!r}::DOUBLE) AS weight FROM w LEFT JOIN (VALUES {known}) k(term, idf) USING (term) WHERE term <> '' GROUP BY doc_id, n_lines, unit, term, idf),
+norms AS (SELECT doc_id, unit, sqrt(sum(weight * weight)) AS norm FROM tf GROUP BY 1, 2),
+cosines AS (SELECT doc_id, n_lines, unit, license, notice, round(sum(weight * tw) / max(norm), 6) AS cosine FROM tf JOIN norms USING (doc_id, unit) JOIN (VALUES {cells}) c(license, notice, term, tw) USING (term) GROUP BY 1, 2, 3, 4, 5),
+tags AS (SELECT doc_id, n_lines, regexp_replace(unnest(regexp_split_to_array(tag, '[ \\t()]+')), '(-only|-or-later|\\+)?\\.?$', '') AS identifier FROM (SELECT doc_id, n_lines, unnest(regexp_extract_all(lower(text), '{license_scan.SPDX}', 1)) AS tag FROM a)),
+dots AS (SELECT doc_id, n_lines, license, cosine FROM cosines UNION ALL SELECT doc_id, n_lines, license, 1.0 FROM tags JOIN (VALUES {names}) s(identifier, license) USING (identifier)),
 found AS (SELECT doc_id, license, cosine, n_lines FROM (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY cosine DESC, license, n_lines) AS k FROM dots WHERE cosine >= {license_scan.MIN_COSINE}) WHERE k = 1),
 own AS (SELECT f.doc_id, path, regexp_replace(path, '/?[^/]*$', '') AS dir, regexp_extract(path, '([^/]*)$', 1) AS name, license, cosine, n_lines FROM f LEFT JOIN found USING (doc_id)),
 givers AS (SELECT dir AS giver, license AS given FROM (SELECT dir, license, row_number() OVER (PARTITION BY dir ORDER BY cosine DESC, name, license) AS k FROM own WHERE license IS NOT NULL AND (n_lines = 1 OR regexp_matches(name, '{license_scan.LICENSE_FILE}'))) WHERE k = 1),

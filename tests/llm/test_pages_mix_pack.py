@@ -82,7 +82,7 @@ def test_relative_and_repeated_aliases(spark):
 
 
 def test_license_inheritance(spark):
-    apache, mit = license_scan.TEMPLATES["Apache-2.0"], license_scan.TEMPLATES["MIT"]
+    apache, mit = license_scan.TEMPLATES["Apache-2.0"][0], license_scan.TEMPLATES["MIT"][0]
     rows = [
         (1, "repo/LICENSE", "Some words\n" + apache),
         (2, "repo/src/a.py", "print(1)"),
@@ -108,7 +108,8 @@ def test_spdx_identifiers(spark):
         "/* spdx-license-identifier:\tLGPL-3.0-or-later */": "LGPL-3.0",
         "# SPDX-License-Identifier: (Foo-1.0 OR GPL-3.0+)": "GPL-3.0",
         "# SPDX-License-Identifier: MPL-2.0 AND Apache-2.0.": "Apache-2.0",
-        "SPDX-License-Identifier: GPL-2.0-only": None,
+        "SPDX-License-Identifier: GPL-1.0-only": None,
+        "SPDX-License-Identifier: GPL-2.0-only": "GPL-2.0",
         "SPDX-License-Identifier: MIT-0": None,
         "SPDX-License-Identifier: Foo-1.0 like MIT": None,
     }
@@ -117,6 +118,35 @@ def test_spdx_identifiers(spark):
     assert got == {i: (k, k and 1.0) for i, k in enumerate(lines.values())}
 
 
+def test_notices_in_lines_sentences_and_paragraphs(spark):
+    gpl = "/*\n * This program is free software; you can redistribute it and/or modify\n * it under the terms of the GNU General Public License as published by\n * the Free Software Foundation; either version {} of the License, or\n * (at your option) any later version.\n */\nint a;"
+    files = {
+        "Redistribution and use in source and binary forms, with or without\nmodification, are permitted provided that the following conditions are met:\n\n1. first": "BSD-3-Clause",
+        gpl.format(2): "GPL-2.0",
+        gpl.format(3): "GPL-3.0",
+        "                    GNU GENERAL PUBLIC LICENSE\n                       Version 3, 29 June 2007\n\n Everyone may copy.": "GPL-3.0",
+        "GNU Affero GPL v3": "AGPL-3.0",
+        "Use it under GPL version 2": "GPL-2.0",
+        "Mozilla Public License Version 2.0": "MPL-2.0",
+        "Great tool for you. Released under the MIT License. It was written long ago by many people in many places who cared.": "MIT",
+        "x\n\nPermission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files, to deal\nin the Software without restriction, including without limitation the rights\nto use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies": "MIT",
+        "# Licensed under the Apache License, Version 2.0 (the License);\n# you may not use this file except in compliance with the License.\nimport a": "Apache-2.0",
+        "This copyright is held by nobody whom we know": None,
+    }
+    rows = [(i, f"x{i}/a.c", t) for i, t in enumerate(files)]
+    got = {r["doc_id"]: r["license"] for r in license_scan.scan(spark.createDataFrame(rows, "doc_id bigint, path string, text string"), F.col("path")).collect()}
+    assert got == dict(enumerate(files.values()))
+
+
+def test_whole_licence_files(spark):
+    """A licence file is compared as a whole, with full texts that the caller brings; ties go to the first name."""
+    full = "You may copy this work freely. " * 3 + "Keep these words. No promise is made."
+    rows = [(1, "r/COPYING", full.replace(" ", "\n")), (2, "r/a.c", "int a;"), (3, "s/a.c", full)]
+    files = spark.createDataFrame(rows, "doc_id bigint, path string, text string")
+    got = {r["doc_id"]: (r["license"], r["cosine"], r["found_by"]) for r in license_scan.scan(files, F.col("path"), templates={"Own-2": full, "Own-1": full}).collect()}
+    assert got == {1: ("Own-1", 1.0, "header"), 2: ("Own-1", None, "inherited"), 3: (None, None, "none")}
+
+
 def test_licenses_of_odd_rows(odd, odd_rows, none):
     path = F.concat_ws("/", "source", F.col("doc_id").cast("string"))
     got = license_scan.scan(odd, path)
