@@ -5,6 +5,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
+from html import unescape
 from urllib.parse import urljoin
 
 import pyarrow as pa
@@ -42,7 +43,7 @@ CANONICAL_TAG = r"(?is)<link\b[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"
 REFRESH_TAG = r"(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b[^>]*>"
 HREF = r"(?is)\bhref\s*=\s*[\"']?([^\"'\s>]+)"
 BASE_TAG = r"(?is)<base\b[^>]*\bhref\b[^>]*>"
-REFRESH_URL = r"(?is)\burl\s*=\s*[\"']?([^\"'\s>;]+)"
+REFRESH_URL = r"(?is)\burl\s*=\s*[\"']?((?:&#?\w+;|[^\"'\s>;])+)"
 
 
 def rest_of(url: Column) -> Column:
@@ -79,10 +80,10 @@ def resolved(url: str, target: str) -> str | None:
 
 
 def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(url, base, target) to (url, target) with target resolved against the base tag, itself resolved against url."""
+    """(url, base, target) to (url, target) with target resolved against the base tag, itself resolved against url; entities are decoded first."""
     for batch in batches:
         urls, bases, targets = (batch.column(c).to_pylist() for c in ("url", "base", "target"))
-        out = [resolved((resolved(u, b) if b else None) or u, t) for u, b, t in zip(urls, bases, targets, strict=True)]
+        out = [resolved((resolved(u, unescape(b)) if b else None) or u, unescape(t)) for u, b, t in zip(urls, bases, targets, strict=True)]
         yield pa.RecordBatch.from_arrays([batch.column("url"), pa.array(out, pa.string())], ["url", "target"])
 
 

@@ -73,12 +73,14 @@ def test_relative_and_repeated_aliases(spark):
         (10, None, link("/bad")),
         (11, "http://k.com/a/b/", link("../../../bad/.")),
         (12, "http://l.com/x", refresh("http://ok.info/3") + refresh("https://bad.net/x")),
+        (13, "http://m.com/x", link("http&#58;//bad.net/x")),
+        (14, "http://n.com/x", link("/y?a=1&amp;b=2") + refresh("/y?a=1&amp;c=3")),
     ]
     pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
-    bad = ["a.com/bad", "b.com/x/bad", "c.com/x/y?id=1", "d.com/next.html", "g.com/bad", "j.com/bad", "k.com/bad/"]
+    bad = ["a.com/bad", "b.com/x/bad", "c.com/x/y?id=1", "d.com/next.html", "g.com/bad", "j.com/bad", "k.com/bad/", "n.com/y?a=1&c=3"]
     redirects = spark.createDataFrame([(f"http://{u}", "http://bad.net/x") for u in bad], "src_url string, dst_url string")
     got = {r["page_id"]: r["verdict"] for r in url_filter.judge_urls(pages, redirects=redirects).collect()}
-    assert got == {i: "allow" if i in (8, 10) else "block" for i in range(1, 13)}
+    assert got == {i: "allow" if i in (8, 10) else "block" for i in range(1, 15)}
 
 
 def test_license_inheritance(spark):
