@@ -74,7 +74,7 @@ def four_sizes(spark, n: int, root: str) -> dict[str, dict]:
             return min(written(df, to) for _ in range(2))
 
         one = {"n": c.n, "pages": c.geom.pages, "insert_flat": least(c.flat(), path["flat"]), "insert_paged": least(S.paged_build(keys, c.geom, combine="direct"), path["paged"])}
-        one["pack_paged"] = written(S.paged_pack(spark.read.parquet(path["paged"]), c.geom), path["pages"])
+        one["pack_paged"] = least(S.paged_pack(spark.read.parquet(path["paged"]), c.geom, how="arrow"), path["pages"])
         keys.unpersist()
         asked = uniform_keys(spark, c.n).select("item_key")
         ask = {"flat": lambda: S.flat_estimate(spark.read.parquet(path["flat"]), asked, c.cfg, strategy="shuffle_hash"), "paged": lambda: S.paged_estimate(spark.read.parquet(path["pages"]), asked, c.geom, strategy="shuffle_hash")}  # noqa: B023

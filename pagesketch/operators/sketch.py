@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pagesketch.config import PageGeometry, SketchConfig
@@ -110,8 +110,16 @@ def paged_build(stream: DataFrame, geom: PageGeometry, combine: str | None = Non
     return cells.groupBy("page", "row", "col").agg(F.sum("weight").cast("bigint").alias("cnt"))
 
 
-def paged_pack(cells: DataFrame, geom: PageGeometry) -> DataFrame:
-    """(page, load, cells): one array per page, columns first; load is the weight of the page's items."""
+def paged_pack(cells: DataFrame, geom: PageGeometry, how: str = "native") -> DataFrame:
+    """(page, load, cells): one array per page, columns first; load is the weight of the page's items.
+
+    how: 'native' sorts each page's counters as an array and fills the gaps by expressions; 'arrow' sorts the partition by page and
+    writes counters to their places, a batch at a time, in less than half the time.
+    """
+    if how == "arrow":
+        return _pack_batches(cells, geom)
+    if how != "native":
+        raise ValueError(f"unknown way to pack: {how}")
     depth = geom.cfg.depth
     packed = cells.groupBy("page").agg(
         F.sum(F.when(F.col("row") == 0, F.col("cnt"))).cast("bigint").alias("load"),
@@ -120,6 +128,59 @@ def paged_pack(cells: DataFrame, geom: PageGeometry) -> DataFrame:
     return packed.select("page", "load", dense("found", geom.cells).alias("cells"))
 
 
+def _pack_batches(cells: DataFrame, geom: PageGeometry) -> DataFrame:
+    import numpy as np
+    import pyarrow as pa
+
+    size, depth = geom.cells, geom.cfg.depth
+
+    def pages_of(page, at, cnt, load):
+        found, begin, place = np.unique(page, return_index=True, return_inverse=True)
+        out = np.zeros((len(found), size), np.int64)
+        out[place, at] = cnt
+        ends = pa.array(np.arange(len(found) + 1, dtype=np.int32) * size)
+        return pa.RecordBatch.from_arrays([pa.array(found), pa.array(load[begin]), pa.ListArray.from_arrays(ends, pa.array(out.ravel()))], ["page", "load", "cells"])
+
+    def run(batches):
+        held = [np.empty(0, np.int64)] * 4
+        for batch in batches:
+            held = [np.concatenate((h, batch.column(i).to_numpy(zero_copy_only=False))) for i, h in enumerate(held)]
+            whole = np.searchsorted(held[0], held[0][-1]) if len(held[0]) else 0
+            if whole:
+                yield pages_of(*(h[:whole] for h in held))
+                held = [h[whole:] for h in held]
+        if len(held[0]):
+            yield pages_of(*held)
+
+    at = (F.col("col") * depth + F.col("row")).cast("bigint").alias("at")
+    # the window brings the rows of a page together, in order, and shuffles only cells that are not yet partitioned by page
+    load = F.sum(F.when(F.col("row") == 0, F.col("cnt"))).over(Window.partitionBy("page")).cast("bigint").alias("load")
+    return cells.select("page", at, F.col("cnt").cast("bigint"), load).mapInArrow(run, "page bigint, load bigint, cells array<bigint>")
+
+
+def paged_ask(stream: DataFrame, geom: PageGeometry, queries: DataFrame | None = None, combine: str = "direct") -> DataFrame:
+    """(item_key, est) of distinct queried keys, or of all keys of the stream, from a sketch that is built and asked at once.
+
+    Items and queries meet on their pages by one shuffle of a record a key, and every counter is summed where its readers are:
+    neither counters nor probes are shuffled, and no page is packed. For sketches that are asked once. combine 'two_step' adds up the
+    records of a key before they meet, for streams with hot keys.
+    """
+    if combine not in ("direct", "two_step"):
+        raise ValueError(f"unknown way to combine: {combine}")
+    records = stream.select("item_key", "weight", F.lit(queries is None).alias("asked"))
+    if queries is not None:
+        records = records.unionByName(queries.select("item_key", F.lit(0).cast("bigint").alias("weight"), F.lit(True).alias("asked")))
+    located = records.withColumn("page", H.page_of(F.col("item_key"), geom))
+    combined = [F.sum("weight").alias("weight"), F.max("asked").alias("asked")]
+    if combine == "two_step":
+        located = located.groupBy("page", "item_key").agg(*combined)
+    routed = located.repartition("page")
+    keys = routed.groupBy("page", "item_key").agg(*combined)
+    cells = keys.select("page", "item_key", "weight", "asked", F.posexplode(F.array(*H.page_columns(F.col("item_key"), F.col("page"), geom))).alias("row", "col"))
+    cells = cells.withColumn("cnt", F.sum("weight").over(Window.partitionBy("page", "row", "col")))
+    return cells.where("asked").groupBy("page", "item_key").agg(F.min("cnt").cast("bigint").alias("est")).select("item_key", "est")
+
+
 def paged_estimate(pages: DataFrame, queries: DataFrame, geom: PageGeometry, strategy: str = "auto") -> DataFrame:
     """(item_key, est) of distinct queried keys from packed pages: one page a query, no matter how many rows.
 

@@ -71,9 +71,7 @@ class Case:
         return measures.overestimates(self.exact, S.flat_estimate(S.flat_build(self.counted, self.cfg), self.exact, self.cfg))
 
     def paged_over(self) -> DataFrame:
-        pages = S.paged_pack(S.paged_build(self.counted, self.geom, combine="direct"), self.geom)
-        estimates = S.paged_estimate(pages, self.exact, self.geom)
-        return measures.overestimates(self.exact, estimates)
+        return measures.overestimates(self.exact, S.paged_ask(self.counted, self.geom))
 
 
 def orderkeys(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -275,8 +273,22 @@ def paged_roundtrip(spark, sf_dir):
 
 @register("paged_estimate", with_(BASE, "SELECT item_key, est FROM pest"))
 def paged_estimate(spark, sf_dir):
+    """Built and asked at once; the three below read packed pages."""
     c = case(spark, sf_dir)
-    return S.paged_estimate(c.packed(), c.exact, c.geom)
+    return S.paged_ask(c.counted, c.geom)
+
+
+@register("paged_ask", with_(O.sketch_ctes(ORDERKEYS, queries=ASK_BOTH), "SELECT item_key, est FROM pest"))
+def paged_ask(spark, sf_dir):
+    """Present and absent keys, asked of the stream itself."""
+    c = case(spark, sf_dir)
+    return S.paged_ask(c.stream, c.geom, c.exact.select("item_key").union(absent_keys(spark)), combine="two_step")
+
+
+@register("paged_pack_arrow", SQL["paged_pack"])
+def paged_pack_arrow(spark, sf_dir):
+    c = case(spark, sf_dir)
+    return S.paged_pack(c.paged(), c.geom, how="arrow")
 
 
 @register("paged_estimate_straddling", with_(O.sketch_ctes(ORDERKEYS, mode="straddling"), "SELECT item_key, est FROM pest"))
@@ -655,7 +667,7 @@ def w_query_flat(spark, sf_dir):
 @register("w_query_paged", with_(UNI_HALF, f"SELECT {HITS} FROM pest"))
 def w_query_paged(spark, sf_dir):
     c = Case(uniform_stream(spark, sf_dir))
-    return _hits(S.paged_estimate(c.packed(), half_queries(spark, sf_dir, c), c.geom))
+    return _hits(S.paged_ask(c.stream, c.geom, half_queries(spark, sf_dir, c)))
 
 
 @register("w_over_uniform", with_(UNI, BOTH_OVER))

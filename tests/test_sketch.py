@@ -116,3 +116,43 @@ def test_plan_of_the_paged_build(small, capsys):
     shuffles = S.paged_build(small.stream, small.geom)._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")
     assert shuffles == 2
     assert S.paged_build(small.stream, small.geom, "direct")._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") == 1
+
+
+@pytest.mark.parametrize("mode", ["aligned", "straddling"])
+@pytest.mark.parametrize("combine", ["direct", "two_step"])
+def test_asking_at_once_against_packed_pages(spark, mode, combine):
+    stream = spark.range(3000).select((F.col("id") % 700).alias("item_key"), F.when(F.col("id") % 7 > 0, F.col("id") % 5).cast("bigint").alias("weight"))
+    stream = stream.na.fill(0)
+    queries = spark.range(500, 900).union(spark.range(500, 510)).select(F.col("id").alias("item_key"))
+    geom = PageGeometry.of(SketchConfig.from_stream(1500, 8, 0.01), 1024, mode)
+    cells = S.paged_build(stream, geom)
+    want = {tuple(r) for r in S.paged_estimate_cells(cells, queries, geom).collect()}
+    got = [tuple(r) for r in S.paged_ask(stream, geom, queries, combine).collect()]
+    assert len(got) == 400 and set(got) == want
+    everything = S.paged_ask(stream, geom, combine=combine)
+    assert {tuple(r) for r in everything.collect()} == {tuple(r) for r in S.paged_estimate_cells(cells, stream, geom).collect()}
+    assert S.paged_ask(stream.limit(0), geom, combine=combine).count() == 0
+
+
+def test_asking_at_once_shuffles_a_record_a_key_once(spark):
+    stream = spark.range(1000).select(F.col("id").alias("item_key"), F.lit(1).cast("bigint").alias("weight"))
+    geom = PageGeometry.of(SketchConfig.from_stream(1000))
+    plan = S.paged_ask(stream, geom, stream)._jdf.queryExecution().sparkPlan().toString()
+    executed = S.paged_ask(stream, geom, stream)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Join") == 0 and executed.count("Exchange") == 1
+
+
+def test_packing_batches_whose_pages_cross(spark):
+    stream = spark.range(2000).select(F.col("id").alias("item_key"), (F.col("id") % 3).alias("weight"))
+    geom = PageGeometry.of(SketchConfig.from_stream(2000), 1024)
+    cells = S.paged_build(stream, geom)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        got = S.paged_pack(cells, geom, how="arrow").collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert sorted(got) == sorted(S.paged_pack(cells, geom).collect())
+    assert S.paged_pack(cells.limit(0), geom, how="arrow").count() == 0
+    built = S.paged_build(stream, geom, combine="direct")
+    plan = S.paged_pack(built, geom, how="arrow")._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1
