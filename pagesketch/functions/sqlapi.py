@@ -11,7 +11,7 @@ from pagesketch.functions import hashing as H
 
 def register(spark: SparkSession, geom: PageGeometry) -> None:
     """sketch_page(key) and sketch_cells(key) for a geometry, as native temporary SQL functions: no Python runs."""
-    if geom.mode != "aligned" or geom.cfg.family != "murmur32":
+    if geom.mode != "aligned" or geom.family != "murmur32":
         raise ValueError("SQL functions are made for aligned pages of the murmur32 family")
     base = geom.cfg.seed_base
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION sketch_page(k BIGINT) RETURNS BIGINT RETURN pmod(hash({base}, k), {geom.pages}L)")
