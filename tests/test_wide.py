@@ -1,6 +1,7 @@
 """Sketches of heavy streams: a flat width from 2^24 on while the pages are few, against the SQL."""
 
 import duckdb
+import pytest
 from pyspark.sql import functions as F
 
 from pagesketch import oracles as O
@@ -15,6 +16,16 @@ def same(df, con, sql):
     assert sorted(map(tuple, df.collect())) == sorted(want) and want
 
 
+@pytest.fixture(scope="module")
+def heavy_lines(spark, tmp_path_factory):
+    path = str(tmp_path_factory.mktemp("heavy"))
+    rows = [(i % 9, float(HEAVY + i)) for i in range(12)]
+    spark.createDataFrame(rows, "l_partkey bigint, l_quantity double").write.parquet(f"{path}/lineitem.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{path}/lineitem.parquet/*.parquet'")
+    return path, con
+
+
 def test_pairs_of_many_words(spark, tmp_path, monkeypatch):
     texts = ["a b c d", "b c d", "x y x y"]
     spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
@@ -27,3 +38,8 @@ def test_pairs_of_many_words(spark, tmp_path, monkeypatch):
     ctes = f"WITH {A.DOC_PAIRS}, {O.sketch_ctes(A.PAIR_ITEMS.replace('1 AS weight', f'{HEAVY} AS weight'))}"
     same(c.paged(), con, f"{ctes} SELECT * FROM pcells")
     same(est, con, f'{ctes} SELECT "left", "right", est FROM (SELECT DISTINCT "left", "right", {A.PAIR_KEY} AS item_key FROM pairs) JOIN pest USING (item_key)')
+
+
+def test_candidates_of_heavy_parts(spark, heavy_lines):
+    path, con = heavy_lines
+    same(A.hh_page_candidates(spark, path), con, A.SQL["hh_page_candidates"])
