@@ -6,6 +6,8 @@ from pyspark.sql import functions as F
 
 from pagesketch import oracles as O
 from pagesketch import queries_apps as A
+from pagesketch import queries_core as C
+from pagesketch.config import PageGeometry, SketchConfig
 
 HEAVY = 10_000_000
 
@@ -43,3 +45,18 @@ def test_pairs_of_many_words(spark, tmp_path, monkeypatch):
 def test_candidates_of_heavy_parts(spark, heavy_lines):
     path, con = heavy_lines
     same(A.hh_page_candidates(spark, path), con, A.SQL["hh_page_candidates"])
+
+
+def test_cells_of_heavy_parts(spark, heavy_lines):
+    path, con = heavy_lines
+    same(C.paged_weighted(spark, path), con, C.SQL["paged_weighted"])
+
+
+def test_family_by_what_is_hashed_to():
+    cfg = SketchConfig.from_stream(100_000_000)
+    assert cfg.width >= 1 << 24 and cfg.flat_family == "xx64" and PageGeometry.of(cfg).family == "murmur32"
+    assert PageGeometry.of(cfg, 64).family == "xx64" and PageGeometry.of(cfg, 1 << 31).family == "xx64"
+    given = SketchConfig.from_stream(100_000_000, family="xx64")
+    assert given.flat_family == PageGeometry.of(given).family == "xx64"
+    small = SketchConfig.from_stream(60_000)
+    assert small.family == small.flat_family == PageGeometry.of(small).family == "murmur32"
