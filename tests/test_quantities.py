@@ -4,6 +4,7 @@ import duckdb
 import pytest
 
 from pagesketch import queries_apps as A
+from pagesketch import queries_core as C
 from pagesketch.operators import sketch as S
 
 #: Halves on both sides of even numbers, fractions that a cast would cut off, a part without any quantity, and one with some.
@@ -36,6 +37,12 @@ def test_candidates_of_odd_quantities(spark, odd_lines):
     assert {1, 2} <= {place for _, _, n, place in want if n is None}
 
 
+def test_cells_of_odd_quantities(spark, odd_lines):
+    path, con = odd_lines
+    want = same(C.paged_weighted(spark, path), con, C.SQL["paged_weighted"])
+    assert any(cnt is None for *_, cnt in want) and any(cnt == 6 for *_, cnt in want)
+
+
 def test_null_weights_are_zeros_unless_kept(spark):
     df = spark.createDataFrame([(1, None), (1, 2), (2, None)], "k bigint, w bigint")
     assert sorted(map(tuple, S.exact_counts(S.items(df, "k", "w")).collect())) == [(1, 2), (2, 0)]
