@@ -65,6 +65,11 @@ def test_cells_of_odd_quantities(spark, odd_lines):
     assert any(cnt is None for *_, cnt in want) and any(cnt == 6 for *_, cnt in want)
 
 
+def test_cells_of_large_quantities(spark, large_lines):
+    path, con = large_lines
+    same(C.paged_weighted(spark, path), con, C.SQL["paged_weighted"])
+
+
 def test_portable_family_is_the_32_bit_one(spark):
     keys = spark.range(50).withColumn("a", H.hash_cell(F.col("id"), 3, 1000, "murmur32")).withColumn("b", H.hash_cell(F.col("id"), 3, 1000, "portable"))
     assert keys.where("a <> b").count() == 0
