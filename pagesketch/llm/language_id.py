@@ -213,20 +213,83 @@ def centred_windows(sizes: np.ndarray, steps: int = STEPS, margin: int = MARGIN)
     return tuple(x[order] for x in (owner, begin + first, low - first, high - first, last - first))
 
 
+class Stepper:
+    """One direction, laid out to step many windows at once.
+
+    Each gate has arrays of its own, so that all are contiguous, and the weights are scaled so that a gate takes one exponential:
+    1 / (1 + exp(-x)) for update and reset, 1 - 2 / (1 + exp(2 x)) for the candidate. The states are those of Direction.run.
+    """
+
+    def __init__(self, direction: Direction, out: np.ndarray):
+        update, reset, candidate = (np.ascontiguousarray(x) for x in np.split(direction.table, 3, axis=1))
+        self.tables = [-update, -reset, 2 * candidate]
+        self.gates = -np.stack(np.split(direction.gates, 2, axis=1))
+        self.candidate = 2 * direction.candidate
+        self.out = np.ascontiguousarray(out.T)
+
+    def start(self, n: int) -> None:
+        size = len(self.candidate)
+        self.h, self.c = np.zeros((n, size), np.float32), np.empty((n, size), np.float32)
+        self.x, self.gate = np.empty((3, n, size), np.float32), np.empty((2, n, size), np.float32)
+
+    def step(self, ids: np.ndarray) -> np.ndarray:
+        """What the direction adds to the logits (languages, windows), after a byte more of the first windows."""
+        m = len(ids)
+        h, c, x, gate = self.h[:m], self.c[:m], self.x[:, :m], self.gate[:, :m]
+        for rows, own in zip(self.tables, x, strict=True):
+            rows.take(ids, axis=0, out=own, mode="clip")
+        np.matmul(h, self.gates, out=gate)
+        gate += x[:2]
+        np.exp(gate, out=gate)
+        gate += 1
+        z, r = gate
+        np.divide(h, r, out=r)
+        np.matmul(r, self.candidate, out=c)
+        c += x[2]
+        np.exp(c, out=c)
+        c += 1
+        np.divide(-2, c, out=c)
+        c += 1
+        c -= h
+        c /= z
+        h += c
+        return self.out @ h.T
+
+
 def pooled(net: ByteGru, raw: list[bytes]) -> np.ndarray:
-    """Mean probabilities over all positions of each text; every position is labelled once, in its window's centre."""
+    """Mean probabilities over all positions of each text; every position is labelled once, in its window's centre.
+
+    Windows are as long as their texts make them: a shorter one ends forward, and begins backward, at its own last byte, whatever lies beside it.
+    """
     sizes = np.array([len(x) for x in raw], np.int64)
-    data = np.frombuffer(b"".join(raw), np.uint8)
+    data = np.frombuffer(b"".join(raw), np.uint8).astype(np.intp)
     sums = np.zeros((len(raw), len(net.languages)))
+    hidden = len(net.out) // 2
+    forward, backward = Stepper(net.forward, net.out[:hidden]), Stepper(net.backward, net.out[hidden:])
     windows = centred_windows(sizes)
     for lo in range(0, len(windows[0]), BLOCK):
         owner, begin, low, high, length = (x[lo : lo + BLOCK] for x in windows)
-        t = np.arange(int(length[0]))[:, None]
-        real = t < length
-        ids = np.where(real, data[np.minimum(begin + t, len(data) - 1)], PAD).astype(np.int16)
-        p = (net.probabilities(ids) * ((t >= low) & (t < high))[:, :, None]).sum(axis=0)
-        for k in range(p.shape[1]):
-            sums[:, k] += np.bincount(owner, p[:, k], len(raw))
+        n, steps = len(owner), int(length[0])
+        live = np.searchsorted(-length, -np.arange(steps))  # windows that reach a step; long ones come first
+        logits = np.empty((steps, len(net.languages), n), np.float32)
+        total = np.zeros((len(net.languages), n))
+        forward.start(n)
+        backward.start(n)
+        with np.errstate(over="ignore"):  # a closed gate is divided by infinity
+            for t in range(steps):
+                m = live[t]
+                logits[t, :, :m] = forward.step(data.take(begin[:m] + t))
+            for t in range(steps - 1, -1, -1):
+                m = live[t]
+                p = backward.step(data.take(begin[:m] + t))
+                p += logits[t, :, :m]
+                p += net.bias[:, None]
+                p -= p.max(axis=0)
+                np.exp(p, out=p)
+                p *= ((t >= low[:m]) & (t < high[:m])) / p.sum(axis=0)
+                total[:, :m] += p
+        for k, x in enumerate(total):
+            sums[:, k] += np.bincount(owner, x, len(raw))
     return sums / np.maximum(sizes, 1)[:, None]
 
 

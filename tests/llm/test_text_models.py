@@ -1,5 +1,6 @@
 import math
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -138,6 +139,44 @@ def test_pooling_against_one_text_at_a_time():
         assert np.abs(mean - want / len(text)).max() < 0.1
 
 
+def test_pooling_does_not_depend_on_other_texts():
+    """A short text beside long ones has the probabilities that it has alone."""
+    net = language_id.ByteGru(["a", "b", "c"], hidden=3)
+    rng = np.random.default_rng(0)
+    raw = [bytes(rng.integers(97, 123, n).astype(np.uint8)) for n in (1, 3, 40, 400, 528, 529, 1000, 2000)]
+    alone = np.vstack([language_id.pooled(net, [text]) for text in raw])
+    assert np.abs(language_id.pooled(net, raw) - alone).max() < 1e-5
+    assert np.abs(alone.sum(axis=1) - 1).max() < 1e-5
+
+
+def test_pooling_of_closed_gates_against_the_network():
+    """Weights so large that exponentials overflow give the states of the plain recurrence."""
+    net = language_id.ByteGru(["a", "b", "c"], hidden=3)
+    for direction in (net.forward, net.backward):
+        direction.table *= 300
+    text = bytes(np.random.default_rng(0).integers(0, 256, 300).astype(np.uint8))
+    want = net.probabilities(np.frombuffer(text, np.uint8).astype(np.int16)[:, None])[:, 0].mean(axis=0)
+    assert np.abs(language_id.pooled(net, [text])[0] - want).max() < 1e-4
+
+
+def test_pooling_takes_less_time_than_the_plain_recurrence():
+    """CPU seconds of a window's bytes are well under those of the recurrence that is kept for training."""
+    net = language_id.ByteGru(["a", "b", "c", "d"])
+    ids = np.random.default_rng(0).integers(97, 123, (language_id.STEPS, language_id.BLOCK)).astype(np.int16)
+    raw = [bytes(x.astype(np.uint8)) for x in ids.T]
+
+    def seconds(work):
+        began = time.process_time()
+        work()
+        return time.process_time() - began
+
+    plain, fast = [], []
+    for _ in range(3):
+        plain.append(seconds(lambda: net.probabilities(ids)))
+        fast.append(seconds(lambda: language_id.pooled(net, raw)))
+    assert min(fast) < 0.85 * min(plain)
+
+
 def test_language_of_odd_rows(odd, odd_rows, none):
     got = {(r["doc_id"], r["lang_pred"], r["score"]) for r in language_id.identify(odd).collect()}
     by_id = {d: (p, s) for d, p, s in got}
